@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
+from rankloom.llm.language import predict_languages
 from rankloom.llm.mixing import mix_documents
+from rankloom.llm.quality import classify_quality
 from rankloom.llm.sharding import shard_documents
 from rankloom.llm.simhash import simhash_documents
 
@@ -29,8 +31,16 @@ def op6_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(load(spark, sf_dir, "documents"))
 
 
+def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return predict_languages(load(spark, sf_dir, "documents"))
+
+
+def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify_quality(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op6_shards)}
+    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op6_shards, op7_language, op9_quality)}
 
 
 ORACLE = {
