@@ -23,6 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from rankloom.llm.words import row_chunks, text_buffers
 
@@ -195,7 +196,7 @@ def fitted(docs: DataFrame, labels: DataFrame, per_class: int = 1500, seed: int
 
 def score_documents(docs: DataFrame, model: dict[str, np.ndarray]) -> DataFrame:
     """docs with score, over the whole text of every row."""
-    schema = docs.schema.add("score", "double")
+    schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

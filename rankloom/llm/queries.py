@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
+from rankloom.llm.html import extract_pages
 from rankloom.llm.language import predict_languages
 from rankloom.llm.mixing import mix_documents
 from rankloom.llm.quality import classify_quality
@@ -39,8 +40,12 @@ def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_quality(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
+def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return extract_pages(load(spark, sf_dir, "pages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op6_shards, op7_language, op9_quality)}
+    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op6_shards, op7_language, op9_quality, op10_html)}
 
 
 ORACLE = {
