@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
+from rankloom.llm.decontaminate import find_leaks
 from rankloom.llm.html import extract_pages
 from rankloom.llm.language import predict_languages
 from rankloom.llm.mixing import mix_documents
@@ -28,6 +29,10 @@ def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return format_chats(load(spark, sf_dir, "conversations"))
 
 
+def op5_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_leaks(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
+
+
 def op6_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_documents(load(spark, sf_dir, "documents"))
 
@@ -45,7 +50,7 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op6_shards, op7_language, op9_quality, op10_html)}
+    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op5_decontaminate, op6_shards, op7_language, op9_quality, op10_html)}
 
 
 ORACLE = {
