@@ -10,6 +10,7 @@ from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
 from rankloom.llm.decontaminate import find_leaks
 from rankloom.llm.html import extract_pages
+from rankloom.llm.jaccard import jaccard_components
 from rankloom.llm.language import predict_languages
 from rankloom.llm.mixing import mix_documents
 from rankloom.llm.quality import classify_quality
@@ -25,6 +26,10 @@ def op2_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_documents(load(spark, sf_dir, "documents"))
 
 
+def op3_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_components(load(spark, sf_dir, "documents"))
+
+
 def op4_chat(spark: SparkSession, sf_dir: str) -> DataFrame:
     return format_chats(load(spark, sf_dir, "conversations"))
 
@@ -50,7 +55,7 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix, op2_simhash, op4_chat, op5_decontaminate, op6_shards, op7_language, op9_quality, op10_html)}
+    return {f.__name__: f for f in (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op9_quality, op10_html)}
 
 
 ORACLE = {
