@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
 from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
 from rankloom.llm.decontaminate import find_leaks
 from rankloom.llm.html import extract_pages
 from rankloom.llm.jaccard import jaccard_components
 from rankloom.llm.language import predict_languages
+from rankloom.llm.lm import score_texts
 from rankloom.llm.mixing import mix_documents
 from rankloom.llm.quality import classify_quality
 from rankloom.llm.sharding import shard_documents
@@ -46,6 +48,10 @@ def op7_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return predict_languages(load(spark, sf_dir, "documents"))
 
 
+def op8_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_texts(load(spark, sf_dir, "documents"))
+
+
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     return classify_quality(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
@@ -55,7 +61,8 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op9_quality, op10_html)}
+    found = {f.__name__: f for f in (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op8_lm, op9_quality, op10_html)}
+    return found | {"pipeline": corpus_pipeline.run}
 
 
 ORACLE = {
@@ -111,4 +118,7 @@ ORACLE = {
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(ORACLE)
+    out = dict(ORACLE)
+    if corpus_pipeline.ORACLE_SQL:
+        out["pipeline"] = corpus_pipeline.ORACLE_SQL
+    return out
