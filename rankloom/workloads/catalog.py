@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from rankloom.workloads import relational
+from rankloom.workloads import general, relational
 from rankloom.workloads.registry import QUERIES, SQL, Query
 
-MODULES = (relational,)
+MODULES = (relational, general)
 
 
 def core_queries() -> dict[str, Query]:
