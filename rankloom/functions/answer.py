@@ -14,15 +14,12 @@ def points(sketch: str = "sketch") -> Column:
     estimate = lambda t, i: (t[i]["low"] + F.greatest(F.coalesce(F.get(t, i + 1)["high"] - 1, used["seen"]), t[i]["low"])) / 2
     total = lambda t, i: F.when(i < 0, F.lit(0)).when(i == F.size(t) - 1, used["seen"]).otherwise(F.floor(estimate(t, i))).cast("long")
     tuples = used["tuples"]
-    top = F.transform(
-        F.sequence(F.lit(0), F.size(tuples) - 1),
-        lambda i: F.struct(tuples[i]["value"].alias("value"), (total(tuples, i) - F.when(i > 0, total(tuples, i - 1)).otherwise(F.lit(0).cast("long"))).alias("weight"), F.greatest(used["height"], F.lit(1)).alias("height")),
-    )
-    scaled = F.transform(top, lambda p: F.struct(p["value"].alias("value"), (p["weight"] * used["scale"]).alias("weight"), p["height"].alias("height")))
+    point = lambda value, weight, height: F.named_struct(F.lit("value"), value, F.lit("weight"), weight, F.lit("height"), height)
+    before = lambda i: F.when(i > 0, total(tuples, i - 1)).otherwise(F.lit(0).cast("long"))
+    scaled = F.transform(F.sequence(F.lit(0), F.size(tuples) - 1), lambda i: point(tuples[i]["value"], (total(tuples, i) - before(i)) * used["scale"], F.greatest(used["height"], F.lit(1))))
     low = F.filter(s("levels"), lambda x: ~has_top | (x["height"] < used["height"]))
-    levels = F.flatten(F.transform(low, lambda x: F.transform(x["items"], lambda v: F.struct(v.alias("value"), F.expr("1L").alias("weight"), x["height"].alias("height")))))
-    levels = F.transform(levels, lambda p: F.struct(p["value"].alias("value"), F.pow(F.lit(2.0), p["height"] - 1).cast("long").alias("weight"), p["height"].alias("height")))
-    rest = F.when(s("sampler.weight") > 0, F.array(F.struct(s("sampler.item").alias("value"), s("sampler.weight").alias("weight"), s("sampler.height").alias("height"))))
+    levels = F.flatten(F.transform(low, lambda x: F.transform(x["items"], lambda v: point(v, F.pow(F.lit(2.0), x["height"] - 1).cast("long"), x["height"]))))
+    rest = F.when(s("sampler.weight") > 0, F.array(point(s("sampler.item"), s("sampler.weight"), s("sampler.height"))))
     none = F.slice(levels, 1, 0)
     return F.concat(F.when(has_top & (F.size(tuples) > 0), scaled).otherwise(none), levels, F.coalesce(rest, none))
 

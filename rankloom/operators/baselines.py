@@ -25,7 +25,8 @@ def builtin_sketch_ranks(df: DataFrame, value: str, probes: list[float]) -> Data
     """probe, est_rank by the built-in sketch."""
     build, rank = builtin_sketch_functions()
     one = df.agg(build(F.col(value).cast("double")).alias("s"), F.count(value).alias("n"))
-    return one.select("s", "n", F.explode(F.array(*[F.lit(float(p)) for p in probes])).alias("probe")).select("probe", F.round(rank(F.col("s"), F.col("probe")) * F.col("n")).cast("long").alias("est_rank"))
+    rows = F.array(*[F.struct(F.lit(float(p)).alias("probe"), F.round(rank(F.col("s"), F.lit(float(p))) * F.col("n")).cast("long").alias("est_rank")) for p in probes])
+    return one.select(F.explode(rows).alias("x")).select("x.*")
 
 
 def heuristic_histogram(df: DataFrame, value: str, bins: int) -> DataFrame:

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from rankloom.workloads import general, relational
+from rankloom.workloads import general, relational, sketches
 from rankloom.workloads.registry import QUERIES, SQL, Query
 
-MODULES = (relational, general)
+MODULES = (relational, general, sketches)
 
 
 def core_queries() -> dict[str, Query]:
