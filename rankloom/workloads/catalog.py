@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from rankloom.workloads import general, relational, sketches
+from rankloom.workloads import general, relational, sketches, streams
 from rankloom.workloads.registry import QUERIES, SQL, Query
 
-MODULES = (relational, general, sketches)
+MODULES = (relational, general, sketches, streams)
 
 
 def core_queries() -> dict[str, Query]:
