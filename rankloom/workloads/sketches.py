@@ -59,7 +59,7 @@ for _variant in VARIANTS:
 def weighted_sampler_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A small top capacity makes the sampler grow and take levels in on the way."""
     rows = load(spark, sf_dir, "events", "value")
-    chosen = plan("geo-wsampled", 0.1, DELTA, k=512)
+    chosen = plan("geo-wsampled", 0.1, DELTA, k=24)
     sketches = build(rows, "value", chosen=chosen)
     return measure.verdicts(answer.coreset(sketches), rows, "value", VALUE_PROBES, 0.1, "weighted-sampler")
 
@@ -127,10 +127,10 @@ def merge_penalty_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
 def unequal_merge_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Merging sketches of a long and of a short stream, whose samplers stand at different heights."""
     a, b = price(spark, sf_dir).toDF("v"), load(spark, sf_dir, "orders", "o_totalprice").toDF("v")
-    chosen = plan("geo-wsampled", 0.05, DELTA, k=1024)
+    chosen = plan("geo-wsampled", 0.1, DELTA, k=32)
     parts = [build(x, "v", chosen=chosen).withColumn("part", F.lit(i).cast("long")) for i, x in enumerate((a, b))]
     merged = tree(parts[0].unionByName(parts[1]), [])
-    return measure.verdicts(answer.coreset(merged), a.unionByName(b), "v", PRICE_PROBES + TOTAL_PROBES, 0.05, "unequal")
+    return measure.verdicts(answer.coreset(merged), a.unionByName(b), "v", PRICE_PROBES + TOTAL_PROBES, 0.1, "unequal")
 
 
 @query(verdict_sql("one-way", "lineitem", "l_extendedprice", PRICE_PROBES))
