@@ -212,14 +212,14 @@ def sup_error_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
-ORDERS = {"ascending": [F.col("l_extendedprice")], "descending": [F.col("l_extendedprice").desc()], "zoom": [F.abs(F.col("l_extendedprice") - 53000).desc()], "blocks": [F.floor(F.col("l_extendedprice") / 1000) % 7, F.col("l_extendedprice")]}
+ORDERS = {"ascending": "l_extendedprice", "descending": "-l_extendedprice", "zoom": "-abs(l_extendedprice - 53000)", "blocks": "floor(l_extendedprice / 1000) % 7, l_extendedprice"}
 
 
 @query(" UNION ALL ".join(verdict_sql(o, "lineitem", "l_extendedprice", PRICE_PROBES) for o in ORDERS))
 def adversarial_orders_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name, order in ORDERS.items():
-        rows = price(spark, sf_dir).repartition(4, F.xxhash64("l_extendedprice")).sortWithinPartitions(*order)
+        rows = price(spark, sf_dir).repartition(4, F.xxhash64("l_extendedprice")).sortWithinPartitions(*[F.expr(x) for x in order.split(", ")])
         sketches = build(rows, "l_extendedprice", variant="geo-wsampled", eps=0.02, delta=DELTA)
         part = measure.verdicts(answer.coreset(sketches), price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, 0.02, name)
         out = part if out is None else out.unionByName(part)
