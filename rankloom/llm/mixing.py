@@ -136,10 +136,10 @@ def with_tree(docs: DataFrame, domain: Column) -> DataFrame:
     )
 
 
-#: The mix of the registered query and of the pipeline.
+#: The mix of the registered query and of the pipeline; the budget is an expression of all tokens.
 WEIGHTS = {"domain": {"open": 3, "edited": 2}, "lang": {"en": 4, "de": 2, "fr": 2, "es": 1}, "source": {"src0": 2}}
 SEED, MAX_EPOCHS = 11, 2
-BUDGET = F.expr("_all * 6 div 10")
+BUDGET = "_all * 6 div 10"
 
 
 def domain_of() -> Column:
@@ -150,7 +150,7 @@ def domain_of() -> Column:
 def mix_documents(docs: DataFrame) -> DataFrame:
     """op1: a row for each document in the mix, with copies and take_tokens."""
     rows = written(with_tree(docs.select("doc_id", "lang", "source", "text"), domain_of()).drop("text"), "mix")
-    plan = mix_plan(rows, WEIGHTS, BUDGET, MAX_EPOCHS, SEED)
+    plan = mix_plan(rows, WEIGHTS, F.expr(BUDGET), MAX_EPOCHS, SEED)
     return with_copies(rows, plan, SEED).select("doc_id", "domain", "lang", "source", "tokens", "copies", "take_tokens")
 
 
@@ -158,7 +158,7 @@ def mix_stage(docs: DataFrame) -> DataFrame:
     """documents -> documents in the mix, each as often as it is served; the last of a leaf stays whole."""
     rows = with_tree(docs.select("doc_id", "lang", "source", "text"), domain_of()).drop("text")
     rows = written(rows, "mix")
-    plan = mix_plan(rows, WEIGHTS, BUDGET, MAX_EPOCHS, SEED)
+    plan = mix_plan(rows, WEIGHTS, F.expr(BUDGET), MAX_EPOCHS, SEED)
     own = docs.select("doc_id", F.struct(*docs.columns).alias("doc"), domain_of().alias("domain"), F.coalesce("lang", F.lit("unknown")).alias("lang"), F.coalesce("source", F.lit("unknown")).alias("source"), F.lit(0).cast("long").alias("tokens"))
     served = with_copies(own, plan, SEED)
     return served.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("doc.*")
