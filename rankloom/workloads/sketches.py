@@ -322,6 +322,21 @@ def space_curve_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out
 
 
+@query()
+def space_vs_n(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Items stored for the same error as the stream grows: the stream one, four and sixteen times."""
+    rows = price(spark, sf_dir)
+    out = None
+    for times in (1, 4, 16):
+        longer = rows.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(times)))).select((F.col("l_extendedprice") + F.col("copy") / 1000).alias("v"))
+        for v in ("equal-fixed", "geo", "geo-wsampled", "banded"):
+            sketches = build(longer, "v", variant=v, eps=0.05, delta=0.01, mode="single")
+            part = measure.stored_items(sketches).crossJoin(sketches.select(F.col("sketch.n").alias("n"), F.col("sketch.height").alias("levels")))
+            part = part.select(F.lit(v).alias("variant"), "n", "levels", "stored")
+            out = part if out is None else out.unionByName(part)
+    return out
+
+
 # -- baselines ---------------------------------------------------------------------
 
 

@@ -281,3 +281,28 @@ def test_equal_seeds_repeat():
     data = ordered_values(20_000, "random")
     a, b = (fed(plan("banded", 0.05), data, scope=9) for _ in range(2))
     assert all(np.array_equal(x, y) for x, y in zip(a.points(), b.points(), strict=True))
+
+
+def test_exhaustive_small():
+    """All 720 orders of six keys and all coin outcomes: the mean estimate of every rank is exact."""
+
+    class Script:
+        def __init__(self, bits):
+            self.bits, self.used = bits, 0
+
+        def odd(self):
+            self.used += 1
+            return self.bits[self.used - 1]
+
+    chosen = plan("equal-fair", 0.5, 0.5, "single", k=2)
+    for order in itertools.permutations(range(6)):
+        totals, outcomes = np.zeros(6), 0
+        for bits in itertools.product((True, False), repeat=5):
+            s = Sketch(chosen)
+            s.coins = Script(bits)
+            for x in order:
+                s.insert(np.array([float(x)]))
+            assert s.coins.used <= 5
+            outcomes += 1
+            totals += [s.rank(x) for x in range(6)]
+        assert np.array_equal(totals, outcomes * np.arange(1, 7))
