@@ -27,13 +27,13 @@ def rolling_prefixes(turns: DataFrame) -> DataFrame:
     t = turns.select("conv_id", "turn", F.coalesce("role", F.lit("")).alias("role"), F.coalesce("text", F.lit("")).alias("text"))
     t = t.withColumn("lone", F.when(F.col("conv_id").isNull(), F.xxhash64("turn", "role", "text")).otherwise(F.lit(0)))
     order = Window.partitionBy("conv_id", "lone").orderBy("turn", "role", "text")
-    t = t.withColumn("pos", F.row_number().over(order))
+    t = t.withColumn("pos", F.when(F.col("conv_id").isNull(), F.lit(1)).otherwise(F.row_number().over(order)))
     t = t.withColumn("h0", F.xxhash64(F.lit(17), "pos", "role", "text")).withColumn("h1", F.xxhash64(F.lit(71), "text", "role", "pos"))
     run = order.rowsBetween(Window.unboundedPreceding, Window.currentRow)
     limbs = [F.shiftrightunsigned("h0", 32), F.col("h0").bitwiseAND(F.lit(0xFFFFFFFF)), F.shiftrightunsigned("h1", 32), F.col("h1").bitwiseAND(F.lit(0xFFFFFFFF))]
-    t = t.select("*", *[F.sum(x).over(run).alias(f"s{i}") for i, x in enumerate(limbs)])
+    t = t.select("*", *[F.when(F.col("conv_id").isNull(), x).otherwise(F.sum(x).over(run)).alias(f"s{i}") for i, x in enumerate(limbs)])
     whole = Window.partitionBy("conv_id", "lone")
-    return t.withColumn("n_turns", F.count("*").over(whole)).drop("h0", "h1")
+    return t.withColumn("n_turns", F.when(F.col("conv_id").isNull(), F.lit(1)).otherwise(F.count("*").over(whole))).drop("h0", "h1")
 
 
 def maximal_conversations(prefixes: DataFrame) -> DataFrame:
@@ -48,7 +48,7 @@ def render(prefixes: DataFrame, kept: DataFrame) -> DataFrame:
     """The kept conversations as conv_id, n_turns, n_copies, rendered."""
     mine = prefixes.select("conv_id", "lone", "pos", "role", "text")
     lines = mine.join(kept.withColumnRenamed("conv_id", "c").withColumnRenamed("lone", "l"), F.expr("conv_id <=> c and lone = l")).drop("c", "l")
-    turns = F.sort_array(F.collect_list(F.struct("pos", "role", "text")))
+    turns = F.sort_array(F.array_distinct(F.collect_list(F.struct("pos", "role", "text"))))
     out = lines.groupBy("conv_id", "lone", "n_copies").agg(turns.alias("turns"))
     said = F.transform("turns", lambda x: F.concat(F.lit("<|"), x["role"], F.lit("|>\n"), x["text"], F.lit("<|end|>\n")))
     return out.select("conv_id", F.size("turns").cast("long").alias("n_turns"), "n_copies", F.array_join(said, "").alias("rendered"))

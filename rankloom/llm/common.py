@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 
@@ -14,9 +16,11 @@ def shared_folder(spark: SparkSession) -> str:
     if spark.sparkContext.getCheckpointDir() is None:
         chosen = spark.conf.get("spark.checkpoint.dir", None)
         if not chosen:
-            if not spark.sparkContext.master.startswith("local["):
+            master = spark.sparkContext.master
+            if master != "local" and not master.startswith("local["):
                 raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
             chosen = tempfile.mkdtemp(prefix="checkpoint-")
+            atexit.register(shutil.rmtree, chosen, ignore_errors=True)
         spark.sparkContext.setCheckpointDir(chosen)
     return spark.sparkContext.getCheckpointDir()
 

@@ -194,14 +194,14 @@ def fitted(docs: DataFrame, labels: DataFrame, per_class: int = 1500, seed: int
     return fit(table["text"].to_pylist(), np.array(table["quality"].to_pylist(), np.int64), seed=seed)
 
 
-def score_documents(docs: DataFrame, model: dict[str, np.ndarray]) -> DataFrame:
-    """docs with score, over the whole text of every row."""
-    schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())])
+def score_documents(docs: DataFrame, model: dict[str, np.ndarray], name: str = "score") -> DataFrame:
+    """docs with a column name: the score of the whole text of every row."""
+    schema = T.StructType([*docs.schema.fields, T.StructField(name, T.DoubleType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = text_buffers(batch.column(batch.schema.get_field_index("text")))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(probability(model, data, offsets))], names=[*batch.schema.names, "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(probability(model, data, offsets))], names=[*batch.schema.names, name])
 
     return docs.mapInArrow(run, schema)
 
@@ -215,4 +215,7 @@ def classify_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def quality_stage(docs: DataFrame, labels: DataFrame, reject_below: float = 0.5) -> DataFrame:
     """documents -> documents that score reject_below or more."""
-    return score_documents(docs, fitted(docs, labels)).filter(F.col("score") >= reject_below).drop("score")
+    name = "_score"
+    while name in docs.columns:
+        name += "_"
+    return score_documents(docs, fitted(docs, labels), name).filter(F.col(name) >= reject_below).drop(name)
