@@ -21,6 +21,7 @@ from pyspark.sql.pandas.types import to_arrow_schema
 
 from rankloom.operators.kernel import Sketch
 from rankloom.operators.merge import fold_one_way, tree
+from rankloom.operators.sampler import block_filter
 from rankloom.operators.state import Codec, state_schema, to_row
 from rankloom.plans.params import MERGEABLE, Plan, max_height, plan
 from rankloom.plans.schedule import sampled_levels
@@ -51,7 +52,7 @@ def start_height(p: Plan, rows_each: int | None) -> int:
     return min(sampled_levels(p.rule, max_height(rows_each, k, p.c), k, p.c, p.band), max(0, rows_each.bit_length() - 2))
 
 
-def partials(rows: DataFrame, by: list[str], p: Plan, seed: int, start: int, lazy: bool = False) -> DataFrame:
+def partials(rows: DataFrame, by: list[str], p: Plan, seed: int, start: int, lazy: bool = False, picked: bool = False) -> DataFrame:
     """rows of prepare() -> by..., part, sketch: one or more for each task and group."""
     kind = rows.schema["_value"].dataType
     weighted = "_weight" in rows.columns
@@ -92,6 +93,8 @@ def partials(rows: DataFrame, by: list[str], p: Plan, seed: int, start: int, laz
                 if weighted:
                     s.nulls += nulls
                     s.insert_weighted(codec.decode(values), weights.fill_null(0).to_numpy())
+                elif picked:
+                    s.insert_picked(codec.decode(values), nulls)
                 else:
                     s.insert(codec.decode(values), nulls)
             if len(held) > MOST_GROUPS:
@@ -140,15 +143,24 @@ def build(
     chosen: Plan | None = None,
     lazy: bool = False,
     fan_in: int = 256,
+    thin: int = 0,
 ) -> DataFrame:
     """by..., sketch: the sketch of value in every group.
 
-    n        rows expected in a group, for variants whose size depends on it
+    n          rows expected in a group, for variants whose size depends on it
     rows_each  rows expected in each task, for variants with a plain sampler
+    thin       keep one row of every 2**thin by a filter in the scan's stage, before any Python
+               (params.thin_height chooses it); the sketch starts above these levels, and its
+               n is what the kept rows stand for
     """
     by = list(by or [])
     p = chosen or plan(variant, eps, delta, mode, n)
-    parts = partials(prepare(df, value, by, weight), by, p, seed, start_height(p, rows_each), lazy)
+    rows = prepare(df, value, by, weight)
+    if thin:
+        if weight is not None or p.variant not in MERGEABLE:
+            raise ValueError("only unweighted rows of mergeable variants are thinned")
+        rows = block_filter(rows, thin, seed).drop("weight")
+    parts = partials(rows, by, p, seed, thin or start_height(p, rows_each), lazy, bool(thin))
     if p.variant in MERGEABLE:
         return tree(parts, by, fan_in=fan_in, seed=seed)
     return fold_one_way(parts, by, seed=seed)

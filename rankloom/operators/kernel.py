@@ -142,6 +142,16 @@ class Sketch:
         self._give(self.bottom, values)
         self.settle()
 
+    def insert_picked(self, values: np.ndarray, nulls: int = 0) -> None:
+        """Values that a block sampler of this sketch's sampler height picked before; n is what they stand for."""
+        self.nulls += nulls << self.sampler.height
+        if len(values):
+            self.n += len(values) << self.sampler.height
+            self._range(values.min(), values.max())
+            self._sampled(len(values))
+            self._give(self.bottom, values)
+            self.settle()
+
     def insert_weighted(self, values: np.ndarray, weights: np.ndarray) -> None:
         """Values with whole weights: each goes to the levels of its weight's binary digits."""
         keep = weights > 0

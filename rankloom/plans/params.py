@@ -115,6 +115,16 @@ def plan(variant: str, eps: float, delta: float = 0.01, mode: str = "all", n: in
     return Plan(variant, eps, delta, k or size, c, band, anchor, mode)
 
 
+def thin_height(n: int, eps: float, delta: float, rows_each: int) -> int:
+    """Largest h for which keeping one row of every 2**h costs at most a quarter of eps n with probability delta.
+
+    One pick of every block of 2**h errs by 2**h at most, n / 2**h times. A task
+    of rows_each rows must hold several blocks, since its last one is incomplete.
+    """
+    most = (eps / 4) ** 2 * n / (2 * math.log(2 / delta))
+    return max(0, min(math.floor(math.log2(max(1.0, most))), int(rows_each).bit_length() - 4))
+
+
 def max_height(n: int, k: int, c: float = C) -> int:
     """Most levels a hierarchy of top capacity k needs for n items."""
     return max(1, math.floor(math.log2(max(1.0, n / (c * k))) + 2))

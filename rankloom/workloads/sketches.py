@@ -16,7 +16,7 @@ from rankloom.operators import baselines, exact, measure, ops
 from rankloom.operators.build import build, partials, prepare
 from rankloom.operators.merge import chain, tree
 from rankloom.plans import schedule
-from rankloom.plans.params import MERGEABLE, SPACE_SHAPES, VARIANTS, max_height, plan, planned_items
+from rankloom.plans.params import MERGEABLE, SPACE_SHAPES, VARIANTS, max_height, plan, planned_items, thin_height
 from rankloom.sources.io import load
 from rankloom.workloads.registry import add, query
 
@@ -88,6 +88,15 @@ def weighted_stream_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sums.crossJoin(est).select(F.explode(rows_of).alias("x")).select(F.lit("weighted-stream").alias("variant"), "x.*")
 
 
+@query(verdict_sql("thinned", "lineitem", "l_extendedprice", PRICE_PROBES))
+def thinned_build_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The build for very long streams: a filter in the scan keeps a block sample, only that reaches the kernels."""
+    rows = price(spark, sf_dir)
+    height = thin_height(rows.count(), 0.1, 0.01, 4096)
+    points = answer.coreset(build(rows, "l_extendedprice", variant="banded", eps=0.1, delta=0.01, thin=height))
+    return measure.verdicts(points, rows, "l_extendedprice", PRICE_PROBES, 0.1, "thinned")
+
+
 # -- merging ---------------------------------------------------------------------
 
 

@@ -13,7 +13,7 @@ from rankloom.operators.build import build
 from rankloom.operators.merge import chain, tree
 from rankloom.operators.relational import compact_round
 from rankloom.operators.sampler import block_filter
-from rankloom.plans.params import VARIANTS, plan
+from rankloom.plans.params import VARIANTS, plan, thin_height
 from rankloom.sources import io, ordered
 
 
@@ -75,6 +75,22 @@ def test_block_filter_is_narrow_and_fair(spark, small):
     assert dense.count() == 1250 and dense.agg(F.sum("weight")).collect()[0][0] == 10_000
 
 
+def test_thinning_happens_in_the_scan_stage(spark, small):
+    rows = io.load(spark, small, "lineitem", "l_extendedprice")
+    made = build(rows, "l_extendedprice", variant="banded", eps=0.1, thin=4)
+    text = made._jdf.queryExecution().executedPlan().toString()
+    below = text[text.rindex("MapInArrow") :]
+    assert "Filter" in below and "Exchange" not in below
+    r = made.select("sketch.n", "sketch.sampler.height").collect()[0]
+    assert abs(r.n - 60_000) <= 16 * 8 and r.height >= 4
+    assert measure.sup_error(answer.coreset(made), rows, "l_extendedprice").collect()[0][0] <= 0.1 * 60_000
+
+
+def test_thin_height():
+    assert thin_height(10**12, 0.01, 1e-6, 10**7) == 17
+    assert thin_height(1000, 0.01, 1e-6, 1000) == 0
+
+
 def test_relational_round_equals_kernel(spark):
     rows = spark.range(11).select(F.lit(0).cast("long").alias("block"), F.col("id").cast("double").alias("v"), F.lit(1).cast("long").alias("weight"))
     done = compact_round(rows, "block", ["v"], "weight", 1, 7, "fixed_odd").collect()
