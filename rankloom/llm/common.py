@@ -25,15 +25,32 @@ def shared_folder(spark: SparkSession) -> str:
     return spark.sparkContext.getCheckpointDir()
 
 
-def written(df: DataFrame, label: str) -> DataFrame:
-    """df after a round trip through Parquet in the shared folder.
+class Scratch:
+    """Working tables in one folder of the shared folder, dropped together."""
 
-    Cuts lineage: a lost executor costs the tasks that read, not the work before.
-    """
-    spark = df.sparkSession
-    path = f"{shared_folder(spark)}/tables/{label}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    def __init__(self, spark: SparkSession, label: str):
+        self.spark, self.path = spark, f"{shared_folder(spark)}/tables/{label}-{uuid.uuid4().hex}"
+
+    def written(self, df: DataFrame, label: str) -> DataFrame:
+        """df after a round trip through Parquet.
+
+        Cuts lineage: a lost executor costs the tasks that read, not the work
+        before. Its size is known, so a small one is broadcast in joins.
+        """
+        path = f"{self.path}/{label}-{uuid.uuid4().hex[:8]}"
+        df.write.parquet(path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def drop(self) -> None:
+        """Deletes the tables, and has the driver collect garbage so that shuffle files of what made them go as well."""
+        path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
+        path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
+        self.spark._jvm.System.gc()
+
+
+def written(df: DataFrame, label: str) -> DataFrame:
+    """df after a round trip through Parquet in the shared folder, where it stays."""
+    return Scratch(df.sparkSession, label).written(df, label)
 
 
 def load(spark: SparkSession, sf_dir: str, table: str, *columns: str) -> DataFrame:

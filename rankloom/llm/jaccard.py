@@ -10,12 +10,12 @@ member from above. Only groups whose bound reaches the threshold are opened, and
 an opened group's members are compared with the query on all tokens.
 
 The prefix makes this exact: sets with Jaccard t share a token among the first
-n - ceil(t n) + 1 of each under any common order of tokens. The order puts very
-frequent tokens last (those in more than one of FREQUENT documents, of which there
-are FREQUENT times the mean set size at most), then goes by hash.
+n - ceil(t n) + 1 of each under any common order of tokens, and behind the first
+shared token both have at least their overlap left. The order puts frequent tokens
+last (the LATE_TOKENS most frequent ones at most), then goes by hash.
 
-Round one links each token's sets to one of them, which joins groups of near
-copies at linear cost; round two takes up what is still apart.
+Round one compares each token's sets with LEADERS of them, which joins groups of
+near copies at linear cost; round two takes up all that is still apart.
 
 Edge cases: a null text is empty; a text without words has an empty set and no
 links; fewer words than the width make one shingle; equal texts and repeated rows
@@ -31,11 +31,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankloom.llm.common import written
+from rankloom.llm.common import Scratch, written
 from rankloom.llm.words import mix64, shingles, word_chunks
 
-FREQUENT, CELL, SKETCH = 4096, 512, 256
-PAIR_BATCH = 1 << 20
+LATE_TOKENS, OFTEN, LEADERS, CELL, SKETCH = 1 << 21, 8, 4, 512, 256
+PAIR_BATCH, COUNTED_TOGETHER = 1 << 20, 8192
 
 
 def binary_column(values: np.ndarray, first: np.ndarray) -> pa.Array:
@@ -79,23 +79,37 @@ class JaccardJoin:
     def __init__(self, docs: DataFrame, width: int = 4, percent: int = 85):
         self.docs, self.width, self.percent = docs.select("doc_id", "text"), width, percent
         self.spark = docs.sparkSession
+        self.scratch = Scratch(self.spark, "jaccard")
 
     # -- sets and their prefixes -------------------------------------------------
 
     def frequent_tokens(self) -> np.ndarray:
-        """Tokens to put last. What a batch holds once or twice only is no candidate; any such set gives an exact join."""
+        """Tokens to put last, LATE_TOKENS at most.
+
+        Any set gives an exact join, so what a batch holds once is not counted.
+        Small input partitions are read together, since a token that occurs in one
+        of many small batches each would be missed.
+        """
         width = self.width
 
         def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
                 codes = [shingles(words, width)[1] for _, _, words in word_chunks(batch.column(0))]
                 token, n = np.unique(np.concatenate(codes), return_counts=True) if codes else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-                often = n >= max(3, batch.num_rows // (2 * FREQUENT))
+                often = n > 1
                 yield pa.RecordBatch.from_arrays([pa.array(token[often].view(np.int64)), pa.array(n[often].astype(np.int64))], names=["token", "n"])
 
-        total = self.docs.count()
-        table = self.docs.select("text").mapInArrow(count, "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
-        found = table.filter(F.col("n") >= max(8, total // FREQUENT)).select("token").toArrow()
+        tasks = max(1, self.docs.count() // COUNTED_TOGETHER)
+        table = self.docs.select("text").coalesce(tasks).mapInArrow(count, "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
+        table = self.scratch.written(table.filter(F.col("n") >= OFTEN), "frequent")
+        step = F.floor(F.log2("n") * 8).cast("int")
+        least, held = None, 0
+        for r in sorted(table.groupBy(step.alias("step")).agg(F.count("*").alias("c")).collect(), reverse=True):
+            held += r["c"]
+            if held > LATE_TOKENS:
+                break
+            least = r["step"]
+        found = table.filter(step >= least if least is not None else F.lit(False)).select("token").toArrow()
         return np.sort(found["token"].to_numpy().view(np.uint64)) if found.num_rows else np.zeros(0, np.uint64)
 
     def sets(self) -> DataFrame:
@@ -130,12 +144,16 @@ class JaccardJoin:
                     )
 
         rows = self.docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", "text")
-        return written(rows.mapInArrow(make, "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, prefix binary, sketch binary"), "sets")
+        return self.scratch.written(rows.mapInArrow(make, "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, prefix binary, sketch binary"), "sets")
 
     # -- the token-group matrix --------------------------------------------------
 
-    def matrix(self, nodes: DataFrame, cells: int) -> DataFrame:
-        """nodes (rid, n, grp, members, prefix) -> packed columns of (token, rid, n, grp, members) by a hash of the token."""
+    def matrix(self, nodes: DataFrame, cells: int, first_round: bool) -> DataFrame:
+        """nodes (rid, n, grp, members, prefix) -> packed columns of the matrix by a hash of the token.
+
+        left counts the tokens of the set from this one on; in the first round each set is its own group.
+        """
+        names = ["token", "rid", "n", "left"] + ([] if first_round else ["grp", "members"])
 
         def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
@@ -146,10 +164,14 @@ class JaccardJoin:
                 edges = np.searchsorted(cell[order], np.arange(cells + 1))
                 used = np.flatnonzero(np.diff(edges))
                 bounds = np.append(edges[used], len(token))
-                columns = [token, *(np.repeat(batch.column(k).to_numpy(), size) for k in range(4))]
-                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), *(binary_column(c[order], bounds) for c in columns)], names=["cell", "token", "rid", "n", "grp", "members"])
-
-        packed = nodes.select("rid", "n", "grp", "members", "prefix").mapInArrow(pack, "cell int, token binary, rid binary, n binary, grp binary, members binary")
+                rid, n, grp, members = (batch.column(k).to_numpy() for k in range(4))
+                left = np.repeat(n + first[:-1], size) - np.arange(len(token))
+                columns = [token, np.repeat(rid, size), np.repeat(n, size).astype(np.int32), left.astype(np.int32)]
+                if not first_round:
+                    columns += [np.repeat(grp, size), np.repeat(members, size)]
+                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), *(binary_column(c[order], bounds) for c in columns)], names=["cell", *names])
+
+        packed = nodes.select("rid", "n", "grp", "members", "prefix").mapInArrow(pack, "cell int, " + ", ".join(f"{x} binary" for x in names))
         return packed
 
     def queries(self, matrix: DataFrame, first_round: bool) -> DataFrame:
@@ -158,22 +180,36 @@ class JaccardJoin:
 
         def meet(table: pa.Table) -> pa.Table:
             token = joined_bytes(table["token"], np.uint64)[0]
-            rid, n, grp, members = (joined_bytes(table[c], np.int64)[0] for c in ("rid", "n", "grp", "members"))
+            rid = joined_bytes(table["rid"], np.int64)[0]
+            n, left = (joined_bytes(table[c], np.int32)[0].astype(np.int64) for c in ("n", "left"))
+            grp, members = (rid, np.ones_like(rid)) if first_round else (joined_bytes(table[c], np.int64)[0] for c in ("grp", "members"))
             order = np.lexsort((grp, token))
-            token, rid, n, grp, members = (x[order] for x in (token, rid, n, grp, members))
+            token, rid, n, grp, members, left = (x[order] for x in (token, rid, n, grp, members, left))
             new = np.ones(len(token), bool)
             new[1:] = token[1:] != token[:-1]
             run = np.cumsum(new) - 1
             head = new.copy()
             head[1:] |= grp[1:] != grp[:-1]
+            share = lambda n_x, left_x, low_y, high_y, left_y: (100 * n_x >= percent * low_y) & (100 * high_y >= percent * n_x) & ((100 + percent) * np.minimum(left_x, left_y) >= percent * (n_x + low_y))
             line = np.flatnonzero(head)
             if first_round:
-                leader = np.flatnonzero(new)[run]
-                fits = (grp != grp[leader]) & (100 * np.minimum(n, n[leader]) >= percent * np.maximum(n, n[leader]))
-                x, g = unique_pairs(rid[fits], grp[leader][fits])
+                # Leaders are the sets that share most here: the least changed of a group of copies.
+                _, own = np.unique(rid, return_inverse=True)
+                shared = np.bincount(own, np.bincount(run)[run] - 1.0)[own] if len(run) else np.zeros(0)
+                order = np.lexsort((rid, -shared, run))
+                rid, n, grp, left = (x[order] for x in (rid, n, grp, left))
+                begin = np.flatnonzero(new)[run]
+                xs, gs = [], []
+                for k in range(LEADERS):
+                    i = np.flatnonzero(np.arange(len(token)) - begin > k)
+                    j = begin[i] + k
+                    fits = share(n[i], left[i], n[j], n[j], left[j])
+                    xs.append(rid[i[fits]])
+                    gs.append(grp[j[fits]])
+                x, g = unique_pairs(np.concatenate(xs), np.concatenate(gs))
             else:
                 # Rows of a line: one token, one group. Each row meets the other lines of its token.
-                low, high = np.minimum.reduceat(n, line), np.maximum.reduceat(n, line)
+                low, high, most = np.minimum.reduceat(n, line), np.maximum.reduceat(n, line), np.maximum.reduceat(left, line)
                 per_run = np.bincount(run[line], minlength=run[-1] + 1)
                 line_first = np.concatenate([[0], np.cumsum(per_run)[:-1]])
                 mixed = np.flatnonzero(per_run[run] > 1)
@@ -185,7 +221,7 @@ class JaccardJoin:
                     which, other = spread(line_first[run[rows]], per_run[run[rows]])
                     i, j = rows[which], line[other]
                     smaller = (members[i] < members[j]) | ((members[i] == members[j]) & (grp[i] < grp[j]))
-                    fits = smaller & (100 * n[i] >= percent * low[other]) & (100 * high[other] >= percent * n[i])
+                    fits = smaller & share(n[i], left[i], low[other], high[other], most[other])
                     x, g = unique_pairs(rid[i[fits]], grp[j[fits]])
                     xs.append(x)
                     gs.append(g)
@@ -239,12 +275,12 @@ class JaccardJoin:
 
     def opened(self, asked: DataFrame, nodes: DataFrame) -> DataFrame:
         """Links (a, b) between the query sets and the members of their groups, on all tokens."""
-        asked = written(asked, "asked")
+        asked = self.scratch.written(asked, "asked")
         groups = asked.groupBy("grp").agg(F.count("*").alias("askers"))
-        members = written(nodes.select("rid", "grp", "members", "doc_id", "k1", "k2").join(groups, "grp"), "members")
+        members = self.scratch.written(nodes.select("rid", "grp", "members", "doc_id", "k1", "k2").join(groups, "grp"), "members")
         cut = lambda n: F.expr(f"int(ceil({n} / {CELL}))")
         wanted = members.select("rid", "doc_id", "k1", "k2").unionByName(nodes.join(asked.select("rid").distinct(), "rid", "left_semi").select("rid", "doc_id", "k1", "k2")).distinct()
-        tokens = written(self.tokens_of(wanted), "tokens")
+        tokens = self.scratch.written(self.tokens_of(wanted), "tokens")
         piece = lambda n: F.pmod(F.xxhash64("rid"), cut(n)).cast("int")
         mine = members.select("grp", "rid", piece("members").alias("mpart"), F.explode(F.sequence(F.lit(0), cut("askers") - 1)).alias("qpart")).join(tokens, "rid")
         sizes = members.select("grp", "members", "askers").distinct()
@@ -295,7 +331,7 @@ class JaccardJoin:
                         digest[1, some] = np.add.reduceat(mix64(code ^ np.uint64(0x5851F42D4C957F2D)), first[some])
                     yield pa.RecordBatch.from_arrays([pa.array(digest[0].view(np.int64)), pa.array(digest[1].view(np.int64)), binary_column(code, first)], names=["k1", "k2", "codes"])
 
-        ids = wanted.select(F.col("doc_id").alias("id")).distinct()
+        ids = self.scratch.written(wanted.select(F.col("doc_id").alias("id")).distinct(), "ids")
         texts = self.docs.join(ids, F.expr("doc_id <=> id"), "left_semi")
         made = texts.mapInArrow(make, "k1 bigint, k2 bigint, codes binary").dropDuplicates(["k1", "k2"])
         return made.join(wanted.select("rid", "k1", "k2"), ["k1", "k2"]).select("rid", "codes")
@@ -305,30 +341,33 @@ class JaccardJoin:
     def components(self) -> DataFrame:
         """rid, doc_id, n, component_id of every document."""
         sets = self.sets()
-        firsts = sets.filter("n > 0").groupBy("k1", "k2", "n").agg(F.min("rid").alias("rid"))
-        nodes = sets.join(firsts.select("rid"), "rid", "left_semi").select("rid", "doc_id", "n", "k1", "k2", "prefix", "sketch")
-        total = max(1, firsts.count())
-        cells = min(1 << 15, max(8, total // 4096))
+        keys = ["k1", "k2", "n"]
+        some = sets.filter("n > 0").select("rid", *keys)
+        firsts = some.groupBy(*keys).agg(F.min("rid").alias("node"), F.count("*").alias("copies"))
+        again = self.scratch.written(some.join(firsts.filter("copies > 1"), keys).filter("rid <> node").select("rid", "node"), "again")
+        nodes = sets.filter("n > 0").join(again.select("rid"), "rid", "left_anti")
+        cells = min(1 << 15, max(8, sets.count() // 6144))
         alone = nodes.withColumn("grp", F.col("rid")).withColumn("members", F.lit(1).cast("long"))
-        links = self.round(alone, cells, True)
-        links = written(links, "links")
-        labels = written(connected(links), "labels")
+        links = self.scratch.written(self.round(alone, cells, True), "links")
+        labels = connected(links, self.scratch)
         sizes = labels.groupBy("root").agg(F.count("*").alias("members"))
-        grouped = nodes.join(labels.join(sizes, "root"), "rid", "left")
-        grouped = written(grouped.withColumn("grp", F.coalesce("root", "rid")).withColumn("members", F.coalesce("members", F.lit(1))).drop("root"), "grouped")
-        more = written(self.round(grouped, cells, False), "links")
-        labels = written(connected(links.unionByName(more)), "labels")
-        keyed = sets.select("rid", "doc_id", "n", "k1", "k2").join(firsts.withColumnRenamed("rid", "node"), ["k1", "k2", "n"], "left")
-        keyed = keyed.join(labels.withColumnRenamed("rid", "node"), "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node", "rid").alias("comp"))
+        labels = self.scratch.written(labels.join(sizes, "root"), "labels")
+        grouped = nodes.join(labels, "rid", "left").withColumn("grp", F.coalesce("root", "rid")).withColumn("members", F.coalesce("members", F.lit(1).cast("long"))).drop("root")
+        more = self.scratch.written(self.round(grouped, cells, False), "links")
+        labels = self.scratch.written(connected(links.unionByName(more), self.scratch), "labels").withColumnRenamed("rid", "node")
+        keyed = sets.select("rid", "doc_id", "n").join(again, "rid", "left").withColumn("node", F.coalesce("node", "rid"))
+        keyed = keyed.join(labels, "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node").alias("comp"))
         smallest = keyed.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-        return keyed.join(smallest, "comp").select("rid", "doc_id", "n", "component_id")
+        out = written(keyed.join(smallest, "comp").select("rid", "doc_id", "n", "component_id"), "components")
+        self.scratch.drop()
+        return out
 
     def round(self, nodes: DataFrame, cells: int, first_round: bool) -> DataFrame:
-        asked = written(self.queries(self.matrix(nodes, cells), first_round), "queries")
+        asked = self.scratch.written(self.queries(self.matrix(nodes, cells, first_round), first_round), "queries")
         return self.opened(self.qualifying(asked, nodes, first_round), nodes)
 
 
-def connected(links: DataFrame) -> DataFrame:
+def connected(links: DataFrame, scratch: Scratch) -> DataFrame:
     """links (a, b) -> rid, root (smallest rid) of all that have a link.
 
     Alternates two star steps until nothing moves: every node hands its larger
@@ -336,7 +375,7 @@ def connected(links: DataFrame) -> DataFrame:
     aggregation and one join; state is written in the shared folder.
     """
     ordered = lambda e: e.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).filter("u <> v").distinct()
-    edges = written(ordered(links), "edges")
+    edges = scratch.written(ordered(links), "edges")
     seen = None
     while True:
         both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
@@ -346,7 +385,7 @@ def connected(links: DataFrame) -> DataFrame:
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u")
         small = small.select(F.col("v").alias("a"), F.col("m").alias("b")).unionByName(least.select(F.col("u").alias("a"), F.col("m").alias("b")))
-        edges = written(ordered(small), "edges")
+        edges = scratch.written(ordered(small), "edges")
         state = edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).collect()[0]
         if tuple(state) == seen:
             return edges.select(F.col("u").alias("rid"), F.col("v").alias("root")).unionByName(edges.select(F.col("v").alias("rid"), F.col("v").alias("root"))).distinct()
@@ -364,11 +403,12 @@ def dedupe_stage(docs: DataFrame) -> DataFrame:
     Rows without a doc_id, or with one that occurs several times, are only freed
     of exact repeats.
     """
-    rows = written(JaccardJoin(docs, width=5, percent=80).components(), "components")
-    twice = rows.groupBy("doc_id").agg(F.count("*").alias("c")).filter("c > 1 or doc_id is null").select(F.col("doc_id").alias("id"))
-    gone = rows.filter("doc_id <> component_id").select(F.col("doc_id").alias("id")).join(twice, "id", "left_anti").distinct()
-    kept = docs.join(gone, docs["doc_id"] == gone["id"], "left_anti")
+    rows = JaccardJoin(docs, width=5, percent=80).components()
+    twice = rows.groupBy("doc_id").agg(F.count("*").alias("c")).filter("c > 1 or doc_id is null").select(F.col("doc_id").alias("_twice"))
+    gone = rows.filter("doc_id <> component_id").select(F.col("doc_id").alias("_gone"))
+    gone = gone.join(twice, gone["_gone"] == twice["_twice"], "left_anti").distinct()
+    kept = docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
     if twice.limit(1).count() == 0:
         return kept
-    odd = F.expr("doc_id <=> id")
+    odd = F.expr("doc_id <=> _twice")
     return kept.join(twice, odd, "left_anti").unionByName(kept.join(twice, odd, "left_semi").dropDuplicates(["doc_id", "text"]))
