@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from rankloom.operators.ordered import running_sums
+
 
 def points(sketch: str = "sketch") -> Column:
     """ARRAY<STRUCT<value, weight, height>> of a sketch: cumulative weights estimate ranks."""
@@ -55,8 +57,8 @@ def ranks(points_df: DataFrame, probes: DataFrame, method: str = "asof") -> Data
         hit = probes.join(points_df.select("value", "weight"), F.col("value") <= F.col("probe"), "left")
         return hit.groupBy("probe").agg(F.coalesce(F.sum("weight"), F.lit(0).cast("long")).alias("est_rank"))
     both = points_df.select(F.col("value").alias("at"), "weight", F.lit(False).alias("asks")).unionByName(probes.select(F.col("probe").alias("at"), F.lit(0).cast("long").alias("weight"), F.lit(True).alias("asks")))
-    upto = Window.partitionBy(F.lit(0)).orderBy("at").rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    return both.withColumn("est_rank", F.sum("weight").over(upto)).filter("asks").select(F.col("at").alias("probe"), "est_rank").distinct()
+    summed = running_sums(both, "at", {"est_rank": F.col("weight")})
+    return summed.filter("asks").select(F.col("at").alias("probe"), "est_rank").distinct()
 
 
 def value_at_rank(cdf_df: DataFrame, rank_col: Column, by: list[str] | None = None) -> DataFrame:

@@ -1,16 +1,19 @@
-"""Exact ranks and quantiles. They sort or count all rows: references, not for 100 TB windows."""
+"""Exact ranks and quantiles. They sort or count all rows, by ranges: references for the sketches."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from rankloom.operators.ordered import ROWS_EACH, running_sums
 
-def rank_column(df: DataFrame, value: str, by: list[str] | None = None) -> DataFrame:
+
+def rank_column(df: DataFrame, value: str, by: list[str] | None = None, rows_each: int = ROWS_EACH) -> DataFrame:
     """df with exact_rank: rows at or below each row's value."""
-    part = [F.col(b) for b in by or []] or [F.lit(0)]
-    upto = Window.partitionBy(*part).orderBy(value).rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    return df.withColumn("exact_rank", F.count("*").over(upto))
+    if by:
+        upto = Window.partitionBy(*by).orderBy(value).rangeBetween(Window.unboundedPreceding, Window.currentRow)
+        return df.withColumn("exact_rank", F.count("*").over(upto))
+    return running_sums(df, value, {"exact_rank": F.lit(1).cast("long")}, rows_each)
 
 
 def ranks(df: DataFrame, value: str, probes: list) -> DataFrame:
@@ -22,16 +25,15 @@ def ranks(df: DataFrame, value: str, probes: list) -> DataFrame:
     return one.select(F.explode(rows).alias("x")).select("x.*")
 
 
-def counts_by_value(df: DataFrame, value: str) -> DataFrame:
+def counts_by_value(df: DataFrame, value: str, rows_each: int = ROWS_EACH) -> DataFrame:
     """value, n, exact_rank: the exact cdf over different values."""
     counts = df.groupBy(F.col(value).alias("value")).agg(F.count("*").alias("n"))
-    upto = Window.partitionBy(F.lit(0)).orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return counts.withColumn("exact_rank", F.sum("n").over(upto))
+    return running_sums(counts, "value", {"exact_rank": F.col("n")}, rows_each)
 
 
 def nth(df: DataFrame, value: str, n: int) -> DataFrame:
     """The n-th smallest value, of any orderable type."""
-    return df.withColumn("rn", F.row_number().over(Window.partitionBy(F.lit(0)).orderBy(value))).filter(F.col("rn") == n).select(F.col(value).alias("value"))
+    return counts_by_value(df, value).filter((F.col("exact_rank") >= n) & (F.col("exact_rank") - F.col("n") < n)).select("value")
 
 
 def percentiles(df: DataFrame, value: str, fractions: list[float], by: list[str] | None = None) -> DataFrame:
@@ -44,8 +46,10 @@ def percentiles(df: DataFrame, value: str, fractions: list[float], by: list[str]
 
 def offline_grid(df: DataFrame, value: str, step: int) -> DataFrame:
     """Every step-th value in order, with its rank: the smallest summary of error step / 2."""
-    line = Window.partitionBy(F.lit(0)).orderBy(value)
-    return df.select(F.col(value).alias("value"), F.row_number().over(line).cast("long").alias("rank")).filter(F.col("rank") % step == 0)
+    lines = counts_by_value(df, value).withColumn("first", F.col("exact_rank") - F.col("n") + 1)
+    ranks_here = F.sequence(F.expr(f"(first + {step - 1}) div {step} * {step}"), F.col("exact_rank"), F.lit(step).cast("long"))
+    held = lines.filter(F.expr(f"exact_rank div {step} > (first - 1) div {step}"))
+    return held.select("value", F.explode(ranks_here).alias("rank"))
 
 
 def moving_median(df: DataFrame, value: str, order: str, rows: int) -> DataFrame:

@@ -7,11 +7,12 @@ import time
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankloom.functions import answer
 from rankloom.operators import exact
+from rankloom.operators.ordered import running_sums
 
 
 def errors(points: DataFrame, data: DataFrame, value: str, probes: list) -> DataFrame:
@@ -35,9 +36,8 @@ def sup_error(points: DataFrame, data: DataFrame, value: str) -> DataFrame:
     mine = data.groupBy(F.col(value).alias("value")).agg(F.count("*").alias("n")).filter("value is not null")
     both = mine.select("value", "n", F.lit(0).cast("long").alias("w")).unionByName(points.select("value", F.lit(0).cast("long").alias("n"), F.col("weight").alias("w")))
     both = both.groupBy("value").agg(F.sum("n").alias("n"), F.sum("w").alias("w"))
-    upto = Window.partitionBy(F.lit(0)).orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    gap = F.sum(F.col("w") - F.col("n")).over(upto)
-    return both.select(F.abs(gap).alias("e")).agg(F.max("e").alias("sup_error"))
+    gaps = running_sums(both, "value", {"gap": F.col("w") - F.col("n")})
+    return gaps.select(F.abs("gap").alias("e")).agg(F.max("e").alias("sup_error"))
 
 
 def inverse_errors(points: DataFrame, data: DataFrame, value: str, targets: list[int]) -> DataFrame:

@@ -133,6 +133,15 @@ def test_exact_references(spark, small):
     assert exact.counts_by_value(rows, "value").agg(F.max("exact_rank")).collect()[0][0] == 10_000
 
 
+@pytest.mark.parametrize("column", ["value", "event_id", "ts", "event_type"])
+def test_running_sums_by_ranges(spark, small, column):
+    rows = io.load(spark, small, "events", column)
+    one, many = (exact.counts_by_value(rows, column, n).orderBy("value").collect() for n in (1 << 20, 100))
+    assert one == many and many[-1].exact_rank == 10_000
+    ranks = exact.rank_column(rows, column, rows_each=500)
+    assert ranks.agg(F.max("exact_rank"), F.count("*")).collect()[0] == (10_000, 10_000)
+
+
 def test_sql_functions(spark, small):
     register_rank_function(spark)
     register_levels_function(spark)
