@@ -64,7 +64,7 @@ def stored_panes(spark: SparkSession, path: str) -> DataFrame:
 
 
 def continuous(df: DataFrame, key: str, value: str, plan: Plan, seed: int = 42) -> DataFrame:
-    """key, n, sketch after every trigger: one growing sketch for each key in the state store."""
+    """key, n, median after every trigger, from one growing sketch for each key in the state store."""
     value_type, key_type = df.schema[value].dataType, df.schema[key].dataType
     out = T.StructType([T.StructField(key, key_type), T.StructField("n", T.LongType()), T.StructField("median", value_type)])
     state = T.StructType([T.StructField("row", T.StringType())])
