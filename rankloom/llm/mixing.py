@@ -106,7 +106,8 @@ def mix_plan(rows: DataFrame, weights: Mapping[str, Mapping[str, int]], budget:
     run = Window.partitionBy(*LEVELS, "slice").orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, -1)
     cut = cut.withColumn("ahead", F.col("before") + F.coalesce(F.sum("tokens_").over(run), F.lit(0))).filter("ahead < rest")
     last = cut.groupBy(*LEVELS).agg(F.max(F.struct("key", F.coalesce("doc_id", F.lit(-(2**63))).alias("id"), F.least("tokens_", F.col("rest") - F.col("ahead")).alias("take"))).alias("last"))
-    return grants.join(last, list(LEVELS), "left").select(*LEVELS, "tokens", "supply", "grant", "full_epochs", F.col("last.key").alias("cut_key"), F.col("last.id").alias("cut_id"), F.col("last.take").alias("cut_take"))
+    plan = grants.join(last, list(LEVELS), "left").select(*LEVELS, "tokens", "supply", "grant", "full_epochs", F.col("last.key").alias("cut_key"), F.col("last.id").alias("cut_id"), F.col("last.take").alias("cut_take"))
+    return written(plan, "plan")
 
 
 def with_copies(rows: DataFrame, plan: DataFrame, seed: int) -> DataFrame:
