@@ -25,6 +25,9 @@ def shared_folder(spark: SparkSession) -> str:
     return spark.sparkContext.getCheckpointDir()
 
 
+ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
+
+
 class Scratch:
     """Working tables in one folder of the shared folder, dropped together."""
 
@@ -34,11 +37,16 @@ class Scratch:
     def written(self, df: DataFrame, label: str) -> DataFrame:
         """df after a round trip through Parquet.
 
-        Cuts lineage: a lost executor costs the tasks that read, not the work
+        Kernels on the way get batches of 2,048 rows, so that long texts fit. Cuts lineage: a lost executor costs the tasks that read, not the work
         before. Its size is known, so a small one is broadcast in joins.
         """
         path = f"{self.path}/{label}-{uuid.uuid4().hex[:8]}"
-        df.write.parquet(path)
+        rows = self.spark.conf.get(ARROW_ROWS)
+        try:
+            self.spark.conf.set(ARROW_ROWS, min(int(rows), 2048))
+            df.write.parquet(path)
+        finally:
+            self.spark.conf.set(ARROW_ROWS, rows)
         return self.spark.read.schema(df.schema).parquet(path)
 
     def drop(self) -> None:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankloom.llm.words import WordChunk, mix64, word_chunks
+from rankloom.llm.words import WordChunk, mix64, tidy, word_chunks
 
 SLICE, BLOCK_ITEMS, OPEN_AT_ONCE = 20_000, 4, 1 << 14
 K1, B = 1.2, 0.75
@@ -208,7 +208,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, ov
                 ids = batch.column(0).take(pa.array([r[0] for r in rows], pa.int64()))
                 yield pa.RecordBatch.from_arrays([ids, *(pa.array([r[k] for r in rows], kind) for k, kind in ((1, pa.int64()), (2, pa.float64()), (3, pa.float64()), (4, pa.float64())))], names=["doc_id", "item_id", "score", "question_overlap", "answer_overlap"])
 
-        found = docs.select("doc_id", "text").mapInArrow(run, schema)
+        found = docs.select("doc_id", "text").mapInArrow(tidy(run), schema)
         out = found if out is None else out.unionByName(found)
     return docs.sparkSession.createDataFrame([], schema) if out is None else out
 
@@ -224,5 +224,5 @@ def decontaminate_stage(docs: DataFrame, benchmark: DataFrame, threshold: float
                 clean[np.array([r[0] for r in index.leaks(batch.column(place), overlap)], np.int64)] = False
                 yield batch.filter(pa.array(clean))
 
-        docs = docs.mapInArrow(run, docs.schema)
+        docs = docs.mapInArrow(tidy(run), docs.schema)
     return docs

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from rankloom.llm.common import Scratch, written
-from rankloom.llm.words import mix64, shingles, word_chunks
+from rankloom.llm.words import mix64, shingles, tidy, tidy_pair, tidy_table, word_chunks
 
 LATE_TOKENS, OFTEN, LEADERS, CELL, SKETCH = 1 << 21, 8, 4, 512, 256
 PAIR_BATCH, COUNTED_TOGETHER = 1 << 20, 8192
@@ -86,21 +86,31 @@ class JaccardJoin:
     def frequent_tokens(self) -> np.ndarray:
         """Tokens to put last, LATE_TOKENS at most.
 
-        Any set gives an exact join, so what a batch holds once is not counted.
-        Small input partitions are read together, since a token that occurs in one
-        of many small batches each would be missed.
+        Any set gives an exact join, so what some thousand rows hold once is not counted.
+        Small input partitions are read together, or such tokens would be missed.
         """
         width = self.width
 
         def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held, rows = [], 0
+
+            def repeated() -> pa.RecordBatch:
+                codes = np.concatenate(held)
+                codes.sort()
+                token, n = np.unique(codes[np.flatnonzero(codes[1:] == codes[:-1])], return_counts=True)
+                return pa.RecordBatch.from_arrays([pa.array(token.view(np.int64)), pa.array(n.astype(np.int64) + 1)], names=["token", "n"])
+
             for batch in batches:
-                codes = [shingles(words, width)[1] for _, _, words in word_chunks(batch.column(0))]
-                token, n = np.unique(np.concatenate(codes), return_counts=True) if codes else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-                often = n > 1
-                yield pa.RecordBatch.from_arrays([pa.array(token[often].view(np.int64)), pa.array(n[often].astype(np.int64))], names=["token", "n"])
+                held += [shingles(words, width)[1] for _, _, words in word_chunks(batch.column(0))]
+                rows += batch.num_rows
+                if rows >= COUNTED_TOGETHER:
+                    yield repeated()
+                    held, rows = [], 0
+            if held:
+                yield repeated()
 
         tasks = max(1, self.docs.count() // COUNTED_TOGETHER)
-        table = self.docs.select("text").coalesce(tasks).mapInArrow(count, "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
+        table = self.docs.select("text").coalesce(tasks).mapInArrow(tidy(count), "token bigint, n bigint").groupBy("token").agg(F.sum("n").alias("n"))
         table = self.scratch.written(table.filter(F.col("n") >= OFTEN), "frequent")
         step = F.floor(F.log2("n") * 8).cast("int")
         least, held = None, 0
@@ -144,7 +154,7 @@ class JaccardJoin:
                     )
 
         rows = self.docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", "text")
-        return self.scratch.written(rows.mapInArrow(make, "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, prefix binary, sketch binary"), "sets")
+        return self.scratch.written(rows.mapInArrow(tidy(make), "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, prefix binary, sketch binary"), "sets")
 
     # -- the token-group matrix --------------------------------------------------
 
@@ -171,7 +181,7 @@ class JaccardJoin:
                     columns += [np.repeat(grp, size), np.repeat(members, size)]
                 yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), *(binary_column(c[order], bounds) for c in columns)], names=["cell", *names])
 
-        packed = nodes.select("rid", "n", "grp", "members", "prefix").mapInArrow(pack, "cell int, " + ", ".join(f"{x} binary" for x in names))
+        packed = nodes.select("rid", "n", "grp", "members", "prefix").mapInArrow(tidy(pack), "cell int, " + ", ".join(f"{x} binary" for x in names))
         return packed
 
     def queries(self, matrix: DataFrame, first_round: bool) -> DataFrame:
@@ -228,7 +238,7 @@ class JaccardJoin:
                 x, g = unique_pairs(np.concatenate(xs), np.concatenate(gs)) if xs else (np.zeros(0, np.int64),) * 2
             return pa.table({"rid": pa.array(x, pa.int64()), "grp": pa.array(g, pa.int64())})
 
-        return matrix.groupBy("cell").applyInArrow(meet, "rid bigint, grp bigint").distinct()
+        return matrix.groupBy("cell").applyInArrow(tidy_table(meet), "rid bigint, grp bigint").distinct()
 
     # -- bounds and opened groups ------------------------------------------------
 
@@ -252,7 +262,7 @@ class JaccardJoin:
 
         schema = "grp bigint, low bigint, union binary"
         alone = nodes.filter("members = 1").select("grp", F.col("n").alias("low"), F.col("sketch").alias("union"))
-        large = nodes.filter("members > 1").select("grp", F.col("n").alias("low"), "sketch").mapInArrow(by_batch, schema)
+        large = nodes.filter("members > 1").select("grp", F.col("n").alias("low"), "sketch").mapInArrow(tidy(by_batch), schema)
         return alone.unionByName(large.groupBy("grp").applyInArrow(by_group, schema))
 
     def qualifying(self, asked: DataFrame, nodes: DataFrame, first_round: bool) -> DataFrame:
@@ -271,7 +281,7 @@ class JaccardJoin:
                 keep = full | (100 * most >= percent * (n + np.maximum(least, most) - most))
                 yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], names=["rid", "grp"]).filter(pa.array(keep))
 
-        return both.select("rid", "grp", "n", "low", "sketch", "union").mapInArrow(bound, "rid bigint, grp bigint")
+        return both.select("rid", "grp", "n", "low", "sketch", "union").mapInArrow(tidy(bound), "rid bigint, grp bigint")
 
     def opened(self, asked: DataFrame, nodes: DataFrame) -> DataFrame:
         """Links (a, b) between the query sets and the members of their groups, on all tokens."""
@@ -311,7 +321,7 @@ class JaccardJoin:
             join = lambda x: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64())
             return pa.table({"a": join(a), "b": join(b)})
 
-        pairs = asks.groupBy("grp", "mpart", "qpart").cogroup(mine.groupBy("grp", "mpart", "qpart")).applyInArrow(compare, "a bigint, b bigint")
+        pairs = asks.groupBy("grp", "mpart", "qpart").cogroup(mine.groupBy("grp", "mpart", "qpart")).applyInArrow(tidy_pair(compare), "a bigint, b bigint")
         return pairs
 
     def tokens_of(self, wanted: DataFrame) -> DataFrame:
@@ -333,7 +343,7 @@ class JaccardJoin:
 
         ids = self.scratch.written(wanted.select(F.col("doc_id").alias("id")).distinct(), "ids")
         texts = self.docs.join(ids, F.expr("doc_id <=> id"), "left_semi")
-        made = texts.mapInArrow(make, "k1 bigint, k2 bigint, codes binary").dropDuplicates(["k1", "k2"])
+        made = texts.mapInArrow(tidy(make), "k1 bigint, k2 bigint, codes binary").dropDuplicates(["k1", "k2"])
         return made.join(wanted.select("rid", "k1", "k2"), ["k1", "k2"]).select("rid", "codes")
 
     # -- the whole join ----------------------------------------------------------
@@ -346,7 +356,7 @@ class JaccardJoin:
         firsts = some.groupBy(*keys).agg(F.min("rid").alias("node"), F.count("*").alias("copies"))
         again = self.scratch.written(some.join(firsts.filter("copies > 1"), keys).filter("rid <> node").select("rid", "node"), "again")
         nodes = sets.filter("n > 0").join(again.select("rid"), "rid", "left_anti")
-        cells = min(1 << 15, max(8, sets.count() // 6144))
+        cells = min(1 << 15, max(8, sets.count() // 4096))
         alone = nodes.withColumn("grp", F.col("rid")).withColumn("members", F.lit(1).cast("long"))
         links = self.scratch.written(self.round(alone, cells, True), "links")
         labels = connected(links, self.scratch)

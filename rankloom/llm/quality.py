@@ -25,7 +25,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from rankloom.llm.words import row_chunks, text_buffers
+from rankloom.llm.words import give_back, row_chunks, text_buffers, tidy
 
 CHUNK, STEP, WIDTH, WIDE, FILTERS, FIT_CHUNKS, BLOCK = 512, 4, 8, 4, 16, 24, 2048
 
@@ -191,7 +191,10 @@ def fitted(docs: DataFrame, labels: DataFrame, per_class: int = 1500, seed: int
     picked = picks[0].unionByName(picks[1])
     table = docs.select("doc_id", "text").join(F.broadcast(picked), "doc_id").select("quality", F.coalesce("text", F.lit("")).cast("binary").alias("text"), F.xxhash64("doc_id").alias("o")).toArrow()
     table = table.sort_by([("o", "ascending"), ("text", "ascending")])
-    return fit(table["text"].to_pylist(), np.array(table["quality"].to_pylist(), np.int64), seed=seed)
+    model = fit(table["text"].to_pylist(), np.array(table["quality"].to_pylist(), np.int64), seed=seed)
+    del table
+    give_back()
+    return model
 
 
 def score_documents(docs: DataFrame, model: dict[str, np.ndarray], name: str = "score") -> DataFrame:
@@ -203,7 +206,7 @@ def score_documents(docs: DataFrame, model: dict[str, np.ndarray], name: str = "
             data, offsets = text_buffers(batch.column(batch.schema.get_field_index("text")))
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(probability(model, data, offsets))], names=[*batch.schema.names, name])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(tidy(run), schema)
 
 
 def classify_quality(docs: DataFrame, labels: DataFrame) -> DataFrame:
