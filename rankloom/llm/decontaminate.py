@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from rankloom.llm.words import WordChunk, mix64, tidy, word_chunks
+from rankloom.llm.words import WordChunk, forget_powers, mix64, tidy, word_chunks
 
 SLICE, BLOCK_ITEMS, OPEN_AT_ONCE = 20_000, 4, 1 << 14
 K1, B = 1.2, 0.75
@@ -193,7 +193,9 @@ def indexes(benchmark: DataFrame, threshold: float, min_words: int) -> Iterator[
     slices = -(-total // SLICE)
     for k in range(slices):
         part = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k) if slices > 1 else items
-        yield ItemIndex(sorted((r["item_id"], r["text"]) for r in part.collect() if r["item_id"] is not None), threshold, min_words)
+        index = ItemIndex(sorted((r["item_id"], r["text"]) for r in part.collect() if r["item_id"] is not None), threshold, min_words)
+        forget_powers()
+        yield index
 
 
 def find_leaks(docs: DataFrame, benchmark: DataFrame, threshold: float = 0.5, overlap: float = 0.5, min_words: int = 5) -> DataFrame:

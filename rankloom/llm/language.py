@@ -13,7 +13,6 @@ is "und"; equal texts have equal results.
 
 from __future__ import annotations
 
-import functools
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,10 +26,14 @@ SLOTS = 1 << 15
 BORDER = 1
 
 
-@functools.cache
+_LETTERS: dict[str, np.ndarray] = {}
+
+
 def letters() -> np.ndarray:
     """For each code point: is it a letter?"""
-    return np.array([chr(i).isalpha() for i in range(0x110000)])
+    if not _LETTERS:
+        _LETTERS["is"] = np.array([chr(i).isalpha() for i in range(0x110000)])
+    return _LETTERS["is"]
 
 
 class LetterChunk:

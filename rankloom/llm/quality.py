@@ -17,7 +17,10 @@ with several labels counts once for each in fitting.
 
 from __future__ import annotations
 
+import ctypes
+import os
 from collections.abc import Iterator
+from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
@@ -30,6 +33,23 @@ from rankloom.llm.words import give_back, row_chunks, text_buffers, tidy
 CHUNK, STEP, WIDTH, WIDE, FILTERS, FIT_CHUNKS, BLOCK = 512, 4, 8, 4, 16, 24, 2048
 
 
+_SET: set[int] = set()
+
+
+def one_thread_each() -> None:
+    """Keeps numpy's matrix products, which are small here, on the calling thread."""
+    if os.getpid() in _SET:
+        return
+    _SET.add(os.getpid())
+    maps = Path("/proc/self/maps")
+    found = {line.split()[-1] for line in maps.read_text().splitlines() if "openblas" in line} if maps.exists() else ()
+    for path in found:
+        library = ctypes.CDLL(path)
+        for name in ("scipy_openblas_set_num_threads64_", "scipy_openblas_set_num_threads", "openblas_set_num_threads64_", "openblas_set_num_threads"):
+            if hasattr(library, name):
+                getattr(library, name)(1)
+
+
 def padded_chunks(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """(chunks x CHUNK bytes with zeros behind each text, first chunk of each document)."""
     length = np.diff(offsets)
@@ -78,6 +98,7 @@ def with_blank(model: dict[str, np.ndarray]) -> dict[str, np.ndarray]:
 
 def probability(model: dict[str, np.ndarray], data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
     """P(label 1) of some texts."""
+    one_thread_each()
     if "prior" in model:
         return np.full(len(offsets) - 1, float(model["prior"]))
     out = []
@@ -109,6 +130,7 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 24, seed: int = 7,
     """A model from texts and 0/1 labels; both classes weigh the same."""
     if len(set(labels.tolist())) < 2:
         return {"prior": np.array(labels.mean() if len(labels) else 0.5)}
+    one_thread_each()
     rng = np.random.default_rng(seed)
     half = STEP * WIDE
     m = {

@@ -82,6 +82,11 @@ def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _POWERS["up"], _POWERS["down"]
 
 
+def forget_powers() -> None:
+    """Drops the kept powers, which would travel with functions made on the driver."""
+    _POWERS.clear()
+
+
 def mix64(x: np.ndarray) -> np.ndarray:
     """Bijective scrambling of 64-bit values."""
     x = x ^ (x >> np.uint64(33))
