@@ -1,21 +1,19 @@
 """LM scoring with a weighted backoff automaton.
 
-Counts come from all learning documents. Words are counted exactly. Contexts are
-runs of head words, those with at least 1/HEAD of all learning tokens (so HEAD at
-most, whatever the corpus), since rarer words have next to no repeated contexts.
-All other words follow a context as one class, within which they keep their
-unigram shares. Interpolated discounting by the number of a context's different
-followers gives each n-gram a log-probability and each context a backoff weight.
-
-As an automaton: kept contexts are states, n-grams are arcs, and a failure arc
-leads from a context to its shorter one at the cost of the backoff weight. All
+Counts come from all learning documents. Every word, every n-gram and every
+context that occurs in one is counted exactly and kept. Interpolated discounting
+by the number of a context's different followers gives each n-gram a
+log-probability and each context a backoff weight.
+
+As an automaton: contexts are states, n-grams are arcs, and a failure arc leads
+from a context to its shorter one at the cost of the backoff weight. All
 documents of a block go through it together, left to right, each carrying its
 state and its sum; long texts enter in pieces, warmed up on the words before.
 
-Nothing about the corpus is held whole anywhere but the head words. Documents
-are dealt to blocks; each block asks for the counts of its own n-grams, the
-answers, in the order asked, meet the block's documents again and make a small
-automaton there.
+Nothing about the corpus is held whole anywhere. Documents are dealt to blocks;
+each block asks for the counts of its own n-grams, the answers, in the order
+asked, meet the block's documents again and make a small automaton there. An ask
+names a context once, by its 64-bit code, and its followers by 48 bits.
 
 Edge cases: a null text is empty and has the end token only; equal texts have
 equal scores; without learning documents every probability is the base's, with
@@ -33,11 +31,13 @@ from pyspark.sql import functions as F
 
 from rankloom.llm.common import written
 from rankloom.llm.jaccard import binary_column, joined_bytes
-from rankloom.llm.words import WordChunk, mix64, word_chunks
+from rankloom.llm.words import WordChunk, mix64, tidy_pair, tidy_table, word_chunks
 
-ORDER, HEAD, BLOCK_DOCS, WORD_CELLS, PIECE = 3, 5_000, 4096, 256, 512
-END, OTHER = np.uint64(0x1F83D9ABFB41BD6B), np.uint64(0x5BE0CD19137E2179)
-ADD = 0.1
+ORDER, BLOCK_DOCS, WORD_CELLS, PIECE = 3, 4096, 256, 512
+#: Words of at least 1/HEAD of all learning tokens enter contexts: at this value those that occur once, so all of them.
+HEAD = 1 << 62
+END = np.uint64(0x1F83D9ABFB41BD6B)
+ADD, FOLLOWER_BYTES = 0.1, 6
 
 
 def held_out(doc_id: Column) -> Column:
@@ -54,75 +54,101 @@ def with_ends(words: WordChunk) -> tuple[np.ndarray, np.ndarray]:
     return out, first
 
 
-def classed(tokens: np.ndarray, head: np.ndarray) -> np.ndarray:
-    """Tokens with all words but head words replaced by their class."""
-    at = np.minimum(np.searchsorted(head, tokens), max(len(head) - 1, 0))
-    good = (head[at] == tokens) if len(head) else np.zeros(len(tokens), bool)
-    return np.where(good | (tokens == END), tokens, OTHER)
-
-
 def ngram_codes(tokens: np.ndarray, first: np.ndarray) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """For each order from 2: (position, context code, n-gram code) of the kept n-grams.
-
-    tokens are mapped by classed(). A kept n-gram lies within one document and its context has head words only.
-    """
+    """For each order from 2: (position, context code, n-gram code) of the n-grams, each within one document."""
     out = []
-    good = (tokens != OTHER) & (tokens != END)
-    starts = np.zeros(len(tokens), np.int64)
-    starts[first[:-1]] = 1
-    place = np.arange(len(tokens)) - first[:-1][np.cumsum(starts) - 1] if len(tokens) else starts
+    place = np.arange(len(tokens)) - np.repeat(first[:-1], np.diff(first))
     context = mix64(tokens + np.uint64(1))
-    run = good.copy()
     for order in range(2, ORDER + 1):
-        k = order - 1
+        spots = np.flatnonzero(place >= order - 1)
         shifted = np.zeros_like(context)
         shifted[1:] = context[:-1]
-        okay = np.zeros(len(tokens), bool)
-        okay[1:] = run[:-1]
-        okay &= place >= k
-        spots = np.flatnonzero(okay)
-        out.append((spots, shifted[spots], mix64(shifted[spots] * np.uint64(0x9E3779B97F4A7C15) + tokens[spots])))
         context = mix64(shifted * np.uint64(0x9E3779B97F4A7C15) + tokens)
-        run = okay & good
+        out.append((spots, shifted[spots], context[spots]))
     return out
 
 
+def in_planes(values: np.ndarray) -> bytes:
+    """Byte after byte of all values, which compresses where high bytes are zero."""
+    return values.view(np.uint8).reshape(len(values), -1).T.tobytes()
+
+
+def from_planes(data: np.ndarray, n: int, kind: type) -> np.ndarray:
+    return np.ascontiguousarray(data.reshape(-1, n).T).reshape(-1).view(kind) if n else np.zeros(0, kind)
+
+
+def packed(*parts: bytes) -> bytes:
+    return pa.compress(b"".join(parts), "zstd", asbytes=True)
+
+
+def unpacked(data: bytes, size: int) -> np.ndarray:
+    return np.frombuffer(pa.decompress(data, size, "zstd", asbytes=True), np.uint8)
+
+
 class BlockGrams:
-    """The different words and kept n-grams of one block, in the order in which it asks for them.
+    """The different words and n-grams of one block, in the order in which it asks for them.
 
-    Each of kinds has context, code and shorter (code without its first word),
-    ordered by cell and code; edges gives the rows of each cell.
+    Each of kinds is ordered by context and code. code, shorter (code without its
+    first word) and back (position -> its n-gram) go by n-gram; context, size (its
+    n-grams) and edges (the contexts of each cell) by context. A word is a context
+    of its own, of one n-gram.
     """
 
-    def __init__(self, tokens: np.ndarray, first: np.ndarray, head: np.ndarray, cells: int):
-        self.tokens, self.first, self.classed = tokens, first, classed(tokens, head)
-        words = np.unique(tokens)
-        self.kinds = [self.ordered(words, words, words, cells)]
-        codes = self.classed
-        for spots, context, code in ngram_codes(self.classed, first):
-            unique, at = np.unique(code, return_index=True)
-            self.kinds.append(self.ordered(context[at], unique, codes[spots[at]], cells))
+    def __init__(self, tokens: np.ndarray, first: np.ndarray, cells: int):
+        self.tokens, self.first, self.cells = tokens, first, cells
+        self.spots = [np.arange(len(tokens))]
+        self.kinds = [self.ordered(tokens, tokens, tokens)]
+        codes = tokens
+        for spots, context, code in ngram_codes(tokens, first):
+            self.spots.append(spots)
+            self.kinds.append(self.ordered(context, code, codes[spots]))
             codes = np.zeros(len(tokens), np.uint64)
             codes[spots] = code
 
-    @staticmethod
-    def ordered(context: np.ndarray, code: np.ndarray, shorter: np.ndarray, cells: int) -> dict[str, np.ndarray]:
-        cell = (mix64(context) % np.uint64(cells)).astype(np.int64)
-        order = np.argsort(cell, kind="stable")
-        edges = np.searchsorted(cell[order], np.arange(cells + 1))
-        return {"context": context[order], "code": code[order], "shorter": shorter[order], "edges": edges}
-
-    def learning_counts(self, learns: np.ndarray) -> list[np.ndarray]:
-        """Occurrences in learning documents, for each kind in its order."""
-        doc = np.repeat(np.arange(len(self.first) - 1), np.diff(self.first))
-        mine = learns[doc]
-        seen = [self.tokens[mine]] + [code[mine[spots]] for spots, _, code in ngram_codes(self.classed, self.first)]
-        out = []
-        for kind, codes in zip(self.kinds, seen, strict=True):
-            code, n = np.unique(codes, return_counts=True)
-            at = np.minimum(np.searchsorted(code, kind["code"]), max(len(code) - 1, 0))
-            out.append(np.where(code[at] == kind["code"], n[at], 0) if len(code) else np.zeros(len(kind["code"]), np.int64))
-        return out
+    def ordered(self, context: np.ndarray, code: np.ndarray, shorter: np.ndarray) -> dict[str, np.ndarray]:
+        unique, at, back = np.unique(code, return_index=True, return_inverse=True)
+        context, shorter = context[at], shorter[at]
+        order = np.argsort(context, kind="stable")
+        place = np.empty(len(order), np.int64)
+        place[order] = np.arange(len(order))
+        context, size = np.unique(context, return_counts=True)
+        bounds = np.arange(1, self.cells, dtype=np.uint64) << np.uint64(64 - self.cells.bit_length() + 1)
+        edges = np.concatenate([[0], np.searchsorted(context, bounds), [len(context)]])
+        return {"code": unique[order], "shorter": shorter[order], "back": place[back], "context": context, "size": size, "edges": edges}
+
+    def asks(self, learns: np.ndarray, block: int) -> pa.Table:
+        """A row for each kind and cell: contexts, followers and their occurrences in the block's learning documents."""
+        mine = np.repeat(learns, np.diff(self.first))
+        kinds, places, contexts, grams, asks = [], [], [], [], []
+        for k, (g, spots) in enumerate(zip(self.kinds, self.spots, strict=True)):
+            n = np.bincount(g["back"][mine[spots]], minlength=len(g["code"])).astype(np.uint32)
+            low = np.ascontiguousarray(g["code"]).view(np.uint8).reshape(-1, 8)[:, :FOLLOWER_BYTES]
+            start = np.concatenate([[0], np.cumsum(g["size"])])
+            for cell in np.flatnonzero(np.diff(g["edges"])):
+                lo, hi = g["edges"][cell : cell + 2]
+                a, b = start[lo], start[hi]
+                parts = [in_planes(np.diff(g["context"][lo:hi], prepend=np.uint64(0))), in_planes(n[a:b])]
+                if k:
+                    parts += [in_planes(g["size"][lo:hi].astype(np.uint32)), low[a:b].tobytes()]
+                kinds.append(k)
+                places.append(cell)
+                contexts.append(hi - lo)
+                grams.append(b - a)
+                asks.append(packed(*parts))
+        numbers = [pa.array(np.array(x, np.int32)) for x in (np.full(len(kinds), block), kinds, places, contexts, grams)]
+        return pa.table([*numbers, pa.array(asks, pa.binary())], names=["block", "kind", "cell", "contexts", "grams", "ask"])
+
+    def answers(self, replies: pa.Table) -> list[dict[str, np.ndarray]]:
+        """For each kind n and followers, by n-gram in its order."""
+        replies = replies.sort_by([("kind", "ascending"), ("cell", "ascending")])
+        n, followers = ([[np.zeros(0, np.int64)] for _ in range(ORDER)] for _ in range(2))
+        for row in zip(*(replies[c].to_pylist() for c in ("kind", "contexts", "grams", "reply")), strict=True):
+            kind, contexts, grams, reply = row
+            data = unpacked(reply, 8 * (grams + (contexts if kind else 0)))
+            n[kind].append(from_planes(data[: 8 * grams], grams, np.int64))
+            followers[kind].append(from_planes(data[8 * grams :], contexts if kind else 0, np.int64))
+        out = [{"n": np.concatenate(n[0])}]
+        return out + [{"n": np.concatenate(n[k]), "followers": np.repeat(np.concatenate(followers[k]), self.kinds[k]["size"])} for k in range(1, ORDER)]
 
 
 def word_totals(docs: DataFrame) -> DataFrame:
@@ -156,21 +182,6 @@ def summed(code: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return code[head], np.add.reduceat(n, head) if len(head) else n
 
 
-def head_words(totals: DataFrame, tokens: int, head: int) -> tuple[np.ndarray, int, int]:
-    """Codes of the words with at least tokens / head occurrences, head at most; their and the end token's occurrences and number."""
-    least = max(1, -(-tokens // head))
-
-    def pick(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            code, n = joined_bytes(batch.column(0), np.uint64)[0], joined_bytes(batch.column(1), np.int64)[0]
-            keep = (n >= least) | (code == END)
-            yield pa.RecordBatch.from_arrays([pa.array(code[keep].view(np.int64)), pa.array(n[keep])], names=["code", "n"])
-
-    found = totals.select("code", "n").mapInArrow(pick, "code bigint, n bigint").toArrow()
-    code = np.sort(found["code"].to_numpy().view(np.uint64)) if found.num_rows else np.zeros(0, np.uint64)
-    return code[code != END], int(sum(found["n"].to_pylist())), found.num_rows
-
-
 class Automaton:
     """States, arcs and failure arcs over the n-grams of one block.
 
@@ -209,8 +220,7 @@ class Automaton:
         return gained, nxt
 
     def walk(self, tokens: np.ndarray, logp: np.ndarray, first: np.ndarray) -> np.ndarray:
-        """Log10 probability of every document of classed tokens; one pass from left to right over all of them."""
-        good = (tokens != OTHER) & (tokens != END)
+        """Log10 probability of every document; one pass from left to right over all of them."""
         count = np.diff(first)
         pieces = -(-count // PIECE)
         doc = np.repeat(np.arange(len(count)), pieces)
@@ -229,50 +239,64 @@ class Automaton:
             token = tokens[pos]
             gained, state = self.step([s[:live] for s in state], token, logp[pos])
             total[:live] += np.where(t >= warm[:live], gained, 0)
-            # Only head words go on in a context.
-            for s in state:
-                s[~good[pos]] = 0
         return np.bincount(owner, total, minlength=len(count))
 
 
-def build_automaton(grams: BlockGrams, answers: list[dict[str, np.ndarray]], floor: float, p_other: float) -> tuple[Automaton, np.ndarray, np.ndarray]:
-    """The automaton of a block; its words in order and their corpus counts."""
-    order = np.argsort(grams.kinds[0]["code"], kind="stable")
-    words, counts = grams.kinds[0]["code"][order], answers[0]["n"][order]
-    place = np.searchsorted(words, OTHER)
-    orders, shorter_codes, shorter_p = [], np.insert(words, place, OTHER), np.insert((counts + ADD) / floor, place, p_other)
+def build_automaton(grams: BlockGrams, answers: list[dict[str, np.ndarray]], floor: float) -> tuple[Automaton, np.ndarray]:
+    """The automaton of a block; the corpus counts of its words in order.
+
+    A context occurs as often as its words do, since the end token alone has no follower.
+    """
+    words, counts = grams.kinds[0]["code"], answers[0]["n"]
+    orders, shorter_codes, shorter_p = [], words, (counts + ADD) / floor
+    keys, masses = mix64(words + np.uint64(1)), counts
     for kind, answer in zip(grams.kinds[1:], answers[1:], strict=True):
-        order = np.argsort(kind["code"], kind="stable")
-        code, context, shorter = (kind[k][order] for k in ("code", "context", "shorter"))
-        n, mass, followers = (answer[k][order] for k in ("n", "mass", "followers"))
-        p_short = shorter_p[np.searchsorted(shorter_codes, shorter)] if len(code) else np.zeros(0)
-        p = (n + followers * p_short) / np.maximum(mass + followers, 1)
-        p = np.where(mass > 0, p, p_short)
-        seen = n > 0
-        states, at = np.unique(context, return_index=True)
-        live = mass[at] > 0
-        backoff = followers[at][live] / (mass[at][live] + followers[at][live])
-        orders.append({"context": states[live], "failure": np.log10(backoff), "code": code[seen], "logp": np.log10(p[seen])})
-        shorter_codes, shorter_p = code, p
-    return Automaton(orders), words, counts
+        order = np.argsort(keys, kind="stable")
+        live_mass = masses[order][np.searchsorted(keys[order], kind["context"])] if len(keys) else np.zeros(0, np.int64)
+        mass = np.repeat(live_mass, kind["size"])
+        code, n, followers = kind["code"], answer["n"], answer["followers"]
+        p_short = shorter_p[np.searchsorted(shorter_codes, kind["shorter"])] if len(code) else np.zeros(0)
+        p = np.where(mass > 0, (n + followers * p_short) / np.maximum(mass + followers, 1), p_short)
+        live = live_mass > 0
+        kinds = followers[np.cumsum(kind["size"]) - 1][live] if len(code) else np.zeros(0, np.int64)
+        keys, masses = code, n
+        order = np.argsort(code, kind="stable")
+        shorter_codes, shorter_p = code[order], p[order]
+        seen = n[order] > 0
+        orders.append({"context": kind["context"][live], "failure": np.log10(kinds / (live_mass[live] + kinds)), "code": shorter_codes[seen], "logp": np.log10(shorter_p[seen])})
+    return Automaton(orders), counts
 
 
 def resolve(table: pa.Table) -> pa.Table:
-    """Asks of all blocks for one kind and cell -> to each block n, mass and followers in its order."""
-    code, first = joined_bytes(table["code"], np.uint64)
-    context = joined_bytes(table["context"], np.uint64)[0]
-    n = joined_bytes(table["n"], np.int64)[0]
-    unique, at, back = np.unique(code, return_index=True, return_inverse=True)
-    total = np.bincount(back, n, minlength=len(unique)).astype(np.int64)
-    columns = [total[back]]
-    if table["kind"][0].as_py() > 0:
-        _, line = np.unique(context[at], return_inverse=True)
-        columns += [np.bincount(line, total).astype(np.int64)[line][back], np.bincount(line, total > 0).astype(np.int64)[line][back]] if len(line) else [total[back]] * 2
+    """Asks of all blocks for one kind and cell -> to each block, in its order, n by n-gram and followers by context."""
+    kind = table["kind"][0].as_py()
+    contexts, grams = table["contexts"].to_numpy(), table["grams"].to_numpy()
+    context, size, follower, n = ([] for _ in range(4))
+    for c, g, ask in zip(contexts, grams, table["ask"].to_pylist(), strict=True):
+        data = unpacked(ask, int(8 * c + 4 * g + (4 * c + FOLLOWER_BYTES * g if kind else 0)))
+        context.append(np.cumsum(from_planes(data[: 8 * c], c, np.uint64), dtype=np.uint64))
+        n.append(from_planes(data[8 * c : 8 * c + 4 * g], g, np.uint32))
+        if kind:
+            data = data[8 * c + 4 * g :]
+            size.append(from_planes(data[: 4 * c], c, np.uint32).astype(np.int64))
+            wide = np.zeros((g, 8), np.uint8)
+            wide[:, :FOLLOWER_BYTES] = data[4 * c :].reshape(g, FOLLOWER_BYTES)
+            follower.append(wide.reshape(-1).view(np.uint64))
+    context, n = np.concatenate(context), np.concatenate(n)
+    lines, line = np.unique(context, return_inverse=True)
+    if kind:
+        owner = np.repeat(line, np.concatenate(size))
+        code = mix64(lines[owner] * np.uint64(0x9E3779B97F4A7C15) + np.concatenate(follower))
+        _, at, back = np.unique(code, return_index=True, return_inverse=True)
+        total = np.bincount(back, n, minlength=len(at)).astype(np.int64)
+        followers = np.bincount(owner[at], total > 0, minlength=len(lines)).astype(np.int64)[line]
     else:
-        columns += [np.zeros(0, np.int64)] * 2
-    empty = np.zeros(len(first), np.int64)
-    cut = [binary_column(c, first if len(c) or k == 0 else empty) for k, c in enumerate(columns)]
-    return pa.table([table["block"].combine_chunks(), table["kind"].combine_chunks(), table["cell"].combine_chunks(), *cut], names=["block", "kind", "cell", "n", "mass", "followers"])
+        back, total = line, np.bincount(line, n, minlength=len(lines)).astype(np.int64)
+        followers = np.zeros(0, np.int64)
+    total = total[back]
+    c_end, g_end = np.cumsum(contexts, dtype=np.int64), np.cumsum(grams, dtype=np.int64)
+    replies = [packed(in_planes(total[g1 - g : g1]), in_planes(followers[c1 - c : c1]) if kind else b"") for c, c1, g, g1 in zip(contexts, c_end, grams, g_end, strict=True)]
+    return table.drop_columns(["ask"]).append_column("reply", pa.array(replies, pa.binary()))
 
 
 def block_tokens(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
@@ -291,59 +315,40 @@ def block_tokens(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
 SCORED = "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double"
 
 
-def score_blocks(docs: DataFrame, head: np.ndarray, n_total: int, floor: float, p_other: float) -> DataFrame:
+def score_blocks(docs: DataFrame, n_total: int, floor: float) -> DataFrame:
     """Documents to blocks, asks to cells, answers back to the blocks' documents."""
     blocks = max(1, docs.count() // BLOCK_DOCS)
     cells = min(4096, max(8, 1 << (blocks - 1).bit_length()))
-    known = docs.sparkSession.sparkContext.broadcast(head)
     place = F.pmod(F.xxhash64("doc_id", F.when(F.col("doc_id").isNull(), F.col("text"))), F.lit(blocks)).cast("int")
     dealt = docs.select("doc_id", held_out(F.col("doc_id")).alias("held"), F.coalesce("text", F.lit("")).alias("text"), place.alias("block"))
 
     def ask(table: pa.Table) -> pa.Table:
         tokens, first = block_tokens(table)
-        grams = BlockGrams(tokens, first, known.value, cells)
-        counts = grams.learning_counts(~table["held"].to_numpy())
-        block = table["block"][0].as_py()
-        rows = []
-        for kind, (g, n) in enumerate(zip(grams.kinds, counts, strict=True)):
-            context = g["context"] if kind else np.zeros(0, np.uint64)
-            columns = [binary_column(context, g["edges"] if kind else g["edges"] * 0), binary_column(g["code"], g["edges"]), binary_column(n, g["edges"])]
-            fixed = [pa.array(np.full(cells, block, np.int32)), pa.array(np.full(cells, kind, np.int32)), pa.array(np.arange(cells, dtype=np.int32))]
-            rows.append(pa.table(fixed + columns, names=["block", "kind", "cell", "context", "code", "n"]))
-        return pa.concat_tables(rows)
+        return BlockGrams(tokens, first, cells).asks(~table["held"].to_numpy(), table["block"][0].as_py())
 
     def score(table: pa.Table, replies: pa.Table) -> pa.Table:
         tokens, first = block_tokens(table)
-        grams = BlockGrams(tokens, first, known.value, cells)
-        replies = replies.sort_by([("kind", "ascending"), ("cell", "ascending")])
-        kinds = replies["kind"].to_numpy()
-        answers = []
-        for kind in range(ORDER):
-            mine = replies.filter(pa.array(kinds == kind))
-            answers.append({c: joined_bytes(mine[c], np.int64)[0] for c in ("n", "mass", "followers")})
-        automaton, words, counts = build_automaton(grams, answers, floor, p_other)
-        at = np.searchsorted(words, tokens)
+        grams = BlockGrams(tokens, first, cells)
+        automaton, counts = build_automaton(grams, grams.answers(replies), floor)
+        at = grams.kinds[0]["back"]
         word_logp = np.log10((counts + ADD) / floor)[at]
-        other = grams.classed == OTHER
-        log_other = float(np.log10(p_other))
-        within = np.where(other, word_logp - log_other, 0.0)
-        walked = automaton.walk(grams.classed, np.where(other, log_other, word_logp), first)
+        del grams
+        walked = automaton.walk(tokens, word_logp, first)
         doc = np.repeat(np.arange(table.num_rows), np.diff(first))
         total = lambda w: np.bincount(doc, w, minlength=table.num_rows)
         return pa.table(
-            [table["doc_id"], table["held"], pa.array(np.diff(first)), pa.array(total(counts[at] > 0).astype(np.int64)), pa.array(np.full(table.num_rows, n_total)), pa.array(total(word_logp)), pa.array(walked + total(within))],
+            [table["doc_id"], table["held"], pa.array(np.diff(first)), pa.array(total(counts[at] > 0).astype(np.int64)), pa.array(np.full(table.num_rows, n_total)), pa.array(total(word_logp)), pa.array(walked)],
             names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
         )
 
-    asks = dealt.groupBy("block").applyInArrow(ask, "block int, kind int, cell int, context binary, code binary, n binary")
-    replies = asks.groupBy("kind", "cell").applyInArrow(resolve, "block int, kind int, cell int, n binary, mass binary, followers binary")
-    return dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(score, SCORED)
+    numbers = "block int, kind int, cell int, contexts int, grams int"
+    asks = dealt.groupBy("block").applyInArrow(tidy_table(ask), f"{numbers}, ask binary")
+    replies = asks.groupBy("kind", "cell").applyInArrow(tidy_table(resolve), f"{numbers}, reply binary")
+    return dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(tidy_pair(score), SCORED)
 
 
 def score_texts(docs: DataFrame) -> DataFrame:
     """op8: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
     totals = written(word_totals(docs), "words")
     n_total, types = (int(x or 0) for x in totals.agg(F.sum("tokens"), F.sum("types")).collect()[0])
-    head, seen, number = head_words(totals, max(n_total, 1), HEAD)
-    floor = n_total + ADD * (types + 1)
-    return score_blocks(docs, head, n_total, floor, (floor - seen - ADD * number) / floor)
+    return score_blocks(docs, n_total, n_total + ADD * (types + 1))

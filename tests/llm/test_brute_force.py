@@ -211,6 +211,36 @@ def test_lm_long_texts_enter_in_pieces(spark):
     assert rows[3].n_tokens == 401 * 6 + 1 and rows[3].score > rows[3].base_score
 
 
+def test_lm_keeps_rare_contexts(spark):
+    """A phrase of rare words, repeated among many other tokens, is known, to the last digit of plain counting."""
+    from rankloom.llm.lm import held_out, score_texts
+
+    docs = [(i, " ".join(f"w{i}x{j}" for j in range(400))) for i in range(60)]
+    docs += [(i, "quick amber foxes") for i in range(60, 63)] + [(i, "foxes amber quick") for i in range(63, 66)]
+    df = spark.createDataFrame(docs, "doc_id long, text string")
+    held = {r.doc_id for r in df.filter(held_out(F.col("doc_id"))).collect()}
+    counts = collections.Counter(w for i, t in docs if i not in held for w in [*t.split(), ""])
+    grams = collections.defaultdict(collections.Counter)
+    for i, t in docs:
+        ws = [*t.split(), ""]
+        for at in range(len(ws)):
+            for k in (1, 2):
+                if at >= k and i not in held:
+                    grams[tuple(ws[at - k : at])][ws[at]] += 1
+    floor = sum(counts.values()) + 0.1 * (len(counts) + 1)
+
+    def p(context, x):
+        below = p(context[1:], x) if context else 0
+        seen = grams.get(context)
+        if not context:
+            return (counts[x] + 0.1) / floor
+        return (seen[x] + len(seen) * below) / (sum(seen.values()) + len(seen)) if seen else below
+
+    for r in score_texts(df).collect():
+        ws = [*docs[r.doc_id][1].split(), ""]
+        assert r.score == pytest.approx(sum(math.log10(p(tuple(ws[max(0, i - 2) : i]), w)) for i, w in enumerate(ws)), rel=1e-9)
+
+
 def test_leaks_are_found_and_clean_texts_left(spark, tiny, documents):
     items = {r.item_id: r.text for r in load(spark, tiny, "benchmark").collect()}
     want = {(d, i) for d, t in documents.items() for i, x in items.items() if x in t}
