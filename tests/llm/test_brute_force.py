@@ -155,6 +155,25 @@ def test_shards_with_a_group_of_a_third(spark):
     assert collections.Counter(r.shard for r in rows if r.linked).most_common(1)[0][1] == 60
 
 
+def test_shards_of_large_groups_and_of_copies_only(spark):
+    from rankloom.llm.sharding import granted_moves, shard_documents
+
+    third = F.when(F.col("id") % 3 == 0, F.lit("same")).otherwise((F.col("id") % 320).cast("string"))
+    rows = shard_documents(spark.range(960).select((F.col("id") % 3 == 0).cast("long").alias("doc_id"), third.alias("text"))).collect()
+    assert sorted(collections.Counter(r.shard for r in rows if r.doc_id == 1).values()) == [20, 60, 60, 60, 60, 60]
+    rows = shard_documents(spark.range(960).select((F.col("id") % 240).alias("doc_id"), (F.col("id") % 240).cast("string").alias("text"))).collect()
+    homes = collections.defaultdict(set)
+    for r in rows:
+        homes[r.doc_id].add(r.shard)
+    assert set(collections.Counter(r.shard for r in rows).values()) == {60}
+    assert sum(len(h) > 1 for h in homes.values()) < 80
+    assert granted_moves({(0, 1): 10, (1, 0): 7}, [20, 20], [20, 20]) == {(0, 1): 7, (1, 0): 7}
+    asked = {(0, 1): 9, (1, 2): 9, (2, 1): 5, (2, 0): 1}
+    granted = granted_moves(asked, [9, 9, 9], [9, 9, 9])
+    moved = lambda s: sum(c * ((j == s) - (i == s)) for (i, j), c in granted.items())
+    assert all(granted[k] <= asked[k] for k in asked) and all(moved(s) == 0 for s in range(3)) and granted[1, 2] >= 5
+
+
 def test_chat_against_sql(spark, tiny):
     c = duckdb.connect()
     c.execute(f"CREATE VIEW conversations AS SELECT * FROM '{tiny}/conversations.parquet'")
