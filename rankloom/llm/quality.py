@@ -6,8 +6,8 @@ and are max-pooled for each chunk; a document's largest and mean pooled values
 over all its chunks go into one logistic unit. The whole text is scored.
 
 It is fitted on at most `per_class` labelled rows of each class, taken in order
-of a hash of doc_id; that bound is the only sample. A training document longer
-than FIT_CHUNKS chunks gives that many, evenly spaced.
+of a hash of doc_id; that bound is the only sample. Training documents are seen
+whole as well, a block of chunks at a time.
 
 Edge cases: a null or empty text is one chunk of padding and has a score; a
 label that is null teaches nothing; with labels of one class or none the score
@@ -30,7 +30,7 @@ from pyspark.sql import types as T
 
 from rankloom.llm.words import give_back, row_chunks, text_buffers, tidy
 
-CHUNK, STEP, WIDTH, WIDE, FILTERS, FIT_CHUNKS, BLOCK = 512, 4, 8, 4, 16, 24, 2048
+CHUNK, STEP, WIDTH, WIDE, FILTERS, BLOCK = 512, 4, 8, 4, 16, 2048
 
 
 _SET: set[int] = set()
@@ -118,12 +118,13 @@ def ends_of_texts(first: np.ndarray) -> np.ndarray:
     return last
 
 
-def _block(model: dict[str, np.ndarray], chunks: np.ndarray, last: np.ndarray, a: int) -> np.ndarray:
+def _block(model: dict[str, np.ndarray], chunks: np.ndarray, last: np.ndarray, a: int, where: bool = False):
     """pooled() of BLOCK chunks from a on, with one more in sight, so that memory is bounded for any text."""
     b = min(len(chunks), a + BLOCK)
     seen = last[a : b + 1].copy()
     seen[-1] = True
-    return pooled(model, chunks[a : b + 1], seen)[: b - a]
+    found = pooled(model, chunks[a : b + 1], seen, where)
+    return (found[0][: b - a], found[1][: b - a]) if where else found[: b - a]
 
 
 def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 24, seed: int = 7, batch: int = 32) -> dict[str, np.ndarray]:
@@ -143,14 +144,13 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 24, seed: int = 7,
     m = {k: v.astype(np.float32) for k, v in m.items()}
     moments = {k: [np.zeros_like(v), np.zeros_like(v)] for k, v in m.items()}
     weight = np.where(labels == 1, 0.5 / labels.mean(), 0.5 / (1 - labels.mean()))
-    picked = [_spaced(t) for t in texts]
     t = 0
     for epoch in range(epochs):
         order = rng.permutation(len(texts))
         for b in range(0, len(order), batch):
             ids = order[b : b + batch]
-            data = np.frombuffer(b"".join(picked[i] for i in ids), np.uint8)
-            offsets = np.concatenate([[0], np.cumsum([len(picked[i]) for i in ids])])
+            data = np.frombuffer(b"".join(texts[i] for i in ids), np.uint8)
+            offsets = np.concatenate([[0], np.cumsum([len(texts[i]) for i in ids])])
             grads = _gradients(with_blank(m), data, offsets, labels[ids], weight[ids])
             t += 1
             rate = 0.01 * (1 - epoch / epochs) + 0.001
@@ -164,18 +164,12 @@ def fit(texts: list[bytes], labels: np.ndarray, epochs: int = 24, seed: int = 7,
     return with_blank(m)
 
 
-def _spaced(text: bytes) -> bytes:
-    count = -(-len(text) // CHUNK)
-    if count <= FIT_CHUNKS:
-        return text
-    return b"".join(text[int(i) * CHUNK : (int(i) + 1) * CHUNK] for i in np.linspace(0, count - 1, FIT_CHUNKS))
-
-
 def _gradients(m: dict, data: np.ndarray, offsets: np.ndarray, y: np.ndarray, weight: np.ndarray) -> dict:
     """Of the weighted logistic loss, through pooling back to filters and byte vectors."""
     chunks, first = padded_chunks(data, offsets)
     last = ends_of_texts(first)
-    peaks, best = pooled(m, chunks, last, True)
+    blocks = [_block(m, chunks, last, a, True) for a in range(0, len(chunks), BLOCK)]
+    peaks, best = (np.concatenate(x) for x in zip(*blocks, strict=True))
     feats = document_features(peaks, first, m["bias"])
     p = 1 / (1 + np.exp(-(feats @ m["out"] + m["out_bias"])))
     dz = ((p - y) * weight / len(y)).astype(np.float32)
@@ -188,16 +182,17 @@ def _gradients(m: dict, data: np.ndarray, offsets: np.ndarray, y: np.ndarray, we
     dpeak = dact * (active > 0)
     grads["bias"] = dpeak.sum(0)
     flat = np.concatenate([chunks.reshape(-1), np.zeros(WIDTH, np.uint8)])
-    start = (np.arange(len(chunks))[:, None] * CHUNK + best * STEP).reshape(-1)
-    take = flat[start[:, None] + np.arange(WIDTH)]
-    beyond = (last[:, None] & (best == CHUNK // STEP - 1)).reshape(-1)
-    take[beyond, STEP:] = 0
-    inputs = m["bytes"][take].reshape(len(chunks), FILTERS, WIDTH * WIDE)
-    grads["filters"] = np.einsum("cfw,cf->wf", inputs, dpeak)
-    back = dpeak[:, :, None] * m["filters"].T[None]
-    dbytes = np.zeros_like(m["bytes"])
-    np.add.at(dbytes, take.reshape(-1), back.reshape(-1, WIDE))
-    grads["bytes"] = dbytes
+    grads["filters"], grads["bytes"] = np.zeros_like(m["filters"]), np.zeros_like(m["bytes"])
+    for a in range(0, len(chunks), BLOCK):
+        here, part = best[a : a + BLOCK], dpeak[a : a + BLOCK]
+        start = ((a + np.arange(len(here)))[:, None] * CHUNK + here * STEP).reshape(-1)
+        take = flat[start[:, None] + np.arange(WIDTH)]
+        beyond = (last[a : a + BLOCK, None] & (here == CHUNK // STEP - 1)).reshape(-1)
+        take[beyond, STEP:] = 0
+        inputs = m["bytes"][take].reshape(len(here), FILTERS, WIDTH * WIDE)
+        grads["filters"] += np.einsum("cfw,cf->wf", inputs, part)
+        back = part[:, :, None] * m["filters"].T[None]
+        np.add.at(grads["bytes"], take.reshape(-1), back.reshape(-1, WIDE))
     return grads
 
 

@@ -337,6 +337,24 @@ def test_quality_held_out(spark, small):
     assert all(r.predicted == (r.score >= 0.5) for r in rows)
 
 
+def test_network_learns_from_every_chunk(monkeypatch):
+    import numpy as np
+
+    from rankloom.llm import quality as m
+
+    rng = np.random.default_rng(5)
+    labels = np.arange(40) % 2
+    texts = [rng.integers(97, 123, 60 * m.CHUNK, dtype=np.uint8).tobytes() for _ in labels]
+    model = m.fit(texts, labels, epochs=1)
+    marked = [t[: m.CHUNK] + b"ZQ" * (m.CHUNK // 2) + t[2 * m.CHUNK :] if y else t for t, y in zip(texts, labels, strict=True)]
+    assert not np.array_equal(model["bytes"][ord("Z")], m.fit(marked, labels, epochs=1)["bytes"][ord("Z")])
+    data, offsets = np.frombuffer(b"".join(marked), np.uint8), np.cumsum([0, *map(len, marked)])
+    whole = m._gradients(model, data, offsets, labels, np.ones(40))
+    monkeypatch.setattr(m, "BLOCK", 7)
+    parts = m._gradients(model, data, offsets, labels, np.ones(40))
+    assert all(np.allclose(whole[k], parts[k], rtol=1e-3, atol=1e-5) for k in whole)
+
+
 def test_network_gradients():
     """Backward pass against differences."""
     import numpy as np
