@@ -7,7 +7,9 @@ stride holding the longest item) is a query. As in block-max WAND a block is
 opened for a passage only where the sum of the block's largest weights reaches
 the threshold; common words, which alone never reach it, enter the bound as one
 constant. All items at or above the threshold are retrieved and then verified:
-word five-grams of the question part and of the answer part must recur.
+word five-grams of the question part and of the answer part must recur. A part of
+fewer than fifteen words, of which one edit would break most five-grams, may recur
+by runs of a third of its words instead, but only close to the other part.
 
 The index travels to the executors. It is built for SLICE items at most; a larger
 benchmark is served in slices, each with a pass of its own.
@@ -32,7 +34,7 @@ from rankloom.llm.words import WordChunk, forget_powers, mix64, tidy, word_chunk
 
 SLICE, BLOCK_ITEMS, OPEN_AT_ONCE = 20_000, 4, 1 << 14
 K1, B = 1.2, 0.75
-GRAM = 5
+GRAM, SHARE = 5, 3
 
 
 def hashed_words(text: str) -> np.ndarray:
@@ -85,7 +87,7 @@ class ItemIndex:
         idf = {t: float(np.log(1 + (n - d + 0.5) / (d + 0.5))) for t, d in df.items()}
         lengths = [len(w) for _, _, w in kept]
         mean = sum(lengths) / max(n, 1)
-        self.stride = max(lengths, default=1)
+        self.stride, self.lengths = max(lengths, default=1), lengths
         rows = []
         for item, (c, length) in enumerate(zip(counts, lengths, strict=True)):
             raw = {t: idf[t] * f * (K1 + 1) / (f + K1 * (1 - B + B * length / mean)) for t, f in c.items()}
@@ -116,7 +118,8 @@ class ItemIndex:
             for part in question_and_answer(text):
                 words = hashed_words(part)
                 width = min(GRAM, len(words))
-                both.append((width, np.unique(grams(words, width)) if width else np.zeros(0, np.uint64)))
+                less = min(width, max(1, len(words) // SHARE))
+                both.append(tuple((w, np.unique(grams(words, w)) if w else np.zeros(0, np.uint64)) for w in (width, less)))
             self.parts.append(both)
 
     def term_ids(self, hashes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -174,8 +177,21 @@ class ItemIndex:
         return np.bincount(slot, self.post_weight[post], minlength=len(begin) * BLOCK_ITEMS).reshape(-1, BLOCK_ITEMS)
 
     def overlaps(self, words: np.ndarray, item: int) -> list[float]:
-        """Shares of the question's and of the answer's five-grams that the text holds."""
-        return [float(np.isin(codes, grams(words, width)).mean()) if len(codes) else 1.0 for width, codes in self.parts[item]]
+        """Shares of the question's and of the answer's n-grams that the text holds."""
+        parts = self.parts[item]
+        held = [grams(words, width) for (width, _), _ in parts]
+        out = [float(np.isin(codes, g).mean()) if len(codes) else 1.0 for ((_, codes), _), g in zip(parts, held, strict=True)]
+        for k, (full, less) in enumerate(parts):
+            if less[0] == full[0] or out[k] == 1.0:
+                continue
+            hits = np.flatnonzero(np.isin(held[1 - k], parts[1 - k][0][1]))
+            near = np.zeros(len(words) + 1, np.int64)
+            np.add.at(near, np.maximum(hits - self.lengths[item], 0), 1)
+            np.add.at(near, np.minimum(hits + self.lengths[item] + GRAM, len(words)), -1)
+            code = grams(words, less[0])
+            code = code[np.cumsum(near)[: len(code)] > 0]
+            out[k] = max(out[k], float(np.isin(less[1], code).mean()))
+        return out
 
     def leaks(self, column: pa.Array, overlap: float) -> Iterator[tuple[int, int, float, float, float]]:
         """(row, item id, score, question overlap, answer overlap) that are verified."""

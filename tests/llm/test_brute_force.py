@@ -283,6 +283,20 @@ def test_leaks_in_planted_texts(spark):
     assert {r.doc_id for r in decontaminate_stage(df, bench).collect()} == {2, 4, 5, 6, 7}
 
 
+def test_leaks_with_a_word_edited_in_a_short_answer(spark):
+    from rankloom.llm.decontaminate import find_leaks
+
+    question = "Which colour did the keepers paint upon the ninth gate of the old mill beyond the northern river?"
+    answers = ["bright blue", "a rather deep and stormy blue", "grey then green then blue over old white lime"]
+    edited = ["bright teal", "a rather pale and stormy blue", "grey then green then red over old white lime"]
+    bench = spark.createDataFrame([(i, f"{question} {a}") for i, a in enumerate(answers)], "item_id long, text string")
+    for i, a in enumerate(edited):
+        found = find_leaks(spark.createDataFrame([(i, f"Some words before. {question} {a} and some behind.")], "doc_id long, text string"), bench).collect()
+        assert i in {r.item_id for r in found}, a
+    far = f"Some words before. {question} " + "and so it went on " * 40 + "bright grey old lime"
+    assert find_leaks(spark.createDataFrame([(1, far)], "doc_id long, text string"), bench.filter("item_id = 0")).collect() == []
+
+
 def test_block_max_equals_scoring_all(spark, tiny, documents):
     """Block-max bounds open every block that holds an item at the threshold."""
     import numpy as np
