@@ -14,8 +14,10 @@ by runs of a third of its words instead, but only close to the other part.
 The index travels to the executors. It is built for SLICE items at most; a larger
 benchmark is served in slices, each with a pass of its own.
 
-Edge cases: a null text or item is empty; items of fewer than min_words words
-cannot be told from chance and match nothing; equal items match alike; an empty
+Items of fewer than min_words words are matched exactly, as a whole word sequence.
+
+Edge cases: a null text or item is empty and an item without words matches
+nothing; an item with a null id is searched like any other; equal items match alike; an empty
 benchmark matches nothing; a text shorter than a window is one passage.
 """
 
@@ -75,8 +77,15 @@ class ItemIndex:
     """Postings of test items by term and block, with block-max weights."""
 
     def __init__(self, items: list[tuple[int, str]], threshold: float, min_words: int):
-        kept = [(i, t, w) for i, t in items if len(w := hashed_words(t or "")) >= min_words]
-        self.ids = np.array([i for i, _, _ in kept], np.int64)
+        words = [(i, t, hashed_words(t or "")) for i, t in items]
+        kept = [x for x in words if len(x[2]) >= min_words]
+        self.ids = [i for i, _, _ in kept]
+        #: width -> (sorted codes of short items, their ids)
+        self.short = {}
+        for width in sorted({len(w) for _, _, w in words if 0 < len(w) < min_words}):
+            found = [(int(grams(w, width)[0]), i) for i, _, w in words if len(w) == width]
+            found.sort(key=lambda x: x[0])
+            self.short[width] = np.array([c for c, _ in found], np.uint64), [i for _, i in found]
         self.threshold = threshold
         n = len(kept)
         self.blocks = -(-n // BLOCK_ITEMS)
@@ -193,13 +202,27 @@ class ItemIndex:
             out[k] = max(out[k], float(np.isin(less[1], code).mean()))
         return out
 
+    def whole_items(self, words: WordChunk) -> Iterator[tuple[int, int | None]]:
+        """(document, item id) of the items of fewer than min_words words that a document holds."""
+        doc = words.doc_of_word()
+        for width, (codes, ids) in self.short.items():
+            code = grams(words.hashes, width)
+            spots = np.flatnonzero(np.isin(code, codes))
+            spots = spots[doc[spots] == doc[spots + width - 1]]
+            lo, hi = np.searchsorted(codes, code[spots]), np.searchsorted(codes, code[spots], "right")
+            pairs = {(int(d), k) for d, a, b in zip(doc[spots], lo, hi, strict=True) for k in range(a, b)}
+            for d, k in sorted(pairs):
+                yield d, ids[k]
+
     def leaks(self, column: pa.Array, overlap: float) -> Iterator[tuple[int, int, float, float, float]]:
         """(row, item id, score, question overlap, answer overlap) that are verified."""
         for lo, _, words in word_chunks(column, alnum=True):
             for d, item, score in self.retrieve(words):
                 q, a = self.overlaps(words.hashes[words.first[d] : words.first[d + 1]], item)
                 if q >= overlap and a >= overlap:
-                    yield lo + d, int(self.ids[item]), score, q, a
+                    yield lo + d, self.ids[item], score, q, a
+            for d, item in self.whole_items(words):
+                yield lo + d, item, 1.0, 1.0, 1.0
 
 
 def indexes(benchmark: DataFrame, threshold: float, min_words: int) -> Iterator[ItemIndex]:
@@ -209,7 +232,7 @@ def indexes(benchmark: DataFrame, threshold: float, min_words: int) -> Iterator[
     slices = -(-total // SLICE)
     for k in range(slices):
         part = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k) if slices > 1 else items
-        index = ItemIndex(sorted((r["item_id"], r["text"]) for r in part.collect() if r["item_id"] is not None), threshold, min_words)
+        index = ItemIndex(sorted(((r["item_id"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1] or "")), threshold, min_words)
         forget_powers()
         yield index
 

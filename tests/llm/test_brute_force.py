@@ -297,6 +297,17 @@ def test_leaks_with_a_word_edited_in_a_short_answer(spark):
     assert find_leaks(spark.createDataFrame([(1, far)], "doc_id long, text string"), bench.filter("item_id = 0")).collect() == []
 
 
+def test_leaks_of_items_without_id_and_of_short_items(spark):
+    from rankloom.llm.decontaminate import decontaminate_stage, find_leaks
+
+    item = "What stands behind the ninth gate of the old mill? A copper bell from the lost harbour tower"
+    bench = spark.createDataFrame([(None, item), (2, "Purple Narwhal!"), (3, "purple"), (None, None), (5, " ")], "item_id long, text string")
+    docs = spark.createDataFrame([(1, f"so {item} it is"), (2, "a purple, narwhal swam"), (3, "narwhal purple"), (4, "a purple"), (5, "narwhal"), (6, None)], "doc_id long, text string")
+    found = {(r.doc_id, r.item_id) for r in find_leaks(docs, bench).collect()}
+    assert found == {(1, None), (2, 2), (2, 3), (3, 3), (4, 3)}
+    assert [r.doc_id for r in decontaminate_stage(docs, bench).orderBy("doc_id").collect()] == [5, 6]
+
+
 def test_block_max_equals_scoring_all(spark, tiny, documents):
     """Block-max bounds open every block that holds an item at the threshold."""
     import numpy as np
