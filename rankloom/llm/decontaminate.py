@@ -12,7 +12,9 @@ fewer than fifteen words, of which one edit would break most five-grams, may rec
 by runs of a third of its words instead, but only close to the other part.
 
 The index travels to the executors. It is built for SLICE items at most; a larger
-benchmark is served in slices, each with a pass of its own.
+benchmark is served in slices, each with a pass of its own. Document frequencies,
+mean and largest length are those of the whole benchmark for every slice, so that
+slices do not change a score.
 
 Items of fewer than min_words words are matched exactly, as a whole word sequence.
 
@@ -32,6 +34,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from rankloom.llm.common import written
 from rankloom.llm.words import WordChunk, forget_powers, mix64, tidy, word_chunks
 
 SLICE, BLOCK_ITEMS, OPEN_AT_ONCE = 20_000, 4, 1 << 14
@@ -76,7 +79,7 @@ def spread(first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]
 class ItemIndex:
     """Postings of test items by term and block, with block-max weights."""
 
-    def __init__(self, items: list[tuple[int, str]], threshold: float, min_words: int):
+    def __init__(self, items: list[tuple[int, str]], threshold: float, min_words: int, whole: dict | None = None):
         words = [(i, t, hashed_words(t or "")) for i, t in items]
         kept = [x for x in words if len(x[2]) >= min_words]
         self.ids = [i for i, _, _ in kept]
@@ -93,10 +96,12 @@ class ItemIndex:
         df = Counter(t for c in counts for t in c)
         self.terms = np.array(sorted(df), np.uint64)
         rank = {int(t): k for k, t in enumerate(self.terms)}
-        idf = {t: float(np.log(1 + (n - d + 0.5) / (d + 0.5))) for t, d in df.items()}
         lengths = [len(w) for _, _, w in kept]
-        mean = sum(lengths) / max(n, 1)
-        self.stride, self.lengths = max(lengths, default=1), lengths
+        whole = whole or {"n": n, "tokens": sum(lengths), "longest": max(lengths, default=1), "df": df}
+        n, df = whole["n"], whole["df"]
+        idf = {t: float(np.log(1 + (n - d + 0.5) / (d + 0.5))) for t, d in df.items()}
+        mean = whole["tokens"] / max(n, 1)
+        self.stride, self.lengths = whole["longest"], lengths
         rows = []
         for item, (c, length) in enumerate(zip(counts, lengths, strict=True)):
             raw = {t: idf[t] * f * (K1 + 1) / (f + K1 * (1 - B + B * length / mean)) for t, f in c.items()}
@@ -225,14 +230,37 @@ class ItemIndex:
                 yield lo + d, item, 1.0, 1.0, 1.0
 
 
+def term_counts(items: DataFrame, min_words: int) -> DataFrame:
+    """term, df: the number of items of min_words words or more that hold it; the null term's row has their number, tokens and longest."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            kept = [w for t in batch.column(0).to_pylist() if len(w := hashed_words(t or "")) >= min_words]
+            if kept:
+                term, df = np.unique(np.concatenate([np.unique(w) for w in kept]), return_counts=True)
+                size, none = [len(w) for w in kept], [None] * len(term)
+                columns = ([*term.view(np.int64).tolist(), None], [*df.tolist(), len(kept)], [*none, sum(size)], [*none, max(size)])
+                yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in columns], names=["term", "df", "tokens", "longest"])
+
+    parts = items.select("text").mapInArrow(tidy(count), "term bigint, df bigint, tokens bigint, longest bigint")
+    return parts.groupBy("term").agg(F.sum("df").alias("df"), F.sum("tokens").alias("tokens"), F.max("longest").alias("longest"))
+
+
 def indexes(benchmark: DataFrame, threshold: float, min_words: int) -> Iterator[ItemIndex]:
     """Indexes of SLICE items at most; the driver holds one at a time."""
     items = benchmark.select("item_id", "text")
     total = items.count()
     slices = -(-total // SLICE)
+    counts = written(term_counts(items, min_words), "terms") if slices > 1 else None
     for k in range(slices):
         part = items.filter(F.pmod(F.xxhash64("item_id", "text"), F.lit(slices)) == k) if slices > 1 else items
-        index = ItemIndex(sorted(((r["item_id"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1] or "")), threshold, min_words)
+        whole = None
+        if slices > 1:
+            mine = counts.join(term_counts(part, min_words).select("term"), "term", "left_semi").collect()
+            sums = counts.filter("term is null").collect()
+            if sums:
+                whole = {"n": sums[0]["df"], "tokens": sums[0]["tokens"], "longest": sums[0]["longest"], "df": {r["term"] % 2**64: r["df"] for r in mine}}
+        index = ItemIndex(sorted(((r["item_id"], r["text"]) for r in part.collect()), key=lambda x: (x[0] is None, x[0] or 0, x[1] or "")), threshold, min_words, whole)
         forget_powers()
         yield index
 

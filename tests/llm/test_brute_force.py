@@ -308,6 +308,18 @@ def test_leaks_of_items_without_id_and_of_short_items(spark):
     assert [r.doc_id for r in decontaminate_stage(docs, bench).orderBy("doc_id").collect()] == [5, 6]
 
 
+def test_leaks_do_not_depend_on_slices(spark, tiny, monkeypatch):
+    from rankloom.llm import decontaminate as m
+
+    bench = load(spark, tiny, "benchmark")
+    rows = [(r.item_id, r.text[: len(r.text) * 2 // 3]) for r in bench.collect()]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    found = lambda: {(r.doc_id, r.item_id): r.score for r in m.find_leaks(docs, bench, threshold=0.5, overlap=0.0).collect()}
+    one = found()
+    monkeypatch.setattr(m, "SLICE", -(-bench.count() // 2))
+    assert one and found() == pytest.approx(one, rel=1e-9)
+
+
 def test_block_max_equals_scoring_all(spark, tiny, documents):
     """Block-max bounds open every block that holds an item at the threshold."""
     import numpy as np
