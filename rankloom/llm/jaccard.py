@@ -14,8 +14,10 @@ n - ceil(t n) + 1 of each under any common order of tokens, and behind the first
 shared token both have at least their overlap left. The order puts frequent tokens
 last (the LATE_TOKENS most frequent ones at most), then goes by hash.
 
-Round one compares each token's sets with LEADERS of them, which joins groups of
-near copies at linear cost; round two takes up all that is still apart.
+Leader rounds compare each token's sets with LEADERS of them, which joins groups of
+near copies at linear cost, until few find a link; the last round takes up all that
+is still apart. Before a pair is named, the sizes, the places of the token and the
+parities of both sets' tokens in 128 classes must allow the similarity.
 
 Edge cases: a null text is empty; a text without words has an empty set and no
 links; fewer words than the width make one shingle; equal texts and repeated rows
@@ -25,6 +27,7 @@ are one node; a null doc_id takes part and counts last in component ids.
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -34,7 +37,9 @@ from pyspark.sql import functions as F
 from rankloom.llm.common import Scratch, written
 from rankloom.llm.words import mix64, shingles, tidy, tidy_pair, tidy_table, word_chunks
 
-LATE_TOKENS, OFTEN, LEADERS, CELL, SKETCH = 1 << 21, 8, 4, 512, 256
+LATE_TOKENS, OFTEN, LEADERS, CELL, SKETCH, PARITIES = 1 << 21, 8, 4, 512, 256, 128
+#: Leader rounds go on while one set of so many that ask finds a link.
+ENOUGH = 16
 PAIR_BATCH, COUNTED_TOGETHER = 1 << 20, 8192
 
 
@@ -123,7 +128,7 @@ class JaccardJoin:
         return np.sort(found["token"].to_numpy().view(np.uint64)) if found.num_rows else np.zeros(0, np.uint64)
 
     def sets(self) -> DataFrame:
-        """rid, doc_id, n, k1, k2 (digest of the set), prefix, sketch for each document."""
+        """rid, doc_id, n, k1, k2 (digest of the set), b0, b1 (parities of its tokens), prefix, sketch for each document."""
         last = self.spark.sparkContext.broadcast(self.frequent_tokens())
         width, percent = self.width, self.percent
 
@@ -142,6 +147,8 @@ class JaccardJoin:
                         digest[1, some] = np.add.reduceat(mix64(code ^ np.uint64(0x5851F42D4C957F2D)), first[some])
                     sketch = np.bincount(doc * SKETCH + (code >> np.uint64(56)).astype(np.int64), minlength=docs * SKETCH)
                     sketch = np.minimum(sketch, 65535).astype(np.uint16)
+                    odd = np.bincount(doc * PARITIES + (code % np.uint64(PARITIES)).astype(np.int64), minlength=docs * PARITIES) & 1
+                    odd = np.packbits(odd.astype(np.uint8)).view(np.int64).reshape(docs, 2)
                     at = np.minimum(np.searchsorted(frequent, code), max(len(frequent) - 1, 0))
                     late = (frequent[at] == code) if len(frequent) else np.zeros(len(code), bool)
                     order = np.argsort(doc * 2 + late, kind="stable")
@@ -149,78 +156,107 @@ class JaccardJoin:
                     keep = (np.arange(len(code)) - first[doc]) < length[doc]
                     prefix = code[order][keep]
                     yield pa.RecordBatch.from_arrays(
-                        [batch.column(0).slice(lo, docs), batch.column(1).slice(lo, docs), pa.array(n.astype(np.int64)), pa.array(digest[0].view(np.int64)), pa.array(digest[1].view(np.int64)), binary_column(prefix, np.concatenate([[0], np.cumsum(length)])), binary_column(sketch, np.arange(docs + 1) * SKETCH)],
-                        names=["rid", "doc_id", "n", "k1", "k2", "prefix", "sketch"],
+                        [batch.column(0).slice(lo, docs), batch.column(1).slice(lo, docs), pa.array(n.astype(np.int64)), pa.array(digest[0].view(np.int64)), pa.array(digest[1].view(np.int64)), pa.array(odd[:, 0]), pa.array(odd[:, 1]), binary_column(prefix, np.concatenate([[0], np.cumsum(length)])), binary_column(sketch, np.arange(docs + 1) * SKETCH)],
+                        names=["rid", "doc_id", "n", "k1", "k2", "b0", "b1", "prefix", "sketch"],
                     )
 
         rows = self.docs.select(F.monotonically_increasing_id().alias("rid"), "doc_id", "text")
-        return self.scratch.written(rows.mapInArrow(tidy(make), "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, prefix binary, sketch binary"), "sets")
+        return self.scratch.written(rows.mapInArrow(tidy(make), "rid bigint, doc_id bigint, n bigint, k1 bigint, k2 bigint, b0 bigint, b1 bigint, prefix binary, sketch binary"), "sets")
 
     # -- the token-group matrix --------------------------------------------------
 
-    def matrix(self, nodes: DataFrame, cells: int, first_round: bool) -> DataFrame:
-        """nodes (rid, n, grp, members, prefix) -> packed columns of the matrix by a hash of the token.
+    def matrix(self, nodes: DataFrame) -> DataFrame:
+        """nodes -> the lines (token, rid, n, left) of all prefix tokens that two sets or more hold, packed by a hash of the token.
 
-        left counts the tokens of the set from this one on; in the first round each set is its own group.
+        left counts the tokens of the set from this one on. A token that one set holds alone links nothing,
+        in any round, so its line ends here.
         """
-        names = ["token", "rid", "n", "left"] + ([] if first_round else ["grp", "members"])
+        cells, names = max(8, nodes.count() // 4096), ["token", "rid", "n", "left"]
 
         def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                token, first = joined_bytes(batch.column(4), np.uint64)
+                token, first = joined_bytes(batch.column(2), np.uint64)
                 size = np.diff(first)
                 cell = (token % np.uint64(cells)).astype(np.int64)
                 order = np.argsort(cell, kind="stable")
-                edges = np.searchsorted(cell[order], np.arange(cells + 1))
-                used = np.flatnonzero(np.diff(edges))
-                bounds = np.append(edges[used], len(token))
-                rid, n, grp, members = (batch.column(k).to_numpy() for k in range(4))
+                begins = np.flatnonzero(np.diff(cell[order], prepend=-1))
+                bounds = np.append(begins, len(token))
+                rid, n = (batch.column(k).to_numpy() for k in range(2))
                 left = np.repeat(n + first[:-1], size) - np.arange(len(token))
                 columns = [token, np.repeat(rid, size), np.repeat(n, size).astype(np.int32), left.astype(np.int32)]
-                if not first_round:
-                    columns += [np.repeat(grp, size), np.repeat(members, size)]
-                yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), *(binary_column(c[order], bounds) for c in columns)], names=["cell", *names])
-
-        packed = nodes.select("rid", "n", "grp", "members", "prefix").mapInArrow(tidy(pack), "cell int, " + ", ".join(f"{x} binary" for x in names))
-        return packed
-
-    def queries(self, matrix: DataFrame, first_round: bool) -> DataFrame:
-        """(rid, grp): sets and other groups, of a possible size, that share a prefix token."""
+                yield pa.RecordBatch.from_arrays([pa.array(cell[order][begins].astype(np.int32)), *(binary_column(c[order], bounds) for c in columns)], names=["cell", *names])
+
+        def shared(table: pa.Table) -> pa.Table:
+            columns = [joined_bytes(table[c], kind)[0] for c, kind in zip(names, (np.uint64, np.int64, np.int32, np.int32), strict=True)]
+            order = np.argsort(columns[0], kind="stable")
+            token = columns[0][order]
+            again = np.zeros(len(token), bool)
+            again[1:] = token[1:] == token[:-1]
+            again[:-1] |= again[1:]
+            kept = order[again]
+            return pa.table([table["cell"][:1], *(binary_column(c[kept], np.array([0, len(kept)])) for c in columns)], names=["cell", *names])
+
+        schema = "cell int, " + ", ".join(f"{x} binary" for x in names)
+        packed = nodes.select("rid", "n", "prefix").mapInArrow(tidy(pack), schema)
+        return self.scratch.written(packed.groupBy("cell").applyInArrow(tidy_table(shared), schema), "matrix")
+
+    def queries(self, matrix: DataFrame, nodes: DataFrame, leading: int | None) -> DataFrame:
+        """(rid, grp): sets and groups that share a prefix token and can be similar by sizes, places and parities.
+
+        leading: the number of a leader round, in which grp is the rid of a leader; None: all groups of the matrix are met.
+        """
         percent = self.percent
 
+        def unpack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                token, first = joined_bytes(batch.column(1), np.uint64)
+                rid, n, left = (joined_bytes(batch.column(k), kind)[0] for k, kind in ((2, np.int64), (3, np.int32), (4, np.int32)))
+                cell = np.repeat(batch.column(0).to_numpy(), np.diff(first))
+                yield pa.RecordBatch.from_arrays([pa.array(cell), pa.array(token.view(np.int64)), pa.array(rid), pa.array(n), pa.array(left)], names=["cell", "token", "rid", "n", "left"])
+
+        def possible(x: np.ndarray, y: np.ndarray, row: dict[str, np.ndarray], line: dict[str, np.ndarray]) -> np.ndarray:
+            """Whether row x can be similar to a member of line y."""
+            n, low, high = row["n"][x], line["low"][y], line["high"][y]
+            fits = (100 * n >= percent * low) & (100 * high >= percent * n)
+            fits &= (100 + percent) * np.minimum(row["left"][x], line["left"][y]) >= percent * (n + low)
+            # Parities in which all members of the line agree and the set does not: each is a token that one of two has alone.
+            apart = sum(np.bitwise_count(((row[b][x] ^ line[b][y]) & line["all_" + b][y]).view(np.uint64)).astype(np.int64) for b in ("b0", "b1"))
+            return fits & ((100 - percent) * (n + high) >= (100 + percent) * apart)
+
         def meet(table: pa.Table) -> pa.Table:
-            token = joined_bytes(table["token"], np.uint64)[0]
-            rid = joined_bytes(table["rid"], np.int64)[0]
-            n, left = (joined_bytes(table[c], np.int32)[0].astype(np.int64) for c in ("n", "left"))
-            grp, members = (rid, np.ones_like(rid)) if first_round else (joined_bytes(table[c], np.int64)[0] for c in ("grp", "members"))
-            order = np.lexsort((grp, token))
-            token, rid, n, grp, members, left = (x[order] for x in (token, rid, n, grp, members, left))
-            new = np.ones(len(token), bool)
-            new[1:] = token[1:] != token[:-1]
+            row = {c: table[c].to_numpy() for c in ("token", "rid", "n", "left", "grp", "members", "b0", "b1")}
+            own = row["rid"] if leading is not None else row["grp"]
+            order = np.lexsort((own, row["token"]))
+            row, own = {c: x[order].astype(np.int64) for c, x in row.items()}, own[order]
+            new = np.ones(len(own), bool)
+            new[1:] = row["token"][1:] != row["token"][:-1]
             run = np.cumsum(new) - 1
-            head = new.copy()
-            head[1:] |= grp[1:] != grp[:-1]
-            share = lambda n_x, left_x, low_y, high_y, left_y: (100 * n_x >= percent * low_y) & (100 * high_y >= percent * n_x) & ((100 + percent) * np.minimum(left_x, left_y) >= percent * (n_x + low_y))
-            line = np.flatnonzero(head)
-            if first_round:
-                # Leaders are the sets that share most here: the least changed of a group of copies.
-                _, own = np.unique(rid, return_inverse=True)
-                shared = np.bincount(own, np.bincount(run)[run] - 1.0)[own] if len(run) else np.zeros(0)
-                order = np.lexsort((rid, -shared, run))
-                rid, n, grp, left = (x[order] for x in (rid, n, grp, left))
+            if leading is not None:
+                # Leaders share most with others at first, the least changed of a group of copies; later they are drawn.
+                _, place = np.unique(row["rid"], return_inverse=True)
+                rank = -np.bincount(place, np.bincount(run)[run] - 1.0)[place] if leading == 0 else mix64(row["rid"].view(np.uint64) + np.uint64(leading))
+                order = np.lexsort((row["rid"], rank, run))
+                row = {c: x[order] for c, x in row.items()}
+                line = row | {"low": row["n"], "high": row["n"], "all_b0": np.full(len(own), -1), "all_b1": np.full(len(own), -1)}
                 begin = np.flatnonzero(new)[run]
                 xs, gs = [], []
                 for k in range(LEADERS):
-                    i = np.flatnonzero(np.arange(len(token)) - begin > k)
+                    i = np.flatnonzero(np.arange(len(own)) - begin > k)
                     j = begin[i] + k
-                    fits = share(n[i], left[i], n[j], n[j], left[j])
-                    xs.append(rid[i[fits]])
-                    gs.append(grp[j[fits]])
+                    fits = (row["grp"][i] != row["grp"][j]) & possible(i, j, row, line)
+                    xs.append(row["rid"][i[fits]])
+                    gs.append(row["rid"][j[fits]])
                 x, g = unique_pairs(np.concatenate(xs), np.concatenate(gs))
             else:
                 # Rows of a line: one token, one group. Each row meets the other lines of its token.
-                low, high, most = np.minimum.reduceat(n, line), np.maximum.reduceat(n, line), np.maximum.reduceat(left, line)
-                per_run = np.bincount(run[line], minlength=run[-1] + 1)
+                head = new.copy()
+                head[1:] |= own[1:] != own[:-1]
+                at = np.flatnonzero(head)
+                line = {"low": np.minimum.reduceat(row["n"], at), "high": np.maximum.reduceat(row["n"], at), "left": np.maximum.reduceat(row["left"], at)}
+                for b in ("b0", "b1"):
+                    line[b] = np.bitwise_and.reduceat(row[b], at)
+                    line["all_" + b] = ~(line[b] ^ np.bitwise_or.reduceat(row[b], at))
+                per_run = np.bincount(run[at], minlength=run[-1] + 1)
                 line_first = np.concatenate([[0], np.cumsum(per_run)[:-1]])
                 mixed = np.flatnonzero(per_run[run] > 1)
                 xs, gs = [], []
@@ -229,16 +265,19 @@ class JaccardJoin:
                 for a, b in zip(step[:-1], step[1:], strict=True):
                     rows = mixed[a:b]
                     which, other = spread(line_first[run[rows]], per_run[run[rows]])
-                    i, j = rows[which], line[other]
-                    smaller = (members[i] < members[j]) | ((members[i] == members[j]) & (grp[i] < grp[j]))
-                    fits = smaller & share(n[i], left[i], low[other], high[other], most[other])
-                    x, g = unique_pairs(rid[i[fits]], grp[j[fits]])
+                    i, j = rows[which], at[other]
+                    smaller = (row["members"][i] < row["members"][j]) | ((row["members"][i] == row["members"][j]) & (own[i] < own[j]))
+                    fits = np.flatnonzero(smaller)
+                    fits = fits[possible(i[fits], other[fits], row, line)]
+                    x, g = unique_pairs(row["rid"][i[fits]], own[j[fits]])
                     xs.append(x)
                     gs.append(g)
                 x, g = unique_pairs(np.concatenate(xs), np.concatenate(gs)) if xs else (np.zeros(0, np.int64),) * 2
             return pa.table({"rid": pa.array(x, pa.int64()), "grp": pa.array(g, pa.int64())})
 
-        return matrix.groupBy("cell").applyInArrow(tidy_table(meet), "rid bigint, grp bigint").distinct()
+        lines = matrix.mapInArrow(tidy(unpack), "cell int, token bigint, rid bigint, n int, left int")
+        lines = lines.join(nodes.select("rid", "grp", "members", "b0", "b1"), "rid")
+        return lines.groupBy("cell").applyInArrow(tidy_table(meet), "rid bigint, grp bigint").distinct()
 
     # -- bounds and opened groups ------------------------------------------------
 
@@ -265,7 +304,7 @@ class JaccardJoin:
         large = nodes.filter("members > 1").select("grp", F.col("n").alias("low"), "sketch").mapInArrow(tidy(by_batch), schema)
         return alone.unionByName(large.groupBy("grp").applyInArrow(by_group, schema))
 
-    def qualifying(self, asked: DataFrame, nodes: DataFrame, first_round: bool) -> DataFrame:
+    def qualifying(self, asked: DataFrame, nodes: DataFrame) -> DataFrame:
         """The (rid, grp) whose union bound reaches the threshold."""
         percent = self.percent
         unions = self.unions(nodes.join(asked.select("grp").distinct(), "grp", "left_semi"))
@@ -356,25 +395,34 @@ class JaccardJoin:
         firsts = some.groupBy(*keys).agg(F.min("rid").alias("node"), F.count("*").alias("copies"))
         again = self.scratch.written(some.join(firsts.filter("copies > 1"), keys).filter("rid <> node").select("rid", "node"), "again")
         nodes = sets.filter("n > 0").join(again.select("rid"), "rid", "left_anti")
-        cells = min(1 << 15, max(8, sets.count() // 4096))
         alone = nodes.withColumn("grp", F.col("rid")).withColumn("members", F.lit(1).cast("long"))
-        links = self.scratch.written(self.round(alone, cells, True), "links")
-        labels = connected(links, self.scratch)
-        sizes = labels.groupBy("root").agg(F.count("*").alias("members"))
-        labels = self.scratch.written(labels.join(sizes, "root"), "labels")
-        grouped = nodes.join(labels, "rid", "left").withColumn("grp", F.coalesce("root", "rid")).withColumn("members", F.coalesce("members", F.lit(1).cast("long"))).drop("root")
-        more = self.scratch.written(self.round(grouped, cells, False), "links")
-        labels = self.scratch.written(connected(links.unionByName(more), self.scratch), "labels").withColumnRenamed("rid", "node")
+        matrix = self.matrix(nodes)
+        links, labels, grouped, leading = [], None, alone, 0
+        while True:
+            more, found, asking = self.round(matrix, grouped, grouped if leading is None else alone, leading)
+            if found:
+                links.append(more)
+                labels = connected(reduce(DataFrame.unionByName, links), self.scratch)
+            if leading is None:
+                break
+            if found:
+                sizes = labels.groupBy("root").agg(F.count("*").alias("members"))
+                grouped = nodes.join(self.scratch.written(labels.join(sizes, "root"), "labels"), "rid", "left")
+                grouped = grouped.withColumn("grp", F.coalesce("root", "rid")).withColumn("members", F.coalesce("members", F.lit(1).cast("long"))).drop("root")
+            leading = leading + 1 if found * ENOUGH > asking else None
         keyed = sets.select("rid", "doc_id", "n").join(again, "rid", "left").withColumn("node", F.coalesce("node", "rid"))
-        keyed = keyed.join(labels, "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node").alias("comp"))
+        root = labels.withColumnRenamed("rid", "node") if labels is not None else keyed.select("node", F.col("node").alias("root")).distinct()
+        keyed = keyed.join(root, "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node").alias("comp"))
         smallest = keyed.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
         out = written(keyed.join(smallest, "comp").select("rid", "doc_id", "n", "component_id"), "components")
         self.scratch.drop()
         return out
 
-    def round(self, nodes: DataFrame, cells: int, first_round: bool) -> DataFrame:
-        asked = self.scratch.written(self.queries(self.matrix(nodes, cells, first_round), first_round), "queries")
-        return self.opened(self.qualifying(asked, nodes, first_round), nodes)
+    def round(self, matrix: DataFrame, grouped: DataFrame, opening: DataFrame, leading: int | None) -> tuple[DataFrame, int, int]:
+        """(links, sets that found one, sets that asked); opening: the nodes in the groups that are opened."""
+        asked = self.scratch.written(self.queries(matrix, grouped, leading), "queries")
+        links = self.scratch.written(self.opened(self.qualifying(asked, opening), opening), "links")
+        return links, links.agg(F.countDistinct("a")).first()[0], asked.agg(F.countDistinct("rid")).first()[0]
 
 
 def connected(links: DataFrame, scratch: Scratch) -> DataFrame:

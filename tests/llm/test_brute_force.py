@@ -7,6 +7,7 @@ import re
 import zlib
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -440,3 +441,40 @@ def test_pipeline_stages(spark, tiny, documents):
     assert not [d for d in kept["decontamination"] if any(x in documents[d] for x in items)]
     out = corpus_pipeline.sharding(spark, docs, tiny).collect()
     assert len(out) == docs.count() and len({(r.shard, r.slot) for r in out}) == len(out)
+
+
+def test_jaccard_of_one_large_group_of_near_copies(spark, monkeypatch):
+    """2,000 texts around the threshold: the links of all pairs, without naming the pairs within the group."""
+    from rankloom.llm import jaccard
+
+    rng = np.random.default_rng(5)
+    base = [f"w{i}" for i in rng.integers(0, 10_000, 80)]
+    texts = []
+    for i in range(2000):
+        text = list(base)
+        for at in rng.integers(0, 80, rng.integers(1, 4)):
+            text[at] = f"x{rng.integers(0, 40)}"
+        texts.append((i, " ".join(text)))
+    docs = spark.createDataFrame(texts, "doc_id bigint, text string")
+    counted = []
+    written = jaccard.Scratch.written
+    monkeypatch.setattr(jaccard.Scratch, "written", lambda self, df, label: (out := written(self, df, label), counted.append(out.count()) if label == "queries" else None)[0])
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard.jaccard_components(docs).collect()}
+    assert sum(counted) < 20 * len(texts)
+    sets = [{tuple(w[k : k + 4]) for k in range(len(w) - 3)} for w in (t.split() for _, t in texts)]
+    held = {}
+    for i, s in enumerate(sets):
+        for shingle in s:
+            held.setdefault(shingle, []).append(i)
+    common = np.zeros((len(texts), len(texts)), np.int32)
+    for ids in held.values():
+        common[np.ix_(ids, ids)] += 1
+    size = np.array([len(s) for s in sets])
+    linked = 100 * common >= 85 * (size[:, None] + size[None, :] - common)
+    want = np.arange(len(texts))
+    while True:
+        new = np.array([want[row].min() for row in linked])
+        if (new == want).all():
+            break
+        want = new
+    assert got == {i: (int(size[i]), int(want[i])) for i in range(len(texts))}
