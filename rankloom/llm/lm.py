@@ -10,14 +10,18 @@ from a context to its shorter one at the cost of the backoff weight. All
 documents of a block go through it together, left to right, each carrying its
 state and its sum; long texts enter in pieces, warmed up on the words before.
 
-Nothing about the corpus is held whole anywhere. Documents are dealt to blocks;
-each block asks for the counts of its own n-grams, the answers, in the order
-asked, meet the block's documents again and make a small automaton there. An ask
-names a context once, by its 64-bit code, and its followers by 48 bits.
+Nothing about the corpus is held whole anywhere. Documents lie in blocks, bounded
+in bytes and compressed; a block asks for the counts of its own words first, and
+with them gets numbers for its words, small ones for frequent words. It then asks
+for its pairs and triples in these numbers, sorted and by planes of bytes, which
+compresses; the answers, in the order asked, meet the block again and make a
+small automaton there. A context that is common in the corpus, by the counts of
+its words, is spread over parts of its followers, so that no task counts it alone.
 
 Edge cases: a null text is empty and has the end token only; equal texts have
 equal scores; without learning documents every probability is the base's, with
-one unseen type; a null doc_id learns (crc32 of it is null).
+one unseen type; a null doc_id learns (crc32 of it is null); a text longer than a
+block is a block of its own.
 """
 
 from __future__ import annotations
@@ -29,15 +33,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankloom.llm.common import written
-from rankloom.llm.jaccard import binary_column, joined_bytes
-from rankloom.llm.words import WordChunk, mix64, tidy_pair, tidy_table, word_chunks
+from rankloom.llm.common import Scratch
+from rankloom.llm.words import WordChunk, mix64, text_buffers, tidy, tidy_pair, tidy_table, word_chunks
 
-ORDER, BLOCK_DOCS, WORD_CELLS, PIECE = 3, 4096, 256, 512
-#: Words of at least 1/HEAD of all learning tokens enter contexts: at this value those that occur once, so all of them.
-HEAD = 1 << 62
+ORDER, PIECE, ADD = 3, 512, 0.1
+BLOCK_BYTES, ROW_BYTES, COMMON = 6 << 20, 64, 1 << 22
 END = np.uint64(0x1F83D9ABFB41BD6B)
-ADD, FOLLOWER_BYTES = 0.1, 6
+#: Bytes of word numbers and counts in asks and replies.
+WIDE = 6
 
 
 def held_out(doc_id: Column) -> Column:
@@ -54,301 +57,387 @@ def with_ends(words: WordChunk) -> tuple[np.ndarray, np.ndarray]:
     return out, first
 
 
-def ngram_codes(tokens: np.ndarray, first: np.ndarray) -> list[tuple[np.ndarray, np.ndarray, np.ndarray]]:
-    """For each order from 2: (position, context code, n-gram code) of the n-grams, each within one document."""
-    out = []
-    place = np.arange(len(tokens)) - np.repeat(first[:-1], np.diff(first))
-    context = mix64(tokens + np.uint64(1))
-    for order in range(2, ORDER + 1):
-        spots = np.flatnonzero(place >= order - 1)
-        shifted = np.zeros_like(context)
-        shifted[1:] = context[:-1]
-        context = mix64(shifted * np.uint64(0x9E3779B97F4A7C15) + tokens)
-        out.append((spots, shifted[spots], context[spots]))
-    return out
+def in_planes(values: np.ndarray, width: int = WIDE) -> bytes:
+    """Byte after byte of all values, which compresses where high bytes are zero."""
+    return np.ascontiguousarray(values.astype(np.int64).view(np.uint8).reshape(len(values), 8)[:, :width].T).tobytes()
 
 
-def in_planes(values: np.ndarray) -> bytes:
-    """Byte after byte of all values, which compresses where high bytes are zero."""
-    return values.view(np.uint8).reshape(len(values), -1).T.tobytes()
+def packed(parts: list[np.ndarray]) -> bytes:
+    return pa.compress(b"".join(in_planes(x) for x in parts), "zstd", asbytes=True)
 
 
-def from_planes(data: np.ndarray, n: int, kind: type) -> np.ndarray:
-    return np.ascontiguousarray(data.reshape(-1, n).T).reshape(-1).view(kind) if n else np.zeros(0, kind)
+def unpacked(data: bytes, sizes: list[int]) -> list[np.ndarray]:
+    """The arrays of given sizes that were packed together."""
+    raw = np.frombuffer(pa.decompress(data, WIDE * sum(sizes), "zstd", asbytes=True), np.uint8)
+    out, at = [], 0
+    for n in sizes:
+        wide = np.zeros((n, 8), np.uint8)
+        wide[:, :WIDE] = raw[at : at + WIDE * n].reshape(WIDE, n).T
+        out.append(wide.reshape(-1).view(np.int64))
+        at += WIDE * n
+    return out
 
 
-def packed(*parts: bytes) -> bytes:
-    return pa.compress(b"".join(parts), "zstd", asbytes=True)
+def unique_inverse(key: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(different keys in order, place of each key among them, some place of each different key)."""
+    order = np.argsort(key)
+    ordered = key[order]
+    new = np.ones(len(key), bool)
+    new[1:] = ordered[1:] != ordered[:-1]
+    back = np.empty(len(key), np.int32)
+    back[order] = np.cumsum(new, dtype=np.int32) - 1
+    return ordered[new], back, order[new]
 
 
-def unpacked(data: bytes, size: int) -> np.ndarray:
-    return np.frombuffer(pa.decompress(data, size, "zstd", asbytes=True), np.uint8)
+def power_of_two(n: int) -> int:
+    return max(8, 1 << max(0, n - 1).bit_length())
 
 
-class BlockGrams:
-    """The different words and n-grams of one block, in the order in which it asks for them.
+# -- blocks ------------------------------------------------------------------------
 
-    Each of kinds is ordered by context and code. code, shorter (code without its
-    first word) and back (position -> its n-gram) go by n-gram; context, size (its
-    n-grams) and edges (the contexts of each cell) by context. A word is a context
-    of its own, of one n-gram.
-    """
 
-    def __init__(self, tokens: np.ndarray, first: np.ndarray, cells: int):
-        self.tokens, self.first, self.cells = tokens, first, cells
-        self.spots = [np.arange(len(tokens))]
-        self.kinds = [self.ordered(tokens, tokens, tokens)]
-        codes = tokens
-        for spots, context, code in ngram_codes(tokens, first):
-            self.spots.append(spots)
-            self.kinds.append(self.ordered(context, code, codes[spots]))
-            codes = np.zeros(len(tokens), np.uint64)
-            codes[spots] = code
-
-    def ordered(self, context: np.ndarray, code: np.ndarray, shorter: np.ndarray) -> dict[str, np.ndarray]:
-        unique, at, back = np.unique(code, return_index=True, return_inverse=True)
-        context, shorter = context[at], shorter[at]
-        order = np.argsort(context, kind="stable")
-        place = np.empty(len(order), np.int64)
-        place[order] = np.arange(len(order))
-        context, size = np.unique(context, return_counts=True)
-        bounds = np.arange(1, self.cells, dtype=np.uint64) << np.uint64(64 - self.cells.bit_length() + 1)
-        edges = np.concatenate([[0], np.searchsorted(context, bounds), [len(context)]])
-        return {"code": unique[order], "shorter": shorter[order], "back": place[back], "context": context, "size": size, "edges": edges}
-
-    def asks(self, learns: np.ndarray, block: int) -> pa.Table:
-        """A row for each kind and cell: contexts, followers and their occurrences in the block's learning documents."""
-        mine = np.repeat(learns, np.diff(self.first))
-        kinds, places, contexts, grams, asks = [], [], [], [], []
-        for k, (g, spots) in enumerate(zip(self.kinds, self.spots, strict=True)):
-            n = np.bincount(g["back"][mine[spots]], minlength=len(g["code"])).astype(np.uint32)
-            low = np.ascontiguousarray(g["code"]).view(np.uint8).reshape(-1, 8)[:, :FOLLOWER_BYTES]
-            start = np.concatenate([[0], np.cumsum(g["size"])])
-            for cell in np.flatnonzero(np.diff(g["edges"])):
-                lo, hi = g["edges"][cell : cell + 2]
-                a, b = start[lo], start[hi]
-                parts = [in_planes(np.diff(g["context"][lo:hi], prepend=np.uint64(0))), in_planes(n[a:b])]
-                if k:
-                    parts += [in_planes(g["size"][lo:hi].astype(np.uint32)), low[a:b].tobytes()]
-                kinds.append(k)
-                places.append(cell)
-                contexts.append(hi - lo)
-                grams.append(b - a)
-                asks.append(packed(*parts))
-        numbers = [pa.array(np.array(x, np.int32)) for x in (np.full(len(kinds), block), kinds, places, contexts, grams)]
-        return pa.table([*numbers, pa.array(asks, pa.binary())], names=["block", "kind", "cell", "contexts", "grams", "ask"])
-
-    def answers(self, replies: pa.Table) -> list[dict[str, np.ndarray]]:
-        """For each kind n and followers, by n-gram in its order."""
-        replies = replies.sort_by([("kind", "ascending"), ("cell", "ascending")])
-        n, followers = ([[np.zeros(0, np.int64)] for _ in range(ORDER)] for _ in range(2))
-        for row in zip(*(replies[c].to_pylist() for c in ("kind", "contexts", "grams", "reply")), strict=True):
-            kind, contexts, grams, reply = row
-            data = unpacked(reply, 8 * (grams + (contexts if kind else 0)))
-            n[kind].append(from_planes(data[: 8 * grams], grams, np.int64))
-            followers[kind].append(from_planes(data[8 * grams :], contexts if kind else 0, np.int64))
-        out = [{"n": np.concatenate(n[0])}]
-        return out + [{"n": np.concatenate(n[k]), "followers": np.repeat(np.concatenate(followers[k]), self.kinds[k]["size"])} for k in range(1, ORDER)]
-
-
-def word_totals(docs: DataFrame) -> DataFrame:
-    """cell, code, n: exact learning counts of all words and the end token, a row for each cell."""
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def blocks_of(docs: DataFrame) -> DataFrame:
+    """documents -> block, doc_id, held, size (bytes) lists and the texts, compressed together."""
+
+    def bundle(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+
+        def row() -> pa.RecordBatch:
+            table = pa.Table.from_batches(held)
+            as_list = lambda x: pa.ListArray.from_arrays(pa.array([0, len(x)], pa.int32()), x)
+            buffers = [text_buffers(chunk) for chunk in table["text"].chunks]
+            texts = b"".join(data[offsets[0] : offsets[-1]].tobytes() for data, offsets in buffers)
+            sizes = np.concatenate([np.diff(offsets) for _, offsets in buffers])
+            lists = [as_list(x) for x in (*(pa.concat_arrays(table[c].chunks) for c in ("doc_id", "held")), pa.array(sizes, pa.int64()))]
+            return pa.RecordBatch.from_arrays([pa.array([table["id"][0].as_py()]), *lists, pa.array([pa.compress(texts, "zstd", asbytes=True)])], names=["block", "doc_id", "held", "size", "texts"])
+
         for batch in batches:
-            codes = [with_ends(words)[0] for _, _, words in word_chunks(batch.column(0))]
-            code, n = np.unique(np.concatenate(codes), return_counts=True) if codes else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-            cell = (mix64(code) % np.uint64(WORD_CELLS)).astype(np.int64)
-            order = np.argsort(cell, kind="stable")
-            edges = np.searchsorted(cell[order], np.arange(WORD_CELLS + 1))
-            used = np.flatnonzero(np.diff(edges))
-            bounds = np.append(edges[used], len(code))
-            yield pa.RecordBatch.from_arrays([pa.array(used.astype(np.int32)), binary_column(code[order], bounds), binary_column(n[order].astype(np.int64), bounds)], names=["cell", "code", "n"])
+            offsets = text_buffers(batch.column(3))[1]
+            offsets = offsets + ROW_BYTES * np.arange(len(offsets))
+            lo = 0
+            while lo < batch.num_rows:
+                hi = int(np.searchsorted(offsets, offsets[lo] + BLOCK_BYTES - size, "right")) - 1
+                hi = min(max(hi, lo + (not held)), batch.num_rows)
+                if hi > lo:
+                    held.append(batch.slice(lo, hi - lo))
+                    size += int(offsets[hi] - offsets[lo])
+                if hi < batch.num_rows:
+                    yield row()
+                    held, size = [], 0
+                lo = hi
+        if held:
+            yield row()
+
+    rows = docs.select(F.monotonically_increasing_id().alias("id"), F.col("doc_id").cast("long"), held_out(F.col("doc_id")).alias("held"), F.coalesce("text", F.lit("")).alias("text"))
+    return rows.mapInArrow(tidy(bundle), "block bigint, doc_id array<bigint>, held array<boolean>, size array<bigint>, texts binary")
+
+
+class BlockWords:
+    """Tokens of one block: codes (its different words in order), word (token -> place in codes), first token of each document."""
+
+    def __init__(self, held: np.ndarray, size: np.ndarray, texts: bytes):
+        data = pa.decompress(texts, int(size.sum()), "zstd") if len(size) else pa.py_buffer(b"")
+        column = pa.LargeStringArray.from_buffers(len(size), pa.py_buffer(np.concatenate([[0], np.cumsum(size)]).astype(np.int64)), data)
+        tokens, first, done = [], [np.zeros(1, np.int64)], 0
+        for _, _, words in word_chunks(column):
+            part, begin = with_ends(words)
+            tokens.append(part)
+            first.append(begin[1:] + done)
+            done += len(part)
+        self.first = np.concatenate(first)
+        self.learns = np.repeat(~held, np.diff(self.first))
+        self.codes, self.word, _ = unique_inverse(np.concatenate(tokens) if tokens else np.zeros(0, np.uint64))
+
+    @classmethod
+    def of(cls, row: dict) -> BlockWords:
+        return cls(np.array(row["held"], bool), np.array(row["size"], np.int64), row["texts"])
+
+    def edges(self, cells: int) -> np.ndarray:
+        """The words of each cell, which is a range of codes."""
+        bounds = np.arange(1, cells, dtype=np.uint64) << np.uint64(65 - cells.bit_length())
+        return np.concatenate([[0], np.searchsorted(self.codes, bounds), [len(self.codes)]])
+
+    def asks(self, block: int, cells: int) -> list[tuple]:
+        """(block, kind, cell, contexts, grams, data) for each cell: words as differences of their codes, and their learning occurrences."""
+        n = np.bincount(self.word[self.learns], minlength=len(self.codes))
+        edges, out = self.edges(cells), []
+        for cell in np.flatnonzero(np.diff(edges)):
+            lo, hi = edges[cell : cell + 2]
+            codes = np.diff(self.codes[lo:hi], prepend=np.uint64(0))
+            data = pa.compress(np.ascontiguousarray(codes.view(np.uint8).reshape(-1, 8).T).tobytes() + in_planes(n[lo:hi]), "zstd", asbytes=True)
+            out.append((block, 0, cell, 0, hi - lo, data))
+        return out
 
-    def total(table: pa.Table) -> pa.Table:
-        code, n = joined_bytes(table["code"], np.uint64)[0], joined_bytes(table["n"], np.int64)[0]
-        code, n = summed(code, n)
-        edge = lambda x: np.array([0, len(x)])
-        return pa.table([pa.array([table["cell"][0].as_py()], pa.int32()), binary_column(code, edge(code)), binary_column(n, edge(n)), pa.array([len(code)]), pa.array([int(n.sum())])], names=["cell", "code", "n", "types", "tokens"])
 
-    learn = docs.filter(~held_out(F.col("doc_id"))).select("text")
-    return learn.mapInArrow(count, "cell int, code binary, n binary").groupBy("cell").applyInArrow(total, "cell int, code binary, n binary, types bigint, tokens bigint")
+class BlockGrams:
+    """Pairs and triples of a block whose words have their corpus counts and numbers.
+
+    Words are placed by number. kinds[k] holds the n-grams of k + 2 words, ordered
+    by context and last word: at (token -> n-gram or -1), n (learning occurrences), shorter
+    (the n-gram without its first word), word (the last one), size (n-grams of each
+    context), context (each context as an n-gram one shorter).
+    """
+
+    def __init__(self, words: BlockWords, counts: np.ndarray, number: np.ndarray):
+        order = np.argsort(number)
+        place = np.empty(len(order), np.int32)
+        place[order] = np.arange(len(order), dtype=np.int32)
+        self.first, self.counts, self.number = words.first, counts[order], number[order]
+        self.word = place[words.word] if len(order) else words.word
+        inside = np.arange(len(self.word)) - np.repeat(self.first[:-1], np.diff(self.first))
+        self.kinds, shorter = [], self.word
+        for k in range(2, ORDER + 1):
+            spots = np.flatnonzero(inside >= k - 1)
+            key = shorter[spots - 1].astype(np.int64) * len(order) + self.word[spots]
+            key, back, some = unique_inverse(key)
+            context, word = key // max(1, len(order)), (key % max(1, len(order))).astype(np.int32)
+            head = np.flatnonzero(np.diff(context, prepend=-1))
+            at = np.full(len(self.word), -1, np.int32)
+            at[spots] = back
+            kind = {"at": at, "n": np.bincount(back[words.learns[spots]], minlength=len(key)), "shorter": shorter[spots[some]], "word": word, "context": context[head], "size": np.diff(np.append(head, len(key)))}
+            self.kinds.append(kind)
+            shorter = at
+
+    def first_words(self, k: int) -> list[np.ndarray]:
+        """The words of each context of kinds[k], each by its place."""
+        context = self.kinds[k]["context"]
+        if k == 0:
+            return [context]
+        below = self.kinds[0]
+        owner = np.repeat(below["context"], below["size"])
+        return [owner[context], below["word"][context].astype(np.int64)]
+
+    def parts(self, k: int, total: int) -> np.ndarray:
+        """Into how many parts the followers of each context go: more for those expected to be common."""
+        words = self.first_words(k)
+        expected = self.counts[words[0]].astype(float)
+        for w in words[1:]:
+            expected = np.minimum(np.minimum(expected, self.counts[w]), 8 * expected * self.counts[w] / max(1, total))
+        return 1 + (expected / COMMON).astype(np.int64)
+
+    def lines(self, k: int, cells: int, total: int) -> tuple[np.ndarray, ...]:
+        """How n-grams go to cells: (context, part and cell of each line, n-grams by line, their number in each line).
+
+        A line is a part of a context; every part is asked for, as the followers in all parts make those of the context.
+        """
+        kind, parts = self.kinds[k], self.parts(k, total)
+        hashed = np.zeros(len(parts), np.uint64)
+        for w in self.first_words(k):
+            hashed = mix64(hashed * np.uint64(0x9E3779B97F4A7C15) + self.number[w].view(np.uint64) + np.uint64(1))
+        begin = np.cumsum(parts) - parts
+        context = np.repeat(np.arange(len(parts)), parts)
+        part = np.arange(len(context)) - begin[context]
+        cell = (mix64(hashed[context] + part.astype(np.uint64)) >> np.uint64(65 - cells.bit_length())).astype(np.int64)
+        owner = np.repeat(np.arange(len(parts)), kind["size"])
+        line = begin[owner]
+        split = np.flatnonzero(parts[owner] > 1)
+        spread = mix64(self.number[kind["word"][split]].view(np.uint64) + np.uint64(7)) % parts[owner[split]].astype(np.uint64)
+        line[split] += spread.astype(np.int64)
+        small = np.uint16 if cells <= 1 << 16 else np.int64
+        by_cell = np.argsort(cell.astype(small), kind="stable")
+        rank = np.empty(len(by_cell), np.int64)
+        rank[by_cell] = np.arange(len(by_cell))
+        grams = np.argsort(rank[line], kind="stable") if len(split) else np.argsort(cell[line].astype(small), kind="stable")
+        return context[by_cell], part[by_cell], cell[by_cell], grams, np.bincount(rank[line], minlength=len(by_cell))
+
+    def asks(self, block: int, cells: int, total: int) -> list[tuple]:
+        """Rows as of words: contexts by their words, and followers with their learning occurrences."""
+        out = []
+        for k, kind in enumerate(self.kinds):
+            context, part, cell, grams, size = self.lines(k, cells, total)
+            words = [*(self.number[w][context] for w in self.first_words(k)), part]
+            follower, n = self.number[kind["word"]][grams], kind["n"][grams]
+            line_edge, upto = np.searchsorted(cell, np.arange(cells + 1)), np.concatenate([[0], np.cumsum(size)])
+            for c in np.flatnonzero(np.diff(line_edge)):
+                lo, hi = line_edge[c : c + 2]
+                a, b = upto[lo], upto[hi]
+                parts = [np.diff(words[0][lo:hi], prepend=0), *(w[lo:hi] for w in words[1:]), size[lo:hi], follower[a:b], n[a:b]]
+                out.append((block, k + 1, c, hi - lo, b - a, packed(parts)))
+        return out
+
+    def answers(self, k: int, replies: list[dict], cells: int, total: int) -> tuple[np.ndarray, np.ndarray]:
+        """(corpus count of each n-gram of kinds[k], followers of each context)."""
+        context, _, _, grams, _ = self.lines(k, cells, total)
+        got = [unpacked(r["data"], [r["grams"], r["contexts"]]) for r in sorted(replies, key=lambda r: r["cell"])]
+        n = np.zeros(len(grams), np.int64)
+        n[grams] = np.concatenate([x for x, _ in got]) if got else n
+        followers = np.concatenate([x for _, x in got]) if got else np.zeros(0, np.int64)
+        return n, np.bincount(context, followers, minlength=len(self.kinds[k]["size"])).astype(np.int64)
+
+
+ASKS = "block bigint, kind int, cell int, contexts bigint, grams bigint, data binary"
+
+
+def as_table(rows: list[tuple]) -> pa.Table:
+    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
+    columns = list(zip(*rows, strict=True)) if rows else [()] * len(kinds)
+    return pa.table([pa.array([int(x) if i < 5 else x for x in c], kind) for i, (c, kind) in enumerate(zip(columns, kinds, strict=True))], names=["block", "kind", "cell", "contexts", "grams", "data"])
+
+
+# -- cells: counts of the corpus ---------------------------------------------------
+
+
+def number_words(cells: int, table: pa.Table) -> pa.Table:
+    """Asks of all blocks for the words of a cell -> to each block counts and numbers, in its order.
+
+    The first row has the types and tokens of the cell.
+    """
+    cell, codes, n = table["cell"][0].as_py(), [], []
+    for grams, ask in zip(table["grams"].to_pylist(), table["data"].to_pylist(), strict=True):
+        raw = pa.decompress(ask, (8 + WIDE) * grams, "zstd", asbytes=True)
+        codes.append(np.cumsum(np.ascontiguousarray(np.frombuffer(raw[: 8 * grams], np.uint8).reshape(8, grams).T).reshape(-1).view(np.uint64), dtype=np.uint64))
+        wide = np.zeros((grams, 8), np.uint8)
+        wide[:, :WIDE] = np.frombuffer(raw[8 * grams :], np.uint8).reshape(WIDE, grams).T
+        n.append(wide.reshape(-1).view(np.int64))
+    known, back, _ = unique_inverse(np.concatenate(codes))
+    total = np.bincount(back, np.concatenate(n), minlength=len(known)).astype(np.int64)
+    number = np.empty(len(known), np.int64)
+    number[np.argsort(-total, kind="stable")] = np.arange(len(known)) * cells + cell
+    upto = np.cumsum([len(c) for c in codes])
+    replies = [packed([total[back[b - len(c) : b]], number[back[b - len(c) : b]]]) for c, b in zip(codes, upto, strict=True)]
+    rest = [0] * (len(replies) - 1)
+    table = table.drop_columns(["data"]).append_column("data", pa.array(replies, pa.binary()))
+    return table.append_column("types", pa.array([int((total > 0).sum()), *rest], pa.int64())).append_column("tokens", pa.array([int(total.sum()), *rest], pa.int64()))
+
+
+def count_grams(table: pa.Table) -> pa.Table:
+    """Asks of all blocks for one kind and cell -> to each block, in its order, n by n-gram and followers by line."""
+    kind = table["kind"][0].as_py()
+    contexts, grams = table["contexts"].to_pylist(), table["grams"].to_pylist()
+    lines, size, follower, n = ([] for _ in range(4))
+    for c, g, ask in zip(contexts, grams, table["data"].to_pylist(), strict=True):
+        first, *rest, s, f, m = unpacked(ask, [c] * (kind + 2) + [g, g])
+        code = mix64(np.cumsum(first).view(np.uint64) + np.uint64(1))
+        for word in rest:
+            code = mix64(code * np.uint64(0x9E3779B97F4A7C15) + word.view(np.uint64))
+        for x, y in ((lines, code), (size, s), (follower, f.view(np.uint64)), (n, m)):
+            x.append(y)
+    _, line, _ = unique_inverse(np.concatenate(lines))
+    owner = np.repeat(line, np.concatenate(size))
+    code = mix64(np.repeat(np.concatenate(lines), np.concatenate(size)) * np.uint64(0x9E3779B97F4A7C15) + np.concatenate(follower))
+    _, back, some = unique_inverse(code)
+    total = np.bincount(back, np.concatenate(n), minlength=len(some)).astype(np.int64)
+    followers = np.bincount(owner[some], total > 0, minlength=int(line.max(initial=-1)) + 1).astype(np.int64)[line]
+    total = total[back]
+    c_end, g_end = np.cumsum(contexts), np.cumsum(grams)
+    replies = [packed([total[g1 - g : g1], followers[c1 - c : c1]]) for c, c1, g, g1 in zip(contexts, c_end, grams, g_end, strict=True)]
+    return table.drop_columns(["data"]).append_column("data", pa.array(replies, pa.binary()))
 
 
-def summed(code: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    order = np.argsort(code, kind="stable")
-    code, n = code[order], n[order]
-    head = np.flatnonzero(np.r_[True, code[1:] != code[:-1]]) if len(code) else np.zeros(0, np.int64)
-    return code[head], np.add.reduceat(n, head) if len(head) else n
+# -- the automaton -----------------------------------------------------------------
 
 
 class Automaton:
     """States, arcs and failure arcs over the n-grams of one block.
 
-    State 0 has no context. Arcs are sorted by (state, token); arc weights are
-    log10 probabilities, a failure weight is the log10 of the backoff mass.
+    State 0 of each document has no context; a word or n-gram that learning documents go
+    on from is the state of its last words. arc[k] and known[k] tell the log10 weight of
+    an n-gram of k + 1 words and whether it is an arc; failure[k] and live[k] the log10 backoff
+    mass of a context of k + 1 words and whether it is a state.
     """
 
-    def __init__(self, orders: list[dict]):
-        self.contexts, self.failure, self.arcs, self.weights = ([o[k] for o in orders] for k in ("context", "failure", "code", "logp"))
-
-    def step(self, state: list[np.ndarray], tokens: np.ndarray, logp: np.ndarray) -> tuple[np.ndarray, list[np.ndarray]]:
-        """One token for every walker. state[k]: code of the context of k + 1 tokens, 0 if that is no state.
-
-        logp: the tokens' weights without context. Returns the gained log-probability and the next state.
-        """
-        gained = np.zeros(len(tokens))
-        todo = np.ones(len(tokens), bool)
-        for k in range(len(state) - 1, -1, -1):
-            live = np.flatnonzero(todo & (state[k] != 0))
-            if not len(live) or not len(self.contexts[k]):
-                continue
-            at = np.minimum(np.searchsorted(self.contexts[k], state[k][live]), len(self.contexts[k]) - 1)
-            known = self.contexts[k][at] == state[k][live]
-            live, at = live[known], at[known]
-            code = mix64(state[k][live] * np.uint64(0x9E3779B97F4A7C15) + tokens[live])
-            arc = np.minimum(np.searchsorted(self.arcs[k], code), len(self.arcs[k]) - 1)
-            hit = self.arcs[k][arc] == code
-            gained[live[hit]] += self.weights[k][arc[hit]]
-            todo[live[hit]] = False
-            gained[live[~hit]] += self.failure[k][at[~hit]]
-        gained[todo] += logp[todo]
-        nxt = [mix64(tokens + np.uint64(1))]
-        for k in range(1, len(state)):
-            longer = mix64(state[k - 1] * np.uint64(0x9E3779B97F4A7C15) + tokens)
-            nxt.append(np.where(state[k - 1] != 0, longer, np.uint64(0)))
-        return gained, nxt
-
-    def walk(self, tokens: np.ndarray, logp: np.ndarray, first: np.ndarray) -> np.ndarray:
+    def __init__(self, grams: BlockGrams, answers: list[tuple[np.ndarray, np.ndarray]], floor: float):
+        p, mass = (grams.counts + ADD) / floor, grams.counts
+        self.grams, self.arc, self.known, self.failure, self.live = grams, [np.log10(p)], [np.ones(len(p), bool)], [], []
+        for kind, (n, followers) in zip(grams.kinds, answers, strict=True):
+            context = kind["context"]
+            failure, live = np.zeros(len(mass)), np.zeros(len(mass), bool)
+            live[context] = (mass[context] > 0) & (followers > 0)
+            failure[context] = np.log10(np.maximum(followers, 1) / np.maximum(mass[context] + followers, 1))
+            m, f = np.repeat(mass[context], kind["size"]), np.repeat(followers, kind["size"])
+            below = p[kind["shorter"]]
+            p = np.where(m > 0, (n + f * below) / np.maximum(m + f, 1), below)
+            mass = n
+            self.arc.append(np.log10(p))
+            self.known.append(n > 0)
+            self.failure.append(failure)
+            self.live.append(live)
+
+    def walk(self) -> np.ndarray:
         """Log10 probability of every document; one pass from left to right over all of them."""
+        first, at = self.grams.first, [self.grams.word, *(k["at"] for k in self.grams.kinds)]
         count = np.diff(first)
         pieces = -(-count // PIECE)
         doc = np.repeat(np.arange(len(count)), pieces)
         part = np.arange(len(doc)) - np.repeat(np.cumsum(pieces) - pieces, pieces)
         begin = first[doc] + part * PIECE
-        end = np.minimum(begin + PIECE, first[doc + 1])
         warm = np.where(part > 0, ORDER - 1, 0)
-        order = np.argsort(-(end - begin + warm), kind="stable")
-        begin, end, warm, owner = begin[order], end[order], warm[order], doc[order]
-        length = end - begin + warm
+        length = np.minimum(begin + PIECE, first[doc + 1]) - begin + warm
+        order = np.argsort(-length, kind="stable")
+        begin, warm, length, owner = begin[order], warm[order], length[order], doc[order]
         total = np.zeros(len(begin))
-        state = [np.zeros(len(begin), np.uint64) for _ in range(ORDER - 1)]
-        for t in range(int(length.max()) if len(length) else 0):
+        state = [np.full(len(begin), -1, np.int32) for _ in range(ORDER - 1)]
+        for t in range(int(length[0]) if len(length) else 0):
             live = int(np.searchsorted(-length, -t, "left"))
             pos = begin[:live] - warm[:live] + t
-            token = tokens[pos]
-            gained, state = self.step([s[:live] for s in state], token, logp[pos])
+            gained, todo = np.zeros(live), np.ones(live, bool)
+            for k in range(ORDER - 1, 0, -1):
+                here = todo & (state[k - 1][:live] >= 0)
+                gram = at[k][pos]
+                hit = here & self.known[k][gram] if len(self.known[k]) else np.zeros(live, bool)
+                gained += np.where(hit, self.arc[k][gram], 0) if len(self.arc[k]) else 0
+                gained += np.where(here & ~hit, self.failure[k - 1][state[k - 1][:live]], 0)
+                todo &= ~hit
+            word = at[0][pos]
+            gained += np.where(todo, self.arc[0][word], 0)
             total[:live] += np.where(t >= warm[:live], gained, 0)
+            follows = t > 0
+            for k in range(ORDER - 1):
+                # The last k + 1 words, where they lie in the walker's text and learning documents go on from them.
+                gram = at[k][pos]
+                known = (gram >= 0) & (follows | (k == 0))
+                state[k] = np.where(known & self.live[k][gram] if len(self.live[k]) else False, gram, -1).astype(np.int32)
         return np.bincount(owner, total, minlength=len(count))
 
 
-def build_automaton(grams: BlockGrams, answers: list[dict[str, np.ndarray]], floor: float) -> tuple[Automaton, np.ndarray]:
-    """The automaton of a block; the corpus counts of its words in order.
-
-    A context occurs as often as its words do, since the end token alone has no follower.
-    """
-    words, counts = grams.kinds[0]["code"], answers[0]["n"]
-    orders, shorter_codes, shorter_p = [], words, (counts + ADD) / floor
-    keys, masses = mix64(words + np.uint64(1)), counts
-    for kind, answer in zip(grams.kinds[1:], answers[1:], strict=True):
-        order = np.argsort(keys, kind="stable")
-        live_mass = masses[order][np.searchsorted(keys[order], kind["context"])] if len(keys) else np.zeros(0, np.int64)
-        mass = np.repeat(live_mass, kind["size"])
-        code, n, followers = kind["code"], answer["n"], answer["followers"]
-        p_short = shorter_p[np.searchsorted(shorter_codes, kind["shorter"])] if len(code) else np.zeros(0)
-        p = np.where(mass > 0, (n + followers * p_short) / np.maximum(mass + followers, 1), p_short)
-        live = live_mass > 0
-        kinds = followers[np.cumsum(kind["size"]) - 1][live] if len(code) else np.zeros(0, np.int64)
-        keys, masses = code, n
-        order = np.argsort(code, kind="stable")
-        shorter_codes, shorter_p = code[order], p[order]
-        seen = n[order] > 0
-        orders.append({"context": kind["context"][live], "failure": np.log10(kinds / (live_mass[live] + kinds)), "code": shorter_codes[seen], "logp": np.log10(shorter_p[seen])})
-    return Automaton(orders), counts
-
-
-def resolve(table: pa.Table) -> pa.Table:
-    """Asks of all blocks for one kind and cell -> to each block, in its order, n by n-gram and followers by context."""
-    kind = table["kind"][0].as_py()
-    contexts, grams = table["contexts"].to_numpy(), table["grams"].to_numpy()
-    context, size, follower, n = ([] for _ in range(4))
-    for c, g, ask in zip(contexts, grams, table["ask"].to_pylist(), strict=True):
-        data = unpacked(ask, int(8 * c + 4 * g + (4 * c + FOLLOWER_BYTES * g if kind else 0)))
-        context.append(np.cumsum(from_planes(data[: 8 * c], c, np.uint64), dtype=np.uint64))
-        n.append(from_planes(data[8 * c : 8 * c + 4 * g], g, np.uint32))
-        if kind:
-            data = data[8 * c + 4 * g :]
-            size.append(from_planes(data[: 4 * c], c, np.uint32).astype(np.int64))
-            wide = np.zeros((g, 8), np.uint8)
-            wide[:, :FOLLOWER_BYTES] = data[4 * c :].reshape(g, FOLLOWER_BYTES)
-            follower.append(wide.reshape(-1).view(np.uint64))
-    context, n = np.concatenate(context), np.concatenate(n)
-    lines, line = np.unique(context, return_inverse=True)
-    if kind:
-        owner = np.repeat(line, np.concatenate(size))
-        code = mix64(lines[owner] * np.uint64(0x9E3779B97F4A7C15) + np.concatenate(follower))
-        _, at, back = np.unique(code, return_index=True, return_inverse=True)
-        total = np.bincount(back, n, minlength=len(at)).astype(np.int64)
-        followers = np.bincount(owner[at], total > 0, minlength=len(lines)).astype(np.int64)[line]
-    else:
-        back, total = line, np.bincount(line, n, minlength=len(lines)).astype(np.int64)
-        followers = np.zeros(0, np.int64)
-    total = total[back]
-    c_end, g_end = np.cumsum(contexts, dtype=np.int64), np.cumsum(grams, dtype=np.int64)
-    replies = [packed(in_planes(total[g1 - g : g1]), in_planes(followers[c1 - c : c1]) if kind else b"") for c, c1, g, g1 in zip(contexts, c_end, grams, g_end, strict=True)]
-    return table.drop_columns(["ask"]).append_column("reply", pa.array(replies, pa.binary()))
-
-
-def block_tokens(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    """Tokens of a block's documents, in their order, and the first of each."""
-    tokens, first = [], [np.zeros(1, np.int64)]
-    done = 0
-    for chunk in table["text"].chunks:
-        for _, _, words in word_chunks(chunk):
-            part, begin = with_ends(words)
-            tokens.append(part)
-            first.append(begin[1:] + done)
-            done += len(part)
-    return (np.concatenate(tokens) if tokens else np.zeros(0, np.uint64)), np.concatenate(first)
-
-
 SCORED = "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double"
 
 
-def score_blocks(docs: DataFrame, n_total: int, floor: float) -> DataFrame:
-    """Documents to blocks, asks to cells, answers back to the blocks' documents."""
-    blocks = max(1, docs.count() // BLOCK_DOCS)
-    cells = min(4096, max(8, 1 << (blocks - 1).bit_length()))
-    place = F.pmod(F.xxhash64("doc_id", F.when(F.col("doc_id").isNull(), F.col("text"))), F.lit(blocks)).cast("int")
-    dealt = docs.select("doc_id", held_out(F.col("doc_id")).alias("held"), F.coalesce("text", F.lit("")).alias("text"), place.alias("block"))
-
-    def ask(table: pa.Table) -> pa.Table:
-        tokens, first = block_tokens(table)
-        return BlockGrams(tokens, first, cells).asks(~table["held"].to_numpy(), table["block"][0].as_py())
-
-    def score(table: pa.Table, replies: pa.Table) -> pa.Table:
-        tokens, first = block_tokens(table)
-        grams = BlockGrams(tokens, first, cells)
-        automaton, counts = build_automaton(grams, grams.answers(replies), floor)
-        at = grams.kinds[0]["back"]
-        word_logp = np.log10((counts + ADD) / floor)[at]
-        del grams
-        walked = automaton.walk(tokens, word_logp, first)
-        doc = np.repeat(np.arange(table.num_rows), np.diff(first))
-        total = lambda w: np.bincount(doc, w, minlength=table.num_rows)
-        return pa.table(
-            [table["doc_id"], table["held"], pa.array(np.diff(first)), pa.array(total(counts[at] > 0).astype(np.int64)), pa.array(np.full(table.num_rows, n_total)), pa.array(total(word_logp)), pa.array(walked)],
-            names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
-        )
-
-    numbers = "block int, kind int, cell int, contexts int, grams int"
-    asks = dealt.groupBy("block").applyInArrow(tidy_table(ask), f"{numbers}, ask binary")
-    replies = asks.groupBy("kind", "cell").applyInArrow(tidy_table(resolve), f"{numbers}, reply binary")
-    return dealt.groupBy("block").cogroup(replies.groupBy("block")).applyInArrow(tidy_pair(score), SCORED)
+def numbered(words: BlockWords, replies: list[dict]) -> BlockGrams:
+    """The block's grams, with what the cells of its words replied."""
+    got = [unpacked(r["data"], [r["grams"], r["grams"]]) for r in sorted(replies, key=lambda r: r["cell"])]
+    none = np.zeros(0, np.int64)
+    return BlockGrams(words, np.concatenate([x for x, _ in got]) if got else none, np.concatenate([x for _, x in got]) if got else none)
 
 
 def score_texts(docs: DataFrame) -> DataFrame:
     """op8: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score."""
-    totals = written(word_totals(docs), "words")
-    n_total, types = (int(x or 0) for x in totals.agg(F.sum("tokens"), F.sum("types")).collect()[0])
-    return score_blocks(docs, n_total, n_total + ADD * (types + 1))
+    scratch = Scratch(docs.sparkSession, "lm")
+    blocks = scratch.written(blocks_of(docs), "blocks")
+    cells = power_of_two(2 * blocks.count())
+
+    def ask_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for i in range(batch.num_rows):
+                row = batch.slice(i, 1).to_pylist()[0]
+                yield from as_table(BlockWords.of(row).asks(row["block"], cells)).to_batches()
+
+    def number(table: pa.Table) -> pa.Table:
+        return number_words(cells, table)
+
+    asked = blocks.select("block", "held", "size", "texts").mapInArrow(tidy(ask_words), ASKS)
+    words = scratch.written(asked.groupBy("cell").applyInArrow(tidy_table(number), f"{ASKS}, types bigint, tokens bigint"), "words")
+    n_total, types = (int(x or 0) for x in words.agg(F.sum("tokens"), F.sum("types")).collect()[0])
+    floor = n_total + ADD * (types + 1)
+
+    def ask_grams(block: pa.Table, replies: pa.Table) -> pa.Table:
+        row = block.to_pylist()[0]
+        return as_table(numbered(BlockWords.of(row), replies.to_pylist()).asks(row["block"], cells, n_total))
+
+    def score(block: pa.Table, replies: pa.Table) -> pa.Table:
+        row, got = block.to_pylist()[0], [[] for _ in range(ORDER)]
+        for r in replies.to_pylist():
+            got[r["kind"]].append(r)
+        grams = numbered(BlockWords.of(row), got[0])
+        model = Automaton(grams, [grams.answers(k, got[k + 1], cells, n_total) for k in range(ORDER - 1)], floor)
+        docs = len(row["doc_id"])
+        doc = np.repeat(np.arange(docs), np.diff(grams.first))
+        total = lambda w: np.bincount(doc, w, minlength=docs)
+        columns = [pa.array(row["doc_id"], pa.int64()), pa.array(row["held"], pa.bool_()), pa.array(np.diff(grams.first)), pa.array(total(grams.counts[grams.word] > 0).astype(np.int64)), pa.array(np.full(docs, n_total)), pa.array(total(model.arc[0][grams.word])), pa.array(model.walk())]
+        return pa.table(columns, names=[c.split()[0] for c in SCORED.split(", ")])
+
+    at_block = blocks.select("block", "doc_id", "held", "size", "texts").groupBy("block")
+    words = words.select(*(c.split()[0] for c in ASKS.split(", ")))
+    asks = at_block.cogroup(words.groupBy("block")).applyInArrow(tidy_pair(ask_grams), ASKS)
+    replies = asks.groupBy("kind", "cell").applyInArrow(tidy_table(count_grams), ASKS)
+    return at_block.cogroup(words.unionByName(replies).groupBy("block")).applyInArrow(tidy_pair(score), SCORED)

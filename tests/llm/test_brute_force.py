@@ -183,15 +183,13 @@ def test_chat_against_sql(spark, tiny):
 
 
 def test_lm_against_plain_backoff(spark, tiny, documents):
-    from rankloom.llm.lm import HEAD
-
     got = {r.doc_id: r for r in q.op8_lm(spark, tiny).collect()}
     end, other = "\0end", "\0other"
     tokens = {d: words(t) + [end] for d, t in documents.items()}
     held = {d: zlib.crc32(str(d).encode()) % 10 == 0 for d in documents}
     counts = collections.Counter(w for d, ws in tokens.items() if not held[d] for w in ws)
     n, v = sum(counts.values()), len(counts)
-    head = {w for w, c in counts.items() if c >= max(1, -(-n // HEAD)) and w != end}
+    head = {w for w in counts if w != end}
     p1 = lambda w: (counts[w] + 0.1) / (n + 0.1 * (v + 1))
     rest = 1 - sum(p1(w) for w in head | {end})
     kind = lambda w: w if w in head or w == end else other
@@ -423,12 +421,13 @@ def test_network_gradients():
 
 def test_pipeline_stages(spark, tiny, documents):
     import corpus_pipeline
+    from rankloom.llm import pipeline
 
     docs = load(spark, tiny, "documents")
     kept = {}
     for name, stage in corpus_pipeline.STAGES[:-1]:
         before = {r.doc_id for r in docs.select("doc_id").collect()}
-        docs = corpus_pipeline.written(stage(spark, docs, tiny), name)
+        docs = pipeline.written(stage(spark, docs, tiny), name)
         assert docs.columns == load(spark, tiny, "documents").columns
         kept[name] = {r.doc_id for r in docs.select("doc_id").collect()}
         assert kept[name] <= before
@@ -439,7 +438,7 @@ def test_pipeline_stages(spark, tiny, documents):
     assert kept["near_duplicates"] == {d for d, (_, c) in want.items() if c == d}
     items = [r.text for r in load(spark, tiny, "benchmark").collect()]
     assert not [d for d in kept["decontamination"] if any(x in documents[d] for x in items)]
-    out = corpus_pipeline.sharding(spark, docs, tiny).collect()
+    out = corpus_pipeline.STAGES[-1][1](spark, docs, tiny).collect()
     assert len(out) == docs.count() and len({(r.shard, r.slot) for r in out}) == len(out)
 
 
@@ -478,3 +477,220 @@ def test_jaccard_of_one_large_group_of_near_copies(spark, monkeypatch):
             break
         want = new
     assert got == {i: (int(size[i]), int(want[i])) for i in range(len(texts))}
+
+
+def test_mix_of_repeated_rows(spark, tiny):
+    """Every row three times: the takes of a repeated document add up to the grant, as in SQL."""
+    from rankloom.llm.mixing import mix_documents
+
+    c = duckdb.connect()
+    c.execute(f"CREATE VIEW documents AS SELECT d.* FROM '{tiny}/documents.parquet' d, range(3)")
+    want = c.execute(q.oracle_sql()["op1_mix"]).fetchall()
+    docs = load(spark, tiny, "documents")
+    got = [tuple(r) for r in mix_documents(docs.unionByName(docs).unionByName(docs)).collect()]
+    assert sorted(got) == sorted(want)
+
+
+def test_chat_of_named_and_unnamed_conversations(spark):
+    """A row without id never stands for a conversation that has one."""
+    from rankloom.llm.chat import format_chats
+
+    rows = [(3, 0, "user", "hi"), (None, 0, "user", "hi"), (None, 4, "user", "hi"), (None, 1, "user", "alone"), (None, 1, "user", "alone"), (5, 0, "user", "a"), (5, 1, "user", "b"), (None, 0, "user", "a")]
+    df = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string")
+    got = [tuple(r) for r in format_chats(df).collect()]
+    assert {r[:3] for r in got} == {(3, 1, 3), (None, 1, 2), (5, 2, 1)}
+    c = duckdb.connect()
+    c.register("conversations", df.toPandas().astype({"conv_id": "Int64"}))
+    assert sorted(got, key=str) == sorted(c.execute(q.oracle_sql()["op4_chat"]).fetchall(), key=str)
+
+
+def test_lm_spreads_common_contexts(spark, tiny, monkeypatch):
+    """Contexts in many parts are counted as in one."""
+    from rankloom.llm import lm
+
+    docs = load(spark, tiny, "documents")
+    want = {r.doc_id: r.score for r in lm.score_texts(docs).collect()}
+    monkeypatch.setattr(lm, "COMMON", 8)
+    monkeypatch.setattr(lm, "BLOCK_BYTES", 1 << 15)
+    got = {r.doc_id: r.score for r in lm.score_texts(docs).collect()}
+    assert got == pytest.approx(want, rel=1e-9)
+
+
+def test_radius_search_of_many_blocks(spark):
+    """More blocks, as for more numbers, find the same pairs."""
+    from rankloom.llm.simhash import blocks_for, within_radius
+
+    rng = np.random.default_rng(3)
+    prints = []
+    for base in rng.integers(-(2**63), 2**63 - 1, 20):
+        for flips in range(6):
+            x = int(base) % 2**64
+            for bit in rng.choice(64, flips, replace=False):
+                x ^= 1 << int(bit)
+            prints.append(x - 2**64 if x >= 2**63 else x)
+    df = spark.createDataFrame([(p,) for p in set(prints)], "fp long")
+    want = {(a, b) for a in prints for b in prints if bin((a ^ b) % 2**64).count("1") <= 3}
+    for blocks in (5, 6, 8):
+        assert {(r.q, r.d) for r in within_radius(df, df, 3, blocks).collect()} == want
+    assert [blocks_for(n, 3) for n in (0, 10**7, 10**9, 10**12)] == [5, 5, 6, 8]
+
+
+def test_leaks_of_repeated_and_empty_items(spark):
+    from rankloom.llm.decontaminate import find_leaks
+
+    text = "What is the name of the largest moon of the ringed planet? It is called Titan by all."
+    bench = spark.createDataFrame([(1, text), (1, None), (None, None), (1, text), (2, "")], "item_id long, text string")
+    docs = spark.createDataFrame([(7, "before " + text + " after"), (8, "nothing here"), (9, None)], "doc_id long, text string")
+    assert [(r.doc_id, r.item_id) for r in find_leaks(docs, bench).collect()] == [(7, 1), (7, 1)]
+
+
+def test_leaks_in_a_very_long_text(monkeypatch):
+    """Passages are searched some at a time, with the same result."""
+    import pyarrow as pa
+
+    from rankloom.llm import decontaminate as m
+
+    rng = np.random.default_rng(0)
+    items = [(i, " ".join(f"w{x}" for x in rng.zipf(1.3, 30) % 5000)) for i in range(300)]
+    text = " ".join(f"w{x}" for x in rng.zipf(1.3, 60_000) % 5000)
+    text = pa.array([text + " " + items[5][1] + " " + text[:1000] + items[200][1]])
+    index = m.ItemIndex(items, 0.4, 5)
+    want = sorted(index.leaks(text, 0.5))
+    for name, small in (("TERMS_AT_ONCE", 200), ("POSTINGS_AT_ONCE", 500), ("OPEN_AT_ONCE", 7)):
+        monkeypatch.setattr(m, name, small)
+    assert sorted(index.leaks(text, 0.5)) == want and {5, 200} <= {r[1] for r in want}
+
+
+def test_language_mixtures_against_plain_em():
+    """Proportions by a plain loop over words, languages and rounds, and the same choice of the set."""
+    from rankloom.llm.language import choose_languages
+
+    rng = np.random.default_rng(4)
+    langs, words = 3, [1, 4, 30, 60, 25]
+    owner = np.repeat(np.arange(len(words)), words)
+    log_fit = -rng.exponential(1.5, (len(owner), langs))
+    for d, lang in enumerate((0, 1, 2, None, 1)):
+        mine = np.flatnonzero(owner == d)
+        log_fit[mine, lang if lang is not None else rng.integers(0, 2, len(mine))] += 3
+    log_fit -= log_fit.max(1, keepdims=True)
+    got = choose_languages(np.exp(log_fit), log_fit, owner, len(words))
+
+    def em(rows, allowed):
+        part = [1 / len(allowed) if k in allowed else 0.0 for k in range(langs)]
+        for _ in range(8):
+            share = [0.0] * langs
+            for row in rows:
+                whole = sum(math.exp(row[k]) * part[k] for k in range(langs))
+                for k in range(langs):
+                    share[k] += math.exp(row[k]) * part[k] / whole
+            part = [x / sum(share) for x in share]
+        return part, sum(math.log(sum(math.exp(row[k]) * part[k] for k in range(langs))) for row in rows)
+
+    for d, n in enumerate(words):
+        rows = log_fit[owner == d].tolist()
+        price = 0.5 * math.log(n + 1) + 3
+        allowed = set(range(langs))
+        part, likely = em(rows, allowed)
+        best, best_part = likely - price * (langs - 1), part
+        while len(allowed) > 1:
+            allowed = allowed - {min(sorted(allowed), key=lambda k: part[k])}
+            if len(allowed) == 1:
+                (k,) = allowed
+                part, likely = [float(i == k) for i in range(langs)], sum(row[k] for row in rows)
+            else:
+                part, likely = em(rows, allowed)
+            if likely - price * (len(allowed) - 1) >= best:
+                best, best_part = likely - price * (len(allowed) - 1), part
+        alone = max(range(langs), key=lambda k: sum(row[k] for row in rows))
+        if sum(row[alone] for row in rows) >= best:
+            best_part = [float(i == alone) for i in range(langs)]
+        assert got[d].tolist() == pytest.approx(best_part, abs=1e-9)
+    assert (got[3] > 0).sum() == 2
+
+
+def test_network_against_plain_convolution():
+    """Scores by loops over windows, filters and chunks, texts longer than a block of chunks included."""
+    from rankloom.llm import quality as m
+
+    rng = np.random.default_rng(2)
+    half = m.STEP * m.WIDE
+    model = m.with_blank({"bytes": rng.normal(0, 0.5, (256, m.WIDE)), "filters": rng.normal(0, 0.3, (2 * half, m.FILTERS)), "bias": rng.normal(0, 0.1, m.FILTERS), "out": rng.normal(0, 0.3, 2 * m.FILTERS), "out_bias": np.array(0.1)})
+    texts = [b"", b"abc", bytes(rng.integers(0, 256, 511, np.uint8)), bytes(rng.integers(0, 256, 512, np.uint8)), bytes(rng.integers(0, 256, 1700, np.uint8))]
+    got = m.probability(model, np.frombuffer(b"".join(texts), np.uint8), np.cumsum([0, *map(len, texts)]))
+    for text, score in zip(texts, got, strict=True):
+        chunks = max(1, -(-len(text) // m.CHUNK))
+        padded = np.frombuffer(text.ljust(chunks * m.CHUNK, b"\0") + b"\0" * m.WIDTH, np.uint8)
+        pooled = []
+        for c in range(chunks):
+            windows = [padded[a : a + m.WIDTH] for a in range(c * m.CHUNK, (c + 1) * m.CHUNK, m.STEP)]
+            pooled.append([max(float(model["bytes"][w].reshape(-1) @ model["filters"][:, f]) for w in windows) for f in range(m.FILTERS)])
+        active = np.maximum(np.array(pooled) + model["bias"], 0)
+        z = np.concatenate([active.max(0), active.mean(0)]) @ model["out"] + model["out_bias"]
+        assert score == pytest.approx(1 / (1 + math.exp(-z)), rel=1e-6)
+
+
+def test_pages_against_another_parser(spark, tiny):
+    """The words of every page, in order, as a plain reading by the standard library's parser finds them."""
+    from html.parser import HTMLParser
+
+    from rankloom.llm.html import INVISIBLE, VOID
+
+    class Plain(HTMLParser):
+        def __init__(self):
+            super().__init__(convert_charrefs=True)
+            self.said, self.hidden = [], []
+
+        def handle_starttag(self, tag, attrs):
+            a = dict(attrs)
+            gone = tag in INVISIBLE or "hidden" in a or re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", a.get("style") or "")
+            if not self.hidden and tag == "img" and a.get("alt"):
+                self.said.append(f" {a['alt']} ")
+            if tag not in VOID and (self.hidden or gone):
+                self.hidden.append(tag)
+
+        def handle_endtag(self, tag):
+            if tag in self.hidden:
+                while self.hidden.pop() != tag:
+                    pass
+
+        def handle_data(self, data):
+            if not self.hidden:
+                self.said.append(data)
+
+    plain = lambda words: [w for w in words if not re.fullmatch(r"-|\d+\.", w)]
+    letters = lambda text: "".join(plain(text.split()))
+    pages = {r.page_id: r.html for r in load(spark, tiny, "pages").collect()}
+    got = {r.page_id: r.text for r in q.op10_html(spark, tiny).collect()}
+    same = 0
+    for k, html in pages.items():
+        p = Plain()
+        p.feed(html or "")
+        p.close()
+        same += letters(got[k]) == letters(" ".join(p.said))
+    assert same == len(pages)
+
+
+def test_pages_take_linear_time():
+    import time
+
+    from rankloom.llm.html import page_text
+
+    for piece in ('<a "', '<a x="', "<script>", "<!", "<i>", "<p><table><i>", "<style>{", "<td rowspan=9>", "<div hidden", "</p>"):
+        seconds = []
+        for n in (4_000, 16_000):
+            begin = time.thread_time()
+            page_text(piece * n)
+            seconds.append(time.thread_time() - begin)
+        assert seconds[1] < 9 * seconds[0] + 0.2, piece
+
+
+def test_pages_spans_and_style_sheets():
+    from rankloom.llm.html import page_text
+
+    assert page_text("<table><tr><td rowspan=2>A<td>B<tr><td>C</table>") == "A  B\n   C"
+    assert page_text("<table><tr><td>A<td rowspan=2>B<td>C<tr><td>D<td>E<tr><td>F<td>G</table>") == "A  B  C\nD     E\nF  G"
+    assert page_text("<table><tr><td colspan=2>A<td>B<tr><td>C<td>D<td>E</table>") == "A     B\nC  D  E"
+    sheet = "<style>/* .p{display:none} */ .x, #q { display : none } p.w{visibility:hidden} @media print { .p { display:none } } b{color:red}</style>"
+    assert page_text(sheet + "<p class='a x'>1</p><p id=q>2</p><p class=w>3</p><i class=w>4</i><p class=p>5</p><b>6</b>") == "4\n\n5\n\n6"
+    assert page_text("<style>div{display:none} #in{display:block}</style><div>1</div><div id=in>2</div><div style='display:flex'>3</div>") == "2\n3"
+    assert page_text("<p title='a > b'>x</p><p title=\"it's\">y") == "x\n\ny"
