@@ -14,8 +14,8 @@ n - ceil(t n) + 1 of each under any common order of tokens, and behind the first
 shared token both have at least their overlap left. The order puts frequent tokens
 last (the LATE_TOKENS most frequent ones at most), then goes by hash.
 
-Leader rounds compare each token's sets with LEADERS of them, which joins groups of
-near copies at linear cost, until few find a link; the last round takes up all that
+Leader rounds compare each token's sets with some of them, which joins groups of
+near copies at linear cost, until few find none; the last round takes up all that
 is still apart. Before a pair is named, the sizes, the places of the token and the
 parities of both sets' tokens in 128 classes must allow the similarity.
 
@@ -38,8 +38,8 @@ from rankloom.llm.common import Scratch, written
 from rankloom.llm.words import mix64, shingles, tidy, tidy_pair, tidy_table, word_chunks
 
 LATE_TOKENS, OFTEN, LEADERS, CELL, SKETCH, PARITIES = 1 << 21, 8, 4, 512, 256, 128
-#: Leader rounds go on while one set of so many that ask finds a link.
-ENOUGH = 16
+#: Sets drawn as leaders for each token. Another leader round follows while MANY sets ask in vain and one of ENOUGH finds a link.
+DRAWN, MANY, ENOUGH = 2, 1 << 15, 16
 PAIR_BATCH, COUNTED_TOGETHER = 1 << 20, 8192
 
 
@@ -232,20 +232,22 @@ class JaccardJoin:
             new[1:] = row["token"][1:] != row["token"][:-1]
             run = np.cumsum(new) - 1
             if leading is not None:
-                # Leaders share most with others at first, the least changed of a group of copies; later they are drawn.
+                # Leaders are the sets that share most with others, the least changed of a group of copies, and some drawn for each token.
                 _, place = np.unique(row["rid"], return_inverse=True)
-                rank = -np.bincount(place, np.bincount(run)[run] - 1.0)[place] if leading == 0 else mix64(row["rid"].view(np.uint64) + np.uint64(leading))
-                order = np.lexsort((row["rid"], rank, run))
-                row = {c: x[order] for c, x in row.items()}
-                line = row | {"low": row["n"], "high": row["n"], "all_b0": np.full(len(own), -1), "all_b1": np.full(len(own), -1)}
+                shared = -np.bincount(place, np.bincount(run)[run] - 1.0)[place]
+                drawn = mix64((row["rid"] ^ row["token"]).view(np.uint64) + np.uint64(leading))
                 begin = np.flatnonzero(new)[run]
                 xs, gs = [], []
-                for k in range(LEADERS):
-                    i = np.flatnonzero(np.arange(len(own)) - begin > k)
-                    j = begin[i] + k
-                    fits = (row["grp"][i] != row["grp"][j]) & possible(i, j, row, line)
-                    xs.append(row["rid"][i[fits]])
-                    gs.append(row["rid"][j[fits]])
+                for rank, leaders in ((shared, 0 if leading else LEADERS), (drawn, DRAWN)):
+                    order = np.lexsort((row["rid"], rank, run))
+                    mine = {c: x[order] for c, x in row.items()}
+                    line = mine | {"low": mine["n"], "high": mine["n"], "all_b0": np.full(len(own), -1), "all_b1": np.full(len(own), -1)}
+                    for k in range(leaders):
+                        i = np.flatnonzero(np.arange(len(own)) - begin > k)
+                        j = begin[i] + k
+                        fits = (mine["grp"][i] != mine["grp"][j]) & possible(i, j, mine, line)
+                        xs.append(mine["rid"][i[fits]])
+                        gs.append(mine["rid"][j[fits]])
                 x, g = unique_pairs(np.concatenate(xs), np.concatenate(gs))
             else:
                 # Rows of a line: one token, one group. Each row meets the other lines of its token.
@@ -388,7 +390,7 @@ class JaccardJoin:
     # -- the whole join ----------------------------------------------------------
 
     def components(self) -> DataFrame:
-        """rid, doc_id, n, component_id of every document."""
+        """rid, doc_id, n, comp (a rid of its component), component_id of every document."""
         sets = self.sets()
         keys = ["k1", "k2", "n"]
         some = sets.filter("n > 0").select("rid", *keys)
@@ -409,12 +411,12 @@ class JaccardJoin:
                 sizes = labels.groupBy("root").agg(F.count("*").alias("members"))
                 grouped = nodes.join(self.scratch.written(labels.join(sizes, "root"), "labels"), "rid", "left")
                 grouped = grouped.withColumn("grp", F.coalesce("root", "rid")).withColumn("members", F.coalesce("members", F.lit(1).cast("long"))).drop("root")
-            leading = leading + 1 if found * ENOUGH > asking else None
+            leading = leading + 1 if asking - found > MANY and found * ENOUGH > asking else None
         keyed = sets.select("rid", "doc_id", "n").join(again, "rid", "left").withColumn("node", F.coalesce("node", "rid"))
         root = labels.withColumnRenamed("rid", "node") if labels is not None else keyed.select("node", F.col("node").alias("root")).distinct()
         keyed = keyed.join(root, "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node").alias("comp"))
         smallest = keyed.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
-        out = written(keyed.join(smallest, "comp").select("rid", "doc_id", "n", "component_id"), "components")
+        out = written(keyed.join(smallest, "comp").select("rid", "doc_id", "n", "comp", "component_id"), "components")
         self.scratch.drop()
         return out
 
@@ -456,17 +458,11 @@ def jaccard_components(docs: DataFrame) -> DataFrame:
 
 
 def dedupe_stage(docs: DataFrame) -> DataFrame:
-    """documents -> those whose doc_id is the smallest of its component.
+    """documents -> of each component the row with the smallest doc_id, the first one of several; a null doc_id counts last.
 
-    Rows without a doc_id, or with one that occurs several times, are only freed
-    of exact repeats.
+    docs is scanned twice and must be a table: rows are told apart by their place in it.
     """
     rows = JaccardJoin(docs, width=5, percent=80).components()
-    twice = rows.groupBy("doc_id").agg(F.count("*").alias("c")).filter("c > 1 or doc_id is null").select(F.col("doc_id").alias("_twice"))
-    gone = rows.filter("doc_id <> component_id").select(F.col("doc_id").alias("_gone"))
-    gone = gone.join(twice, gone["_gone"] == twice["_twice"], "left_anti").distinct()
-    kept = docs.join(gone, docs["doc_id"] == gone["_gone"], "left_anti")
-    if twice.limit(1).count() == 0:
-        return kept
-    odd = F.expr("doc_id <=> _twice")
-    return kept.join(twice, odd, "left_anti").unionByName(kept.join(twice, odd, "left_semi").dropDuplicates(["doc_id", "text"]))
+    best = rows.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "rid")).alias("best"), F.count("*").alias("c")).filter("c > 1")
+    gone = rows.join(best, "comp").filter("rid <> best.rid").select(F.col("rid").alias("_rid"))
+    return docs.withColumn("_place", F.monotonically_increasing_id()).join(gone, F.col("_place") == F.col("_rid"), "left_anti").select(*docs.columns)
