@@ -8,8 +8,8 @@ every epoch is one permutation of the leaf's documents, and the allotment is a
 token prefix of their concatenation.
 
 Edge cases: a null language or source is the node "unknown"; a null text has
-no tokens and rides along when the prefix passes it; equal rows of one doc_id
-stand next to each other in an epoch; an empty table gives no rows; nodes
+no tokens and rides along when the prefix passes it; rows of one doc_id
+stand next to each other in an epoch and are taken one after the other; an empty table gives no rows; nodes
 without a weight weigh default_weight, and nodes of weight 0 get nothing.
 """
 
@@ -89,51 +89,59 @@ def epoch_key(seed: int, epoch: Column, doc_id: Column) -> Column:
 
 
 def mix_plan(rows: DataFrame, weights: Mapping[str, Mapping[str, int]], budget: Column, max_epochs: int, seed: int, default_weight: int = 1) -> DataFrame:
-    """rows (domain, lang, source, doc_id, tokens) -> a row for each leaf.
+    """rows (rid, domain, lang, source, doc_id, tokens) -> a row for each leaf.
 
-    full_epochs  whole passes over the leaf; cut_key, cut_id  last document of the
-    prefix of the epoch after them, cut_take  its tokens taken (null: no such prefix).
+    full_epochs  whole passes over the leaf; cut_key, cut_id, cut_spread, cut_rid  last row of
+    the prefix of the epoch after them, cut_take  its tokens taken (null: no such prefix).
     """
     leaves = rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens"))
     grants = written(leaf_grants(leaves, weights, budget, max_epochs, default_weight), "grants")
     grants = grants.withColumn("full_epochs", F.expr("if(tokens > 0, grant div greatest(tokens, 1), 0)")).withColumn("rest", F.expr("if(tokens > 0, grant % greatest(tokens, 1), 0)"))
     placed = rows.withColumnRenamed("tokens", "tokens_").join(grants.filter("rest > 0").drop("tokens"), list(LEVELS))
-    placed = placed.withColumn("key", epoch_key(seed, F.col("full_epochs"), F.col("doc_id"))).withColumn("slice", F.shiftright("key", 52))
-    slices = placed.groupBy(*LEVELS, "slice").agg(F.sum("tokens_").alias("in_slice"))
-    before = Window.partitionBy(*LEVELS).orderBy("slice").rowsBetween(Window.unboundedPreceding, -1)
-    slices = slices.withColumn("before", F.coalesce(F.sum("in_slice").over(before), F.lit(0)))
-    cut = placed.join(slices, [*LEVELS, "slice"]).filter("before < rest and before + in_slice >= rest")
-    run = Window.partitionBy(*LEVELS, "slice").orderBy("key", "doc_id").rowsBetween(Window.unboundedPreceding, -1)
-    cut = cut.withColumn("ahead", F.col("before") + F.coalesce(F.sum("tokens_").over(run), F.lit(0))).filter("ahead < rest")
-    last = cut.groupBy(*LEVELS).agg(F.max(F.struct("key", F.coalesce("doc_id", F.lit(-(2**63))).alias("id"), F.least("tokens_", F.col("rest") - F.col("ahead")).alias("take"))).alias("last"))
-    plan = grants.join(last, list(LEVELS), "left").select(*LEVELS, "tokens", "supply", "grant", "full_epochs", F.col("last.key").alias("cut_key"), F.col("last.id").alias("cut_id"), F.col("last.take").alias("cut_take"))
+    placed = placed.withColumn("key", epoch_key(seed, F.col("full_epochs"), F.col("doc_id"))).select(*LEVELS, "rest", "tokens_", *epoch_place("key"))
+    placed = placed.withColumn("s1", F.shiftright("key", 52)).withColumn("s2", F.shiftright("key", 40))
+    for step in (["s1"], ["s2"], ["key", "id"], ["spread"], ["spread", "rid"]):
+        # The part in which the prefix ends, and what it takes of that: finer and finer, so that no task sorts a leaf or all rows of one doc_id.
+        run = Window.partitionBy(*LEVELS).orderBy(*step).rowsBetween(Window.unboundedPreceding, -1)
+        sums = placed.groupBy(*LEVELS, *step).agg(F.sum("tokens_").alias("here"), F.max("rest").alias("rest"))
+        sums = sums.withColumn("before", F.coalesce(F.sum("here").over(run), F.lit(0))).filter("before < rest and before + here >= rest")
+        last = written(sums.select(*LEVELS, *step, (F.col("rest") - F.col("before")).alias("rest")), "cut")
+        placed = placed.drop("rest").join(last, [*LEVELS, *step])
+    last = placed.select(*LEVELS, F.col("key").alias("cut_key"), F.col("id").alias("cut_id"), F.col("spread").alias("cut_spread"), F.col("rid").alias("cut_rid"), F.least("tokens_", "rest").alias("cut_take"))
+    plan = grants.join(last, list(LEVELS), "left").select(*LEVELS, "tokens", "supply", "grant", "full_epochs", "cut_key", "cut_id", "cut_spread", "cut_rid", "cut_take")
     return written(plan, "plan")
 
 
+def epoch_place(key: str) -> list[Column]:
+    """The order of rows in an epoch: by key and doc_id, rows of one doc_id in an order of their own."""
+    return [F.col(key), F.coalesce("doc_id", F.lit(-(2**63))).alias("id"), F.pmod(F.xxhash64("rid"), F.lit(4096)).cast("int").alias("spread"), F.col("rid")]
+
+
 def with_copies(rows: DataFrame, plan: DataFrame, seed: int) -> DataFrame:
     """rows -> those in the mix, with copies (whole or begun passes) and, from tokens, take_tokens."""
-    small = plan.select(*LEVELS, "full_epochs", "cut_key", "cut_id", "cut_take")
-    out = rows.join(small, list(LEVELS))
-    here = F.struct(epoch_key(seed, F.col("full_epochs"), F.col("doc_id")).alias("k"), F.coalesce("doc_id", F.lit(-(2**63))).alias("i"))
-    cut = F.struct(F.col("cut_key").alias("k"), F.col("cut_id").alias("i"))
+    small = plan.select(*LEVELS, "full_epochs", "cut_key", "cut_id", "cut_spread", "cut_rid", "cut_take")
+    out = rows.join(small, list(LEVELS)).withColumn("key", epoch_key(seed, F.col("full_epochs"), F.col("doc_id")))
+    here = F.struct(*(c.alias(f"o{i}") for i, c in enumerate(epoch_place("key"))))
+    cut = F.struct(*(F.col(f"cut_{c}").alias(f"o{i}") for i, c in enumerate(("key", "id", "spread", "rid"))))
     part = F.when(F.col("cut_key").isNull() | (here > cut), F.lit(0)).when(here == cut, F.col("cut_take")).otherwise(F.col("tokens"))
     begun = F.when(F.col("cut_key").isNull() | (here > cut), F.lit(0)).otherwise(F.lit(1))
     return (
         out.withColumn("copies", F.col("full_epochs") + begun)
         .withColumn("take_tokens", F.col("full_epochs") * F.col("tokens") + part)
         .filter("copies > 0")
-        .drop("full_epochs", "cut_key", "cut_id", "cut_take")
+        .drop("full_epochs", "key", "rid", "cut_key", "cut_id", "cut_spread", "cut_rid", "cut_take")
     )
 
 
 def with_tree(docs: DataFrame, domain: Column) -> DataFrame:
-    """documents -> the same with their place in the tree and tokens."""
+    """documents -> the same with their place in the tree, tokens and rid (place in the table)."""
     return docs.select(
         *[c for c in docs.columns if c not in ("tokens", "domain", "lang", "source")],
         domain.alias("domain"),
         F.coalesce("lang", F.lit("unknown")).alias("lang"),
         F.coalesce("source", F.lit("unknown")).alias("source"),
         token_count(text_or_empty()).alias("tokens"),
+        F.monotonically_increasing_id().alias("rid"),
     )
 
 
@@ -156,10 +164,13 @@ def mix_documents(docs: DataFrame) -> DataFrame:
 
 
 def mix_stage(docs: DataFrame) -> DataFrame:
-    """documents -> documents in the mix, each as often as it is served; the last of a leaf stays whole."""
+    """documents -> documents in the mix, each as often as it is served; the last of a leaf stays whole.
+
+    docs is scanned twice and must be a table: rows of one doc_id are told apart by their place in it.
+    """
     rows = with_tree(docs.select("doc_id", "lang", "source", "text"), domain_of()).drop("text")
     rows = written(rows, "mix")
     plan = mix_plan(rows, WEIGHTS, F.expr(BUDGET), MAX_EPOCHS, SEED)
-    own = docs.select("doc_id", F.struct(*docs.columns).alias("doc"), domain_of().alias("domain"), F.coalesce("lang", F.lit("unknown")).alias("lang"), F.coalesce("source", F.lit("unknown")).alias("source"), F.lit(0).cast("long").alias("tokens"))
+    own = docs.select("doc_id", F.struct(*docs.columns).alias("doc"), domain_of().alias("domain"), F.coalesce("lang", F.lit("unknown")).alias("lang"), F.coalesce("source", F.lit("unknown")).alias("source"), F.lit(0).cast("long").alias("tokens"), F.monotonically_increasing_id().alias("rid"))
     served = with_copies(own, plan, SEED)
     return served.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).select("doc.*")
