@@ -3,7 +3,8 @@
 Logs often hold a conversation again and again, each time with the turns so
 far. Every turn gets a rolling hash of the turns up to it; a conversation whose
 last hash is an inner hash of another one is a prefix of that one and goes. Of
-equal conversations the smallest id stays. What remains is rendered.
+equal conversations the smallest id stays, a null one only where no other is. What
+remains is rendered.
 
 Edge cases: turns order by (turn, role, text), so that ties and repeated rows
 have one result; a null role or text is empty; a row without conv_id is a
@@ -40,8 +41,8 @@ def maximal_conversations(prefixes: DataFrame) -> DataFrame:
     """rolling_prefixes() -> conv_id, lone, n_copies of the conversations that prefix no other."""
     inner = prefixes.filter("pos < n_turns").select(*PREFIX).distinct()
     last = prefixes.filter("pos = n_turns").select("conv_id", "lone", *PREFIX)
-    kept = last.groupBy(*PREFIX).agg(F.min(F.struct("conv_id", "lone")).alias("first"), F.count("*").alias("n_copies"))
-    return kept.join(inner, PREFIX, "left_anti").select("first.*", "n_copies")
+    kept = last.groupBy(*PREFIX).agg(F.min(F.struct(F.col("conv_id").isNull().alias("unnamed"), "conv_id", "lone")).alias("first"), F.count("*").alias("n_copies"))
+    return kept.join(inner, PREFIX, "left_anti").select("first.conv_id", "first.lone", "n_copies")
 
 
 def render(prefixes: DataFrame, kept: DataFrame) -> DataFrame:
