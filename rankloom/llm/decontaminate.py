@@ -3,10 +3,11 @@
 The items are indexed, not the corpus: BM25 weights, divided by an item's score
 against itself, in postings by blocks of items with a largest weight for each
 term and block. Every passage of a training text (a window of two strides, a
-stride holding the longest item) is a query. As in block-max WAND a block is
-opened for a passage only where the sum of the block's largest weights reaches
-the threshold; common words, which alone never reach it, enter the bound as one
-constant. All items at or above the threshold are retrieved and then verified:
+stride holding the longest item) is a query. As in block-max WAND a pivot parts its
+terms: those of little weight, which together stay below a share of the threshold,
+are skipped, and the postings of the others drive. A block is looked at where their
+largest weights in it and the skipped terms' could reach the threshold, and opened
+where the block's largest weights of all terms do. All items at or above the threshold are retrieved and then verified:
 word five-grams of the question part and of the answer part must recur. A part of
 fewer than fifteen words, of which one edit would break most five-grams, may recur
 by runs of a third of its words instead, but only close to the other part.
@@ -37,7 +38,11 @@ from pyspark.sql import functions as F
 from rankloom.llm.common import written
 from rankloom.llm.words import WordChunk, forget_powers, mix64, tidy, word_chunks
 
-SLICE, BLOCK_ITEMS, OPEN_AT_ONCE = 20_000, 4, 1 << 14
+SLICE, BLOCK_ITEMS = 20_000, 4
+#: What is worked on together: terms of passages, postings of blocks, opened blocks.
+TERMS_AT_ONCE, POSTINGS_AT_ONCE, OPEN_AT_ONCE = 1 << 18, 1 << 21, 1 << 12
+#: The share of the threshold that the skipped terms may reach (any share gives the same result), and room for rounding.
+SKIPPED, ROUNDING = 0.5, 1e-9
 K1, B = 1.2, 0.75
 GRAM, SHARE = 5, 3
 
@@ -76,6 +81,16 @@ def spread(first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return which, np.arange(len(which)) + (first - np.concatenate([[0], np.cumsum(size)[:-1]]))[which] if len(first) else which
 
 
+def ranges(work: np.ndarray, limit: int) -> Iterator[tuple[int, int]]:
+    """Ranges of places whose work sums to limit at most, or single ones with more."""
+    upto, a = np.cumsum(work), 0
+    while a < len(work):
+        b = int(np.searchsorted(upto, (upto[a - 1] if a else 0) + limit, "right"))
+        b = min(max(b, a + 1), len(work))
+        yield a, b
+        a = b
+
+
 class ItemIndex:
     """Postings of test items by term and block, with block-max weights."""
 
@@ -111,19 +126,13 @@ class ItemIndex:
         table = np.array(rows, np.float64).reshape(-1, 4)
         self.post_term, self.post_block, self.post_item = (table[:, k].astype(np.int64) for k in range(3))
         self.post_weight = table[:, 3]
-        common = np.array([df[int(t)] > max(2, 0.1 * n) for t in self.terms], bool)
-        self.common = common
-        # Block-max lists of the terms that are not common.
         if len(rows):
             head = np.flatnonzero(np.r_[True, (np.diff(self.post_term) != 0) | (np.diff(self.post_block) != 0)])
-            largest = np.maximum.reduceat(self.post_weight, head)
-            term, block = self.post_term[head], self.post_block[head]
-            self.group_key, self.group_first = term * self.blocks + block, np.append(head, len(rows))
-            rare = ~common[term]
-            self.max_block, self.max_weight = block[rare], largest[rare]
-            self.max_first = np.searchsorted(term[rare], np.arange(len(self.terms) + 1))
-            slack = np.bincount(self.post_item[common[self.post_term]], self.post_weight[common[self.post_term]], minlength=self.blocks * BLOCK_ITEMS)
-            self.slack = slack.reshape(self.blocks, BLOCK_ITEMS).max(1)
+            term = self.post_term[head]
+            self.group_max, self.group_block = np.maximum.reduceat(self.post_weight, head), self.post_block[head]
+            self.group_key, self.group_first = term * self.blocks + self.group_block, np.append(head, len(rows))
+            self.term_first = np.searchsorted(term, np.arange(len(self.terms) + 1))
+            self.most = np.maximum.reduceat(self.group_max, self.term_first[:-1])
         self.sieve = np.zeros(1 << 16, bool)
         self.sieve[(self.terms & np.uint64(0xFFFF)).astype(np.int64)] = True
         self.parts = []
@@ -153,42 +162,66 @@ class ItemIndex:
         piece_first = np.concatenate([[0], np.cumsum(pieces)])
         doc = np.searchsorted(words.first, spots, "right") - 1
         piece = piece_first[doc] + (spots - words.first[doc]) // self.stride
-        n_terms = len(self.terms)
-        distinct = np.unique(piece * n_terms + term)
-        piece, term = distinct // n_terms, distinct % n_terms
-        rare = ~self.common[term]
-        p, t = piece[rare], term[rare]
-        which, at = spread(self.max_first[t], self.max_first[t + 1] - self.max_first[t])
-        bound = np.bincount(p[which] * self.blocks + self.max_block[at], self.max_weight[at], minlength=piece_first[-1] * self.blocks).reshape(-1, self.blocks)
+        distinct = np.unique(piece * len(self.terms) + term)
+        piece, term = distinct // len(self.terms), distinct % len(self.terms)
         # A passage is a piece and the next one of the same document.
         piece_doc = np.repeat(np.arange(len(pieces)), pieces)
-        bound[:-1] += bound[1:] * (piece_doc[1:] == piece_doc[:-1])[:, None]
-        bound += self.slack
-        window, block = np.nonzero(bound >= self.threshold)
+        end = np.arange(1, len(piece_doc) + 1) + np.append(piece_doc[1:] == piece_doc[:-1], False)
+        lo, hi = np.searchsorted(piece, np.arange(len(end))), np.searchsorted(piece, end)
         best: dict[tuple[int, int], float] = {}
-        for k in range(0, len(window), OPEN_AT_ONCE):
-            w, b = window[k : k + OPEN_AT_ONCE], block[k : k + OPEN_AT_ONCE]
-            goes_on = np.append(piece_doc[1:] == piece_doc[:-1], False)[w]
-            scores = self.scores(piece, term, w, w + 1 + goes_on, b)
-            for i, j in zip(*np.nonzero(scores >= self.threshold), strict=True):
-                key = (int(piece_doc[w[i]]), int(b[i] * BLOCK_ITEMS + j))
-                best[key] = max(best.get(key, 0.0), float(scores[i, j]))
+        for begin, stop in ranges(hi - lo, TERMS_AT_ONCE):
+            for passage, block in self.candidates(term, lo[begin:stop], hi[begin:stop]):
+                scores = self.scores(term, lo[begin + passage], hi[begin + passage], block)
+                for i, j in zip(*np.nonzero(scores >= self.threshold), strict=True):
+                    key = (int(piece_doc[begin + passage[i]]), int(block[i] * BLOCK_ITEMS + j))
+                    best[key] = max(best.get(key, 0.0), float(scores[i, j]))
         for (d, item), score in best.items():
             yield d, item, score
 
-    def scores(self, piece: np.ndarray, term: np.ndarray, begin: np.ndarray, end: np.ndarray, block: np.ndarray) -> np.ndarray:
-        """Full scores of the items of opened blocks for passages of pieces begin to end."""
-        lo, hi = np.searchsorted(piece, begin), np.searchsorted(piece, end)
-        opened, at = spread(lo, hi - lo)
-        pairs = np.unique(opened * len(self.terms) + term[at])
-        opened, terms = pairs // len(self.terms), pairs % len(self.terms)
+    def terms_of(self, term: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(passage, term) of the different terms in term[lo[i]:hi[i]]."""
+        passage, at = spread(lo, hi - lo)
+        pairs = np.unique(passage * len(self.terms) + term[at])
+        return pairs // len(self.terms), pairs % len(self.terms)
+
+    def candidates(self, term: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(passage, block) whose bound reaches the threshold, some at a time.
+
+        The terms of a passage that weigh least in any item go first; up to the pivot, where their largest weights
+        sum to SKIPPED of the threshold, their postings are not read and count with that sum.
+        """
+        passage, terms = self.terms_of(term, lo, hi)
+        order = np.lexsort((self.most[terms], passage))
+        passage, terms = passage[order], terms[order]
+        upto = np.cumsum(self.most[terms])
+        first = np.searchsorted(passage, np.arange(len(lo)))
+        before = np.concatenate([[0.0], upto])[first]
+        driving = upto - before[passage] > SKIPPED * self.threshold
+        skipped = np.bincount(passage[~driving], self.most[terms[~driving]], minlength=len(lo))
+        passage, terms = passage[driving], terms[driving]
+        size = self.term_first[terms + 1] - self.term_first[terms]
+        work = np.bincount(passage, size, minlength=len(lo)).astype(np.int64) + self.blocks
+        edge = np.searchsorted(passage, np.arange(len(lo) + 1))
+        for a, b in ranges(work, POSTINGS_AT_ONCE):
+            mine = slice(edge[a], edge[b])
+            which, group = spread(self.term_first[terms[mine]], size[mine])
+            bound = np.bincount((passage[mine][which] - a) * self.blocks + self.group_block[group], self.group_max[group], minlength=(b - a) * self.blocks).reshape(b - a, self.blocks)
+            opened, block = np.nonzero((bound > 0) & (bound + skipped[a:b, None] >= self.threshold - ROUNDING))
+            for k in range(0, len(opened), OPEN_AT_ONCE):
+                yield opened[k : k + OPEN_AT_ONCE] + a, block[k : k + OPEN_AT_ONCE]
+
+    def scores(self, term: np.ndarray, lo: np.ndarray, hi: np.ndarray, block: np.ndarray) -> np.ndarray:
+        """Full scores of the items of blocks for passages of the terms lo to hi; blocks whose largest weights of all terms stay below are not opened."""
+        opened, terms = self.terms_of(term, lo, hi)
         wanted = terms * self.blocks + block[opened]
         found = np.minimum(np.searchsorted(self.group_key, wanted), len(self.group_key) - 1)
         hit = self.group_key[found] == wanted
         opened, found = opened[hit], found[hit]
+        keep = np.bincount(opened, self.group_max[found], minlength=len(lo))[opened] >= self.threshold - ROUNDING
+        opened, found = opened[keep], found[keep]
         which, post = spread(self.group_first[found], self.group_first[found + 1] - self.group_first[found])
         slot = opened[which] * BLOCK_ITEMS + self.post_item[post] % BLOCK_ITEMS
-        return np.bincount(slot, self.post_weight[post], minlength=len(begin) * BLOCK_ITEMS).reshape(-1, BLOCK_ITEMS)
+        return np.bincount(slot, self.post_weight[post], minlength=len(lo) * BLOCK_ITEMS).reshape(-1, BLOCK_ITEMS)
 
     def overlaps(self, words: np.ndarray, item: int) -> list[float]:
         """Shares of the question's and of the answer's n-grams that the text holds."""
