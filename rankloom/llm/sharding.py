@@ -3,7 +3,7 @@
 Documents with equal texts are linked, through a hub for each text, so that a
 group of m copies costs m links. Groups are settled by levels of size, the large
 ones first, so that small ones do not take their room. The documents of a level
-start dealt over the room that is left; in each round the part of a group in a shard asks for the shard that
+start in one line of groups, cut over the room that is left; in each round the part of a group in a shard asks for the shard that
 holds most of the group among those that have not refused, if more of the group
 is there. Moves are granted as far as they leave no shard above its quota of
 rows, counting granted departures only. When no shard is left to ask, refusals
@@ -20,7 +20,7 @@ of their own; an empty table gives no rows.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from rankloom.llm.common import gapless_rank, text_or_empty, written
@@ -103,20 +103,29 @@ def propagate(cells: DataFrame, quota: list[int]) -> DataFrame:
         cells = written(parts.groupBy("hub", "shard").agg(F.sum("c").alias("c")).filter("c > 0"), "cells")
 
 
-def dealt_by_room(rank: Column, rows: int, room: list[int]) -> Column:
-    """The shard of each of rows ranks, in proportion to room."""
-    ends = [rows * sum(room[: s + 1]) // sum(room) for s in range(len(room))]
-    shard = F.lit(len(room) - 1)
-    for s in range(len(room) - 1, -1, -1):
-        shard = F.when(rank < ends[s], F.lit(s)).otherwise(shard)
-    return shard.cast("int")
+def in_line(hubs: DataFrame, room: list[int]) -> DataFrame:
+    """hubs (hub, c: rows) -> cells (hub, shard, c): all rows in one line, by a hash of their hub, cut in proportion to room.
+
+    Only groups at a cut begin split. Offsets come from counts by buckets, so that no task sorts all groups.
+    """
+    placed = hubs.select("hub", "c", F.pmod(F.xxhash64("hub"), F.lit(8 * SLICES)).alias("bucket"))
+    before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    sums = placed.groupBy("bucket").agg(F.sum("c").alias("here"))
+    offsets = sums.select("bucket", F.coalesce(F.sum("here").over(before), F.lit(0)).alias("offset"))
+    inside = F.coalesce(F.sum("c").over(Window.partitionBy("bucket").orderBy("hub").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    placed = placed.withColumn("inside", inside).join(F.broadcast(offsets), "bucket").withColumn("lo", F.col("offset") + F.col("inside"))
+    rows = sums.agg(F.sum("here")).first()[0]
+    ends = [rows * sum(room[:s]) // sum(room) for s in range(len(room) + 1)]
+    here = lambda s: F.least(F.col("lo") + F.col("c"), F.lit(ends[s + 1])) - F.greatest("lo", F.lit(ends[s]))
+    parts = F.array(*(F.struct(F.lit(s).alias("shard"), here(s).alias("c")) for s in range(len(room))))
+    return placed.select("hub", F.explode(F.filter(parts, lambda p: p["c"] > 0)).alias("p")).select("hub", "p.shard", "p.c")
 
 
 def settled(linked: DataFrame, cells: DataFrame) -> DataFrame:
     """linked rows with the shards of cells: the rows of a hub go to its shards by their rank."""
     upto = F.sum("c").over(Window.partitionBy("hub").orderBy("shard"))
     plan = cells.withColumn("upto", upto).groupBy("hub").agg(F.sort_array(F.collect_list(F.struct("upto", "shard"))).alias("plan"))
-    ranked = gapless_rank(linked.drop("level"), F.col("rid"), "hub", "of_hub").join(plan, "hub")
+    ranked = gapless_rank(linked, F.col("rid"), "hub", "of_hub").join(plan, "hub")
     return ranked.withColumn("shard", F.filter("plan", lambda p: p["upto"] > F.col("of_hub"))[0]["shard"]).drop("plan", "of_hub")
 
 
@@ -125,13 +134,12 @@ def shard_documents(docs: DataFrame, shards: int = 16) -> DataFrame:
     rows = written(digests(docs), "digests")
     total = rows.count()
     quota = [total // shards + (s < total % shards) for s in range(shards)]
-    hubs = rows.filter("hub is not null").groupBy("hub").agg(F.count("*").alias("c")).filter("c > 1").select("hub", F.floor(F.log2("c") / 2).cast("int").alias("level"))
-    linked = written(rows.join(hubs, "hub").select("rid", "doc_id", "size", "text_crc32", "hub", "level"), "linked")
-    room, cells = list(quota), linked.select("hub", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("c")).limit(0)
-    for level in sorted((r["level"] for r in linked.select("level").distinct().collect()), reverse=True):
-        mine = linked.filter(F.col("level") == level)
-        start = gapless_rank(mine.select("rid", "hub"), F.col("rid"), None, "start").withColumn("shard", dealt_by_room(F.col("start"), mine.count(), room))
-        found = propagate(written(start.groupBy("hub", "shard").agg(F.count("*").alias("c")), "cells"), room)
+    hubs = rows.filter("hub is not null").groupBy("hub").agg(F.count("*").alias("c")).filter("c > 1")
+    hubs = written(hubs.withColumn("level", F.floor(F.log2("c") / 2).cast("int")), "hubs")
+    linked = rows.join(hubs.select("hub"), "hub")
+    room, cells = list(quota), hubs.select("hub", F.lit(0).alias("shard"), "c").limit(0)
+    for level in sorted((r["level"] for r in hubs.select("level").distinct().collect()), reverse=True):
+        found = propagate(written(in_line(hubs.filter(F.col("level") == level), room), "cells"), room)
         for r in found.groupBy("shard").agg(F.sum("c").alias("c")).collect():
             room[r["shard"]] -= r["c"]
         cells = cells.unionByName(found)
