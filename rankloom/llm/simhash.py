@@ -13,6 +13,7 @@ a null doc_id comes first; a single row is its own successor.
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 from pyspark.sql import Column, DataFrame, Window
@@ -88,12 +89,14 @@ def with_next(docs: DataFrame, rows_each: int = 2048) -> DataFrame:
     """
     rows = docs.select("doc_id", text_or_empty().alias("text"))
     rows, _ = ordered_buckets(rows, rows_each)
-    firsts = rows.groupBy("bucket").agg(F.min(F.struct("doc_id", "text")).alias("f")).select("bucket", F.col("f.text").alias("head"))
+    firsts = rows.groupBy("bucket").agg(F.min(F.struct("doc_id", "text")).alias("f")).select(F.col("bucket").alias("behind"), F.col("f.text").alias("edge"))
     line = Window.partitionBy(F.lit(0)).orderBy("bucket")
-    firsts = firsts.withColumn("edge", F.coalesce(F.lead("head").over(line), F.first("head").over(line))).select("bucket", "edge")
+    ring = rows.select("bucket").distinct().withColumn("behind", F.coalesce(F.lead("bucket").over(line), F.first("bucket").over(line)))
+    firsts = ring.join(firsts, "behind").drop("behind")
     order = Window.partitionBy("bucket").orderBy("doc_id", "text")
-    out = rows.join(firsts, "bucket")
-    out = out.withColumn("rn", F.row_number().over(order)).withColumn("follows", F.lead("text").over(order))
+    out = rows.withColumn("rn", F.row_number().over(order)).withColumn("follows", F.lead("text").over(order))
+    # The rows lie by bucket already, so that a merge moves the firsts only; they hold texts and are not broadcast.
+    out = out.join(firsts.hint("merge"), "bucket")
     return out.select("bucket", "rn", "doc_id", "text", F.coalesce("follows", "edge").alias("next_text"), F.col("follows").isNull().alias("last"))
 
 
@@ -133,6 +136,14 @@ def block_masks(blocks: int, kept: int) -> list[int]:
     return out
 
 
+def blocks_for(n: int, radius: int) -> int:
+    """So many blocks that the keys of a table, blocks - radius of them, tell n numbers apart; one more than the radius at least."""
+    blocks = radius + 2
+    while BITS * (blocks - radius) // blocks < math.log2(max(2, n)) and blocks < 2 * radius + 3:
+        blocks += 1
+    return blocks
+
+
 def within_radius(queries: DataFrame, prints: DataFrame, radius: int = 3, blocks: int = 5) -> DataFrame:
     """queries (fp), prints (fp) -> all pairs q, d of different numbers with at most radius different bits.
 
@@ -156,7 +167,7 @@ def simhash_documents(docs: DataFrame, radius: int = 3) -> DataFrame:
     rows = written(fingerprint_edits(docs), "prints")
     counts = rows.groupBy("fp").agg(F.count("*").alias("c"))
     asked = rows.filter("doc_id % 20 = 0").select("fp").distinct()
-    hits = within_radius(asked, counts, radius).join(counts.withColumnRenamed("fp", "d"), "d").groupBy("q").agg(F.sum("c").alias("n_within"))
+    hits = within_radius(asked, counts, radius, blocks_for(rows.count(), radius)).join(counts.withColumnRenamed("fp", "d"), "d").groupBy("q").agg(F.sum("c").alias("n_within"))
     asks = F.when(F.col("doc_id") % 20 == 0, F.col("fp"))
     return rows.withColumn("q", asks).join(hits, "q", "left").select(
         "doc_id",
