@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-import corpus_pipeline
+from rankloom.llm import pipeline
 from rankloom.llm.chat import format_chats
 from rankloom.llm.common import load
 from rankloom.llm.decontaminate import find_leaks
@@ -62,7 +62,7 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = {f.__name__: f for f in (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op8_lm, op9_quality, op10_html)}
-    return found | {"pipeline": corpus_pipeline.run}
+    return found | {"pipeline": pipeline.run}
 
 
 ORACLE = {
@@ -116,7 +116,8 @@ ORACLE = {
         SELECT n.doc_id, n.n AS n_shingles, m.component_id FROM n JOIN (SELECT x, min(y) AS component_id FROM reach GROUP BY x) m ON m.x = n.doc_id""",
     "op4_chat": r"""
         WITH t AS (SELECT conv_id, list({'role': coalesce(role, ''), 'text': coalesce(text, '')} ORDER BY turn, coalesce(role, ''), coalesce(text, '')) AS turns
-                   FROM conversations WHERE conv_id IS NOT NULL GROUP BY conv_id),
+                   FROM conversations WHERE conv_id IS NOT NULL GROUP BY conv_id
+                   UNION ALL SELECT NULL, [{'role': coalesce(role, ''), 'text': coalesce(text, '')}] FROM conversations WHERE conv_id IS NULL),
         p AS (SELECT DISTINCT turns[1:k] AS turns FROM (SELECT turns, unnest(range(1, len(turns))) AS k FROM t)),
         m AS (SELECT turns, min(conv_id) AS conv_id, count(*) AS n_copies FROM t ANTI JOIN p USING (turns) GROUP BY turns)
         SELECT conv_id, CAST(len(turns) AS BIGINT) AS n_turns, n_copies,
@@ -127,6 +128,6 @@ ORACLE = {
 
 def oracle_sql() -> dict[str, str]:
     out = dict(ORACLE)
-    if corpus_pipeline.ORACLE_SQL:
-        out["pipeline"] = corpus_pipeline.ORACLE_SQL
+    if pipeline.ORACLE_SQL:
+        out["pipeline"] = pipeline.ORACLE_SQL
     return out
