@@ -1,62 +1,8 @@
-"""From raw documents to training shards, in five stages.
+"""From raw documents to training shards, in five stages: quality classifier, near duplicates, benchmark decontamination, mix, shards.
 
-Each stage takes (spark, docs, sf_dir) and returns a DataFrame; its result is
-written as Parquet and read again as the docs of the next one. All but the last
-return the columns of documents.
+STAGES lists (name, function of (spark, docs, sf_dir)); run(spark, sf_dir) applies them to documents. See rankloom/llm/pipeline.py.
 """
 
-from __future__ import annotations
+from rankloom.llm.pipeline import ORACLE_SQL, STAGES, run
 
-from pyspark.sql import DataFrame, SparkSession
-
-from rankloom.llm.common import load, written
-from rankloom.llm.decontaminate import decontaminate_stage
-from rankloom.llm.jaccard import dedupe_stage
-from rankloom.llm.mixing import mix_stage
-from rankloom.llm.quality import quality_stage
-from rankloom.llm.sharding import shard_documents
-
-
-def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the byte-level classifier does not reject."""
-    return quality_stage(docs, load(spark, sf_dir, "labels"))
-
-
-def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies (five-word shingles, similarity of 0.8 or more)."""
-    return dedupe_stage(docs)
-
-
-def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark item."""
-    return decontaminate_stage(docs, load(spark, sf_dir, "benchmark"))
-
-
-def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents as often as the target mix serves them."""
-    return mix_stage(docs)
-
-
-def sharding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Shard and slot of every row."""
-    return shard_documents(docs)
-
-
-STAGES = [
-    ("quality", quality),
-    ("near_duplicates", near_duplicates),
-    ("decontamination", decontamination),
-    ("mixing", mixing),
-    ("sharding", sharding),
-]
-
-#: The classifier and label propagation have no SQL form; tests/llm holds the stages against brute force.
-ORACLE_SQL = None
-
-
-def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The shards of documents."""
-    docs = load(spark, sf_dir, "documents")
-    for name, stage in STAGES[:-1]:
-        docs = written(stage(spark, docs, sf_dir), name)
-    return STAGES[-1][1](spark, docs, sf_dir)
+__all__ = ["ORACLE_SQL", "STAGES", "run"]
