@@ -81,6 +81,14 @@ def spread(first: np.ndarray, size: np.ndarray) -> tuple[np.ndarray, np.ndarray]
     return which, np.arange(len(which)) + (first - np.concatenate([[0], np.cumsum(size)[:-1]]))[which] if len(first) else which
 
 
+def distinct(codes: np.ndarray) -> np.ndarray:
+    """Different codes in order, by sorting, which is faster here than hashing."""
+    codes = np.sort(codes)
+    new = np.ones(len(codes), bool)
+    new[1:] = codes[1:] != codes[:-1]
+    return codes[new]
+
+
 def ranges(work: np.ndarray, limit: int) -> Iterator[tuple[int, int]]:
     """Ranges of places whose work sums to limit at most, or single ones with more."""
     upto, a = np.cumsum(work), 0
@@ -162,8 +170,8 @@ class ItemIndex:
         piece_first = np.concatenate([[0], np.cumsum(pieces)])
         doc = np.searchsorted(words.first, spots, "right") - 1
         piece = piece_first[doc] + (spots - words.first[doc]) // self.stride
-        distinct = np.unique(piece * len(self.terms) + term)
-        piece, term = distinct // len(self.terms), distinct % len(self.terms)
+        pairs = distinct(piece * len(self.terms) + term)
+        piece, term = pairs // len(self.terms), pairs % len(self.terms)
         # A passage is a piece and the next one of the same document.
         piece_doc = np.repeat(np.arange(len(pieces)), pieces)
         end = np.arange(1, len(piece_doc) + 1) + np.append(piece_doc[1:] == piece_doc[:-1], False)
@@ -181,7 +189,7 @@ class ItemIndex:
     def terms_of(self, term: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """(passage, term) of the different terms in term[lo[i]:hi[i]]."""
         passage, at = spread(lo, hi - lo)
-        pairs = np.unique(passage * len(self.terms) + term[at])
+        pairs = distinct(passage * len(self.terms) + term[at])
         return pairs // len(self.terms), pairs % len(self.terms)
 
     def candidates(self, term: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
