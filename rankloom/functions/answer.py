@@ -89,9 +89,10 @@ def pmf(points_df: DataFrame, splits: list) -> DataFrame:
 
 def equi_depth(cdf_df: DataFrame, buckets: int) -> DataFrame:
     """bucket, upper: the value at which each of equally heavy buckets ends."""
-    total = F.max("cum_weight").over(Window.partitionBy(F.lit(0)))
-    rows = cdf_df.withColumn("_total", total).withColumn("bucket", F.explode(F.sequence(F.lit(1), F.lit(buckets))))
-    return rows.filter(F.col("cum_weight") * buckets >= F.col("bucket") * F.col("_total")).groupBy("bucket").agg(F.min("value").alias("upper"))
+    lines = cdf_df.groupBy("value").agg(F.sum("weight").alias("weight"), F.max("cum_weight").alias("cum_weight"))
+    lines = lines.crossJoin(F.broadcast(lines.agg(F.max("cum_weight").alias("_total"))))
+    lines = lines.select(F.col("value").alias("upper"), F.expr(f"(cum_weight - weight) * {buckets} div _total + 1").alias("first"), F.expr(f"cum_weight * {buckets} div _total").alias("last"))
+    return lines.filter("first <= last").select(F.explode(F.sequence(F.col("first").cast("int"), F.col("last").cast("int"))).alias("bucket"), "upper")
 
 
 def sup_distance(a: DataFrame, b: DataFrame) -> DataFrame:
@@ -99,8 +100,7 @@ def sup_distance(a: DataFrame, b: DataFrame) -> DataFrame:
     totals = lambda d: d.agg(F.sum("weight").cast("double").alias("t"))
     scaled = lambda d, sign: d.crossJoin(totals(d)).select("value", (F.lit(sign) * F.col("weight") / F.col("t")).alias("m"))
     both = scaled(a, 1.0).unionByName(scaled(b, -1.0)).groupBy("value").agg(F.sum("m").alias("m"))
-    upto = Window.partitionBy(F.lit(0)).orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return both.select(F.abs(F.sum("m").over(upto)).alias("d")).agg(F.max("d").alias("distance"))
+    return running_sums(both, "value", {"d": F.col("m")}).agg(F.max(F.abs("d")).alias("distance"))
 
 
 def certificate(sketch: str = "sketch", delta: float = 0.01) -> Column:

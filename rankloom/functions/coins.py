@@ -2,10 +2,17 @@
 
 from __future__ import annotations
 
+import hashlib
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+def scope_of(*parts: object) -> int:
+    """A 63-bit name for whose coins are flipped; different parts have coins of their own."""
+    return int.from_bytes(hashlib.blake2b(repr(parts).encode(), digest_size=8).digest(), "big") >> 1
+
+
 POLICIES = ("fixed_odd", "fixed_even", "alternate", "fair")
 
 

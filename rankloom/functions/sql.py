@@ -38,3 +38,24 @@ class SketchLevels:
 
 def register_levels_function(spark: SparkSession) -> None:
     spark.udtf.register("sketch_levels", F.udtf(SketchLevels, returnType="height int, items int, compactions bigint"))
+
+
+class SketchQuantiles:
+    """Table function: (fraction, value) for the fractions asked of one sketch, given by its points as JSON."""
+
+    def eval(self, points: str, fractions: list[float]) -> Iterator[tuple[float, float]]:
+        import json
+
+        held = sorted((p["value"], p["weight"]) for p in json.loads(points))
+        total = sum(w for _, w in held)
+        for fraction in fractions if held else ():
+            seen = 0
+            for value, weight in held:
+                seen += weight
+                if seen >= max(1, fraction * total):
+                    break
+            yield float(fraction), float(value)
+
+
+def register_quantiles_function(spark: SparkSession) -> None:
+    spark.udtf.register("sketch_quantiles", F.udtf(SketchQuantiles, returnType="fraction double, value double"))

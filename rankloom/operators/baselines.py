@@ -17,7 +17,11 @@ def builtin_percentile(df: DataFrame, value: str, fractions: list[float], accura
 
 def builtin_sketch_functions() -> tuple[Callable, Callable]:
     """Spark's randomised quantile sketch over doubles: (aggregate, rank of a value as a fraction)."""
-    by_suffix = lambda end: getattr(F, next(x for x in dir(F) if x.endswith(end)))
+
+    def by_suffix(end: str) -> Callable:
+        (name,) = (x for x in dir(F) if x.endswith(end))
+        return getattr(F, name)
+
     return by_suffix("_sketch_agg_double"), by_suffix("_sketch_get_rank_double")
 
 

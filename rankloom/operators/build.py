@@ -7,7 +7,7 @@ rounds of bounded fan-in.
 
 from __future__ import annotations
 
-import zlib
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from rankloom.functions.coins import scope_of
 from rankloom.operators.kernel import Sketch
 from rankloom.operators.merge import fold_one_way, tree
 from rankloom.operators.sampler import block_filter
@@ -80,7 +81,7 @@ def partials(rows: DataFrame, by: list[str], p: Plan, seed: int, start: int, laz
 
         def sketch_of(key: tuple) -> Sketch:
             if key not in held:
-                held[key] = Sketch(p, seed, (zlib.crc32(repr(key).encode()) << 32) + (part << 8) + out % 256, start, codec.dtype, lazy=lazy)
+                held[key] = Sketch(p, seed, scope_of(key, part, out), start, codec.dtype, lazy=lazy)
             return held[key]
 
         for batch in batches:
@@ -127,12 +128,24 @@ def grouped(batch: pa.RecordBatch, keys: int, weighted: bool) -> Iterator[tuple[
         yield key, values.take(rows), weights.take(rows) if weighted else None
 
 
+def merge_rounds(df: DataFrame, fan_in: int) -> int:
+    """Rounds after which the sketches of all tasks are one, by the bytes that the optimizer expects of df; two at least."""
+    spark = df.sparkSession
+    try:
+        size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    except AttributeError:  # no plan to ask, as with a remote session
+        return 3
+    each = spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get("spark.sql.files.maxPartitionBytes"))
+    tasks = min(max(1, size // max(1, each)), 1 << 24)
+    return max(2, math.ceil(math.log(tasks, max(2, fan_in)))) if fan_in > 1 else 2
+
+
 def build(
     df: DataFrame,
     value: str | Column,
     *,
     by: list[str] | None = None,
-    variant: str = "banded",
+    variant: str | None = None,
     eps: float = 0.01,
     delta: float = 0.01,
     mode: str = "all",
@@ -147,6 +160,7 @@ def build(
 ) -> DataFrame:
     """by..., sketch: the sketch of value in every group.
 
+    variant    'banded' unless given; a plan that is handed over in chosen has its own
     n          rows expected in a group, for variants whose size depends on it
     rows_each  rows expected in each task, for variants with a plain sampler
     thin       keep one row of every 2**thin by a filter in the scan's stage, before any Python
@@ -154,7 +168,9 @@ def build(
                n is what the kept rows stand for
     """
     by = list(by or [])
-    p = chosen or plan(variant, eps, delta, mode, n)
+    if chosen is not None and variant not in (None, chosen.variant):
+        raise ValueError(f"a plan for {chosen.variant} builds no {variant}")
+    p = chosen or plan(variant or "banded", eps, delta, mode, n)
     rows = prepare(df, value, by, weight)
     if thin:
         if weight is not None or p.variant not in MERGEABLE:
@@ -162,5 +178,5 @@ def build(
         rows = block_filter(rows, thin, seed).drop("weight")
     parts = partials(rows, by, p, seed, thin or start_height(p, rows_each), lazy, bool(thin))
     if p.variant in MERGEABLE:
-        return tree(parts, by, fan_in=fan_in, seed=seed)
+        return tree(parts, by, fan_in=fan_in, seed=seed, rounds=merge_rounds(df, fan_in))
     return fold_one_way(parts, by, seed=seed)

@@ -160,6 +160,9 @@ class Sketch:
             return
         self.n += int(weights.sum())
         self._range(values.min(), values.max())
+        if self.plan.kind == "none" and not self.sampler.height:
+            self.tops[0].insert_weighted(values, weights)
+            return
         low = (1 << self.sampler.height) - 1
         if low:
             for v, w in zip(values, weights & low, strict=True):

@@ -2,14 +2,13 @@
 
 from __future__ import annotations
 
-import zlib
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from rankloom.functions.coins import scope_of
 from rankloom.operators.kernel import Sketch
 from rankloom.operators.state import Codec, from_row, to_row
 from rankloom.operators.tuples import TupleSummary
@@ -65,8 +64,7 @@ def _combine(df: DataFrame, keys: list[str], out: list[str], how: str, seed: int
         codec = Codec(kind)
         table = table.sort_by("part")
         parts = table["part"].to_pylist()
-        scope = zlib.crc32(repr((parts, seed)).encode())
-        sketches = [from_row(r, codec, scope + i) for i, r in enumerate(table["sketch"].to_pylist())]
+        sketches = [from_row(r, codec, scope_of("merge", parts, seed, i)) for i, r in enumerate(table["sketch"].to_pylist())]
         merged = merge_many(sketches) if how == "merge" else fold(sketches)
         row = {**{k: table[k][0].as_py() for k in out}, "part": parts[0], "sketch": to_row(merged, codec)}
         return pa.Table.from_pylist([row], schema=arrow)
@@ -74,15 +72,17 @@ def _combine(df: DataFrame, keys: list[str], out: list[str], how: str, seed: int
     return df.withColumn("_all", F.lit(0)).groupBy("_all", *keys).applyInArrow(run, schema)
 
 
-def tree(parts: DataFrame, by: list[str], fan_in: int = 256, seed: int = 42, keep_part: bool = False) -> DataFrame:
-    """by..., part, sketch rows -> one sketch for each group, in two rounds of bounded fan-in.
+def tree(parts: DataFrame, by: list[str], fan_in: int = 256, seed: int = 42, keep_part: bool = False, rounds: int = 2) -> DataFrame:
+    """by..., part, sketch rows -> one sketch for each group, in rounds of bounded fan-in.
 
-    Only sketches are shuffled. A group with many parts is split over fan_in
-    buckets first, which also evens out a hot group.
+    Only sketches are shuffled. Before the last round, a group's parts are split over
+    fan_in ** (rounds - 1) buckets, then over a fan_in-th of these and so on, so that a
+    task takes fan_in sketches of a group, about, if it has fan_in ** rounds; this also evens out a hot group.
     """
-    half = parts.withColumn("_bucket", F.pmod(F.xxhash64("part"), F.lit(fan_in)).cast("int"))
-    once = _combine(half, [*by, "_bucket"], by, "merge", seed)
-    done = _combine(once, by, by, "merge", seed + 1)
+    done = parts
+    for left in range(rounds - 1, -1, -1):
+        split = done.withColumn("_bucket", F.pmod(F.xxhash64("part"), F.lit(fan_in**left)))
+        done = _combine(split, [*by, "_bucket"], by, "merge", seed + rounds - 1 - left)
     return done if keep_part else done.drop("part")
 
 

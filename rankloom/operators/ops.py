@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import combinations
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -42,6 +44,18 @@ def rollup_sketch(sketches: DataFrame, keys: list[str]) -> DataFrame:
     return out
 
 
+def cube_sketch(sketches: DataFrame, keys: list[str]) -> DataFrame:
+    """Sketches of the finest groups -> one for every subset of keys, with a column for each key that was merged away (merged_<key>)."""
+    out = None
+    for size in range(len(keys), -1, -1):
+        for kept in combinations(keys, size):
+            parts = sketches.withColumn("part", F.xxhash64(*keys)).select(*kept, "part", "sketch")
+            level = (sketches.select(*keys, "sketch") if size == len(keys) else tree(parts, list(kept))).withColumns({f"merged_{k}": F.lit(k not in kept) for k in keys})
+            level = level.select(*[F.col(k) if k in kept else F.lit(None).cast(sketches.schema[k].dataType).alias(k) for k in keys], *[f"merged_{k}" for k in keys], "sketch")
+            out = level if out is None else out.unionByName(level)
+    return out
+
+
 def pivot_quantiles(rows: DataFrame, key: str, fraction_values: list, name: str = "value") -> DataFrame:
     """(key, fraction, value) -> a column for each fraction."""
     return rows.groupBy(key).pivot("fraction", fraction_values).agg(F.first(name))

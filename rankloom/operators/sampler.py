@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -32,3 +32,10 @@ def block_filter(df: DataFrame, height: int, seed: int = 7, ordinal: str | None
 def uniform_sample(df: DataFrame, key: str, m: int, seed: int = 7) -> DataFrame:
     """The m rows of smallest digest priority: a uniform sample that merges by taking the smallest again."""
     return df.withColumn("priority", F.md5(F.concat_ws("|", F.lit(str(seed)), F.col(key).cast("string")))).orderBy("priority", key).limit(m)
+
+
+def stratified_sample(df: DataFrame, strata: list[str], key: str, m: int, seed: int = 7) -> DataFrame:
+    """The m rows of smallest digest priority in every stratum; tasks keep m rows of each before anything is shuffled."""
+    ranked = df.withColumn("priority", F.md5(F.concat_ws("|", F.lit(str(seed)), F.col(key).cast("string"))))
+    line = Window.partitionBy(*strata).orderBy("priority", key)
+    return ranked.withColumn("_place", F.row_number().over(line)).filter(F.col("_place") <= m).drop("_place")

@@ -55,3 +55,12 @@ def sampled_levels(rule: str, height: int, k: int, c: float, band: int = 0) -> i
         return 0
     keep = {"cap2": math.ceil(math.log(k) / math.log(1 / c)), "log_eps": math.ceil(math.log2(k)), "two_s": 2 * band + math.ceil(math.log2(k))}[rule]
     return max(0, height - max(keep, 1))
+
+
+def structure(variant: str, made: tuple, height: int, k: int, c: float, band: int) -> tuple[int, int, int, int]:
+    """Levels of a construction (as made in params.VARIANTS) by their part: (sampled, shrinking, flat, of the tuple summary), from the bottom up."""
+    kind, _, rule, top = made
+    sampled = sampled_levels(rule, height, k, c, band)
+    above = height - max(sampled, height - band) if kind == "banded" or top else 0
+    flat, tupled = (0, above) if top else (above, 0)
+    return sampled, height - sampled - above, flat, tupled

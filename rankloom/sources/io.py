@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import types as T
 
@@ -17,6 +19,17 @@ def read(spark: SparkSession, path: str, fmt: str, schema: str | T.StructType, *
     return spark.read.format(fmt).schema(schema).options(**options).load(path)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder of spark.checkpoint.dir, which driver and executors share; a temporary one on a single machine only."""
+    found = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None)
+    if found is None:
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        found = tempfile.mkdtemp(prefix="shared-")
+    return found
+
+
 def save_sketches(df: DataFrame, path: str, partition_by: list[str] | None = None, mode: str = "append") -> None:
     """Sketch rows as nested Parquet; later reads of some partitions touch these only."""
     writer = df.write.mode(mode)

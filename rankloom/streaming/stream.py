@@ -6,12 +6,13 @@ from collections.abc import Callable, Iterator
 from typing import Any
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from rankloom.functions.coins import scope_of
 from rankloom.operators.build import build
 from rankloom.operators.kernel import Sketch
 from rankloom.operators.merge import tree
@@ -24,6 +25,20 @@ def file_stream(spark: SparkSession, path: str, schema: T.StructType, per_trigge
     return (reader.option("maxFilesPerTrigger", per_trigger) if per_trigger else reader).parquet(path)
 
 
+def rate_stream(spark: SparkSession, rows_per_second: int, partitions: int = 1) -> DataFrame:
+    """value, timestamp at a steady rate: a source for load tests."""
+    return spark.readStream.format("rate").option("rowsPerSecond", rows_per_second).option("numPartitions", partitions).load()
+
+
+def session_sketches(df: DataFrame, time: str, gap: str, value: str, by: list[str], **options: Any) -> DataFrame:
+    """Batch rows -> by..., began, sketch of every session: rows of a key that follow each other within gap."""
+    line = Window.partitionBy(*by).orderBy(time)
+    new = (F.col(time) - F.lag(time).over(line) >= F.expr(f"INTERVAL {gap}")) | F.lag(time).over(line).isNull()
+    opened = df.withColumn("_new", F.when(new, F.col(time)))
+    began = F.last("_new", ignorenulls=True).over(line.rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    return build(opened.withColumn("began", began), value, by=[*by, "began"], **options)
+
+
 def with_lateness(df: DataFrame, column: str, delay: str) -> DataFrame:
     """Watermark on a time column; one without zone is taken as UTC first, since watermarks need a zone."""
     return df.withColumn(column, F.col(column).cast("timestamp")).withWatermark(column, delay)
@@ -73,7 +88,7 @@ def continuous(df: DataFrame, key: str, value: str, plan: Plan, seed: int = 42)
         import json
 
         codec = Codec(value_type)
-        scope = abs(hash(str(k))) % (1 << 31)
+        scope = scope_of("state", k)
         if held.exists:
             s = from_row(json.loads(held.get[0]), codec, scope)
         else:

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from rankloom.functions import answer
 from rankloom.operators import baselines, exact, ops
 from rankloom.operators.build import build
+from rankloom.operators.ordered import running_sums
 from rankloom.sources.io import load
 from rankloom.workloads.registry import query
 
@@ -83,9 +84,9 @@ def pairwise_drift_by_type(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Largest difference of distributions for each pair of event types: one running count of each type over all values."""
     names = sorted(r[0] for r in load(spark, sf_dir, "events", "event_type").distinct().collect())
     counts = load(spark, sf_dir, "events", "event_type", "value").groupBy("value").pivot("event_type", names).count().fillna(0)
-    upto = Window.partitionBy(F.lit(0)).orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    whole = Window.partitionBy(F.lit(0))
-    shares = counts.select("value", *[(F.sum(n).over(upto) / F.sum(n).over(whole)).alias(n) for n in names])
+    summed = running_sums(counts, "value", {f"{n}_upto": F.col(n) for n in names})
+    totals = counts.agg(*[F.sum(n).alias(f"{n}_all") for n in names])
+    shares = summed.crossJoin(F.broadcast(totals)).select("value", *[(F.col(f"{n}_upto") / F.col(f"{n}_all")).alias(n) for n in names])
     pairs = [(a, b) for a in names for b in names if a < b]
     wide = shares.agg(*[F.max(F.abs(F.col(a) - F.col(b))).alias(f"{a}|{b}") for a, b in pairs])
     rows = F.array(*[F.struct(F.lit(a).alias("one"), F.lit(b).alias("other"), F.round(F.col(f"{a}|{b}"), 9).alias("distance")) for a, b in pairs])
@@ -257,8 +258,8 @@ def offline_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     SELECT CAST(b AS INTEGER) AS bucket, min(value) AS upper FROM c CROSS JOIN range(1, 11) t(b) WHERE cum * 10 >= b * n GROUP BY b"""
 )
 def equi_depth_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
-    lines = answer.cdf(load(spark, sf_dir, "orders", "o_totalprice").select(F.col("o_totalprice").alias("value"), F.lit(1).cast("long").alias("weight")))
-    return answer.equi_depth(lines, 10)
+    lines = exact.counts_by_value(load(spark, sf_dir, "orders", "o_totalprice"), "o_totalprice")
+    return answer.equi_depth(lines.select("value", F.col("n").alias("weight"), F.col("exact_rank").alias("cum_weight")), 10)
 
 
 @query("SELECT CAST((o_totalprice > 100000)::INT + (o_totalprice > 250000)::INT + (o_totalprice > 400000)::INT AS INTEGER) AS bucket, count(*) AS n FROM orders GROUP BY 1")
@@ -272,18 +273,52 @@ def ties_rank(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact.counts_by_value(load(spark, sf_dir, "lineitem", "l_quantity"), "l_quantity").withColumnRenamed("value", "quantity")
 
 
-@query("SELECT p_name AS value FROM (SELECT p_name, row_number() OVER (ORDER BY p_name) AS rn, count(*) OVER () AS n FROM part) WHERE rn = (n + 1) // 2")
+LINE_NAMES = "lineitem JOIN part ON l_partkey = p_partkey"
+LINE_DELAYS = "lineitem JOIN orders ON l_orderkey = o_orderkey"
+
+
+def compacted_quantiles(rows: DataFrame, fractions: list[float], eps: float, source: str) -> DataFrame:
+    """rows (v) of any type with an order -> source, fraction, n, exact_value, within_bound, compacted.
+
+    within_bound: the ranks that the answered value has come within eps n of the target; compacted: the sketch dropped items on its way.
+    """
+    sketches = build(rows, "v", variant="geo-wsampled", eps=eps, delta=1e-6, mode="single")
+    got = answer.quantiles(sketches, fractions)
+    counts = exact.counts_by_value(rows, "v")
+    total = sketches.select(F.col("sketch.n").alias("rows"), (F.col("sketch.coins") > 0).alias("compacted"))
+    wanted = total.select("*", F.explode(F.array(*[F.lit(f) for f in fractions])).alias("fraction")).withColumn("target", F.ceil(F.col("fraction") * F.col("rows")))
+    truth = wanted.join(counts, F.expr("exact_rank >= target and exact_rank - n < target")).select("fraction", "target", "rows", "compacted", F.col("value").alias("exact_value"))
+    ranked = got.join(counts, "value").select("fraction", (F.col("exact_rank") - F.col("n") + 1).alias("first"), F.col("exact_rank").alias("last"))
+    miss = F.greatest(F.col("first") - F.col("target"), F.col("target") - F.col("last"))
+    return truth.join(ranked, "fraction").select(F.lit(source).alias("source"), "fraction", F.col("rows").alias("n"), "exact_value", (miss <= eps * F.col("rows")).alias("within_bound"), "compacted")
+
+
+def compacted_sql(source: str, table: str, value: str, fractions: list[float]) -> str:
+    values = ", ".join(f"CAST({f} AS DOUBLE)" for f in fractions)
+    return f"""SELECT '{source}' AS source, fraction, n, v AS exact_value, TRUE AS within_bound, TRUE AS compacted FROM
+        (SELECT {value} AS v, row_number() OVER (ORDER BY {value}) AS rn, count(*) OVER () AS n FROM {table}) JOIN (SELECT unnest([{values}]) AS fraction) ON rn = CAST(ceil(fraction * n) AS BIGINT)"""
+
+
+@query(compacted_sql("p_name", LINE_NAMES, "p_name", [0.1, 0.5, 0.9]))
 def string_median(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Exact from a sketch: with few rows for its size it keeps every item."""
-    return answer.median(build(load(spark, sf_dir, "part", "p_name"), "p_name", variant="geo", eps=0.00002)).select("value")
+    """Quantiles of names over all lines, from sketches that compact strings."""
+    names = load(spark, sf_dir, "part", "p_partkey", "p_name")
+    rows = load(spark, sf_dir, "lineitem", "l_partkey").join(names, F.col("l_partkey") == F.col("p_partkey"))
+    return compacted_quantiles(rows.select(F.col("p_name").alias("v")), [0.1, 0.5, 0.9], 0.05, "p_name")
 
 
-@query("SELECT l_shipdate AS value FROM (SELECT l_shipdate, row_number() OVER (ORDER BY l_shipdate) AS rn, count(*) OVER () AS n FROM lineitem) WHERE rn = CAST(ceil(0.9 * n) AS BIGINT)")
+@query(compacted_sql("l_shipdate", "lineitem", "l_shipdate", [0.1, 0.5, 0.9]))
 def timestamp_quantile(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = load(spark, sf_dir, "lineitem", "l_shipdate")
-    line = Window.partitionBy(F.lit(0)).orderBy("l_shipdate")
-    numbered = rows.select(F.col("l_shipdate").alias("value"), F.row_number().over(line).alias("rn"), F.count("*").over(Window.partitionBy(F.lit(0))).alias("n"))
-    return numbered.filter("rn = ceil(0.9 * n)").select("value")
+    return compacted_quantiles(load(spark, sf_dir, "lineitem", "l_shipdate").toDF("v"), [0.1, 0.5, 0.9], 0.05, "l_shipdate")
+
+
+@query(f"SELECT * REPLACE (CAST(epoch(exact_value) AS BIGINT) AS exact_value) FROM ({compacted_sql('delay', LINE_DELAYS, '(l_shipdate - o_orderdate)', [0.1, 0.5, 0.9])})")
+def interval_quantile(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Delays between order and shipping as intervals; the answer in seconds."""
+    orders = load(spark, sf_dir, "orders", "o_orderkey", "o_orderdate")
+    rows = load(spark, sf_dir, "lineitem", "l_orderkey", "l_shipdate").join(orders, F.col("l_orderkey") == F.col("o_orderkey"))
+    got = compacted_quantiles(rows.select((F.col("l_shipdate") - F.col("o_orderdate")).alias("v")), [0.1, 0.5, 0.9], 0.05, "delay")
+    return got.withColumn("exact_value", F.col("exact_value").cast("long"))
 
 
 @query("SELECT d.doc_id, d.lang, d.n_chars FROM documents d JOIN (SELECT lang, quantile_disc(n_chars, 0.99) AS cut FROM documents GROUP BY lang) c ON d.lang = c.lang AND d.n_chars > c.cut")
@@ -293,9 +328,14 @@ def outliers_by_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.join(cuts, "lang").filter("n_chars > cut").select("doc_id", "lang", "n_chars")
 
 
-@query()
+@query("SELECT count(*) AS n, CAST(20 AS BIGINT) AS bins, CAST(count(*) AS BIGINT) AS mass, TRUE AS centers_within_range FROM lineitem")
 def heuristic_histogram(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.heuristic_histogram(load(spark, sf_dir, "lineitem", "l_extendedprice"), "l_extendedprice", 20)
+    """The built-in histogram: what it can be held to, its number of bins and its mass, since it bounds no rank."""
+    rows = load(spark, sf_dir, "lineitem", "l_extendedprice")
+    bins = baselines.heuristic_histogram(rows, "l_extendedprice", 20)
+    ends = rows.agg(F.count("*").alias("n"), F.min("l_extendedprice").alias("lo"), F.max("l_extendedprice").alias("hi"))
+    held = bins.agg(F.count("*").alias("bins"), F.round(F.sum("height")).cast("long").alias("mass"), F.min("center").alias("first"), F.max("center").alias("last"))
+    return ends.crossJoin(held).select("n", "bins", "mass", F.expr("first >= lo and last <= hi").alias("centers_within_range"))
 
 
 @query("SELECT count(DISTINCT event_id) AS events, count(DISTINCT user_id) AS users FROM events JOIN customer ON user_id = c_custkey")

@@ -9,7 +9,7 @@ from rankloom.functions import answer
 from rankloom.functions.coins import POLICIES, digest_coin, policy_coin
 from rankloom.operators import measure
 from rankloom.operators.relational import compact_array, compact_round, compact_tree, tree_sql
-from rankloom.operators.sampler import block_filter, digest_slot, uniform_sample
+from rankloom.operators.sampler import block_filter, digest_slot, stratified_sample, uniform_sample
 from rankloom.sources.io import load
 from rankloom.workloads.registry import add, query
 
@@ -265,6 +265,11 @@ def priority_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
     return uniform_sample(events(spark, sf_dir), "event_id", 200, SEED)
 
 
+@query("SELECT event_type, event_id, value, md5('7|' || event_id) AS priority FROM (SELECT *, row_number() OVER (PARTITION BY event_type ORDER BY md5('7|' || event_id), event_id) AS rn FROM events) WHERE rn <= 50")
+def stratified_priority_sample(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fifty rows of every event type."""
+    rows = load(spark, sf_dir, "events", "event_type", "event_id", "value")
+    return stratified_sample(rows, ["event_type"], "event_id", 50, SEED)
 
 
 @query(

@@ -14,9 +14,9 @@ from pyspark.sql import functions as F
 from rankloom.functions import answer
 from rankloom.operators import baselines, exact, measure, ops
 from rankloom.operators.build import build, partials, prepare
-from rankloom.operators.merge import chain, tree
+from rankloom.operators.merge import chain, fold_one_way, tree
 from rankloom.plans import schedule
-from rankloom.plans.params import MERGEABLE, SPACE_SHAPES, VARIANTS, max_height, plan, planned_items, thin_height
+from rankloom.plans.params import SPACE_SHAPES, VARIANTS, deterministic_lower_bound, lower_bound, max_height, plan, planned_items, thin_height, trivial_lower_bound
 from rankloom.sources.io import load
 from rankloom.workloads.registry import add, query
 
@@ -34,20 +34,49 @@ def verdict_sql(variant: str, table: str, column: str, probes: list, where: str
     return f"SELECT '{variant}' AS variant, probe, count(*) FILTER ({column} <= probe) AS exact_rank, TRUE AS within_bound FROM (SELECT {column} FROM {table} WHERE {where}) CROSS JOIN {literals(probes)} GROUP BY probe"
 
 
-def verdict(data: DataFrame, column: str, probes: list, variant: str, eps: float = 0.02, label: str | None = None, parts: int = 8, **options) -> DataFrame:
-    """Sketch a column spread over some partitions, and judge its answers to probes."""
+def verdict(data: DataFrame, column: str, probes: list, variant: str, eps: float = 0.02, label: str | None = None, **options) -> DataFrame:
+    """Sketch a column where its rows lie, and judge the answers to probes."""
     rows = data.select(column)
-    spread = rows.repartition(parts, F.xxhash64(column)) if parts else rows
-    sketches = build(spread, column, variant=variant, eps=eps, delta=DELTA, **options)
+    sketches = build(rows, column, variant=variant, eps=eps, delta=DELTA, **options)
     return measure.verdicts(answer.coreset(sketches), rows, column, probes, eps, label or variant)
 
 
+#: Verdicts on sampling repeat every row until the stream has about LONG items, which samplers of this error serve from level 1 on.
+LONG, COARSE = 4_000_000, 0.25
+
+
+def sampled_sql(variant: str) -> str:
+    return f"""SELECT '{variant}' AS variant, probe, times * exact_rank AS exact_rank, TRUE AS within_bound, TRUE AS within_certificate, TRUE AS above_sampler
+        FROM ({verdict_sql(variant, "lineitem", "l_extendedprice", PRICE_PROBES)}) CROSS JOIN (SELECT CAST(ceil({LONG} / count(*)) AS BIGINT) AS times FROM lineitem)"""
+
+
+def sampled_verdict(data: DataFrame, column: str, probes: list, variant: str) -> DataFrame:
+    """verdict() over a long stream, whose sketch must have begun to sample.
+
+    within_certificate: the error is what the sketch says can have happened, too; above_sampler: the sampler stands above level 0,
+    or answers come from a tuple summary whose stream the levels below it were dropped for.
+    """
+    rows = data.select(F.col(column).alias("v"))
+    times = -(-LONG // max(1, rows.count()))
+    longer = rows.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(times)))).select("v")
+    sketches = build(longer, "v", variant=variant, eps=COARSE, delta=DELTA, mode="single", n=LONG, rows_each=LONG // 4)
+    est = sketches.select("sketch", answer.points().alias("pts"), F.explode(F.array(*[F.lit(p) for p in probes])).alias("probe"))
+    answered = F.greatest(F.col("sketch.sampler.height"), F.coalesce(F.get("sketch.tops", F.lit(0))["height"], F.lit(0)))
+    est = est.select("probe", F.col("sketch.n").alias("n"), answer.rank(F.col("pts"), F.col("probe")).alias("est"), answer.certificate(delta=DELTA).alias("certified"), (answered > 0).alias("above_sampler"))
+    truth = exact.ranks(rows, "v", probes).select("probe", (F.col("exact_rank") * times).alias("exact_rank"))
+    error = F.abs(F.col("est") - F.col("exact_rank"))
+    return est.join(truth, "probe").select(F.lit(variant).alias("variant"), "probe", "exact_rank", (error <= COARSE * F.col("n")).alias("within_bound"), (error <= F.col("certified")).alias("within_certificate"), "above_sampler")
+
+
 def price(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "lineitem", "l_extendedprice")
 
 
 for _variant in VARIANTS:
     _name = _variant.replace("-", "_") + "_verdict"
+    if VARIANTS[_variant][2] != "none":
+        add(_name, lambda spark, sf_dir, v=_variant: sampled_verdict(price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, v), sampled_sql(_variant))
+        continue
     add(
         _name,
         lambda spark, sf_dir, v=_variant: verdict(price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, v, n=1 << 22, rows_each=4096),
@@ -64,17 +93,19 @@ def weighted_sampler_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measure.verdicts(answer.coreset(sketches), rows, "value", VALUE_PROBES, 0.1, "weighted-sampler")
 
 
-@query(verdict_sql("three-stage", "events", "value", VALUE_PROBES))
+@query(f"SELECT *, TRUE AS compacted, TRUE AS tuples FROM ({verdict_sql('three-stage', 'events', 'value', VALUE_PROBES)})")
 def three_stage_pipeline_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sampler, growing compactors and tuple summary as a pipeline of three operators."""
+    """Block sampler, growing compactors and tuple summary as a pipeline of three operators; the errors of the stages add up."""
     from rankloom.operators.sampler import block_filter
 
     rows = load(spark, sf_dir, "events", "event_id", "value")
     thin = block_filter(rows, 2, 7, "event_id")
-    middle = build(thin, "value", variant="geo", eps=0.02, delta=DELTA, weight="weight")
+    middle = build(thin, "value", variant="geo", eps=0.02, delta=DELTA, weight="weight", mode="single")
     points = answer.coreset(middle).select("value", "weight")
-    top = build(points, "value", variant="tuple-topped", eps=0.02, delta=DELTA, weight="weight", chosen=plan("geo", 0.02, DELTA))
-    return measure.verdicts(answer.coreset(top), rows, "value", VALUE_PROBES, 0.1, "three-stage")
+    top = build(points, "value", variant="tuple-summary", eps=0.01, weight="weight")
+    judged = measure.verdicts(answer.coreset(top), rows, "value", VALUE_PROBES, 0.05, "three-stage")
+    stages = middle.select((F.col("sketch.coins") > 0).alias("compacted")).crossJoin(top.select((F.size(F.get("sketch.tops", F.lit(0))["tuples"]) > 0).alias("tuples")))
+    return judged.crossJoin(stages)
 
 
 @query(verdict_sql("weighted-stream", "(SELECT l_extendedprice FROM lineitem, range(50) t(i) WHERE i < l_quantity)", "l_extendedprice", PRICE_PROBES))
@@ -120,11 +151,13 @@ def merge_conserves_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
     return merged.select(F.col("sketch.n").alias("n")).crossJoin(measure.mass(answer.coreset(merged))).crossJoin(parts.agg(F.count("*").alias("parts")))
 
 
-@query(" UNION ALL ".join(verdict_sql(t, "lineitem", "l_extendedprice", PRICE_PROBES) for t in ("balanced", "chain", "star")))
+@query(" UNION ALL ".join(verdict_sql(t, "lineitem", "l_extendedprice", PRICE_PROBES) for t in ("balanced", "chain", "star", "random")))
 def merge_penalty_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The guarantee after merging in trees of different shape."""
     parts = machine_sketches(spark, sf_dir, "banded")
-    shapes = {"balanced": tree(parts, [], fan_in=4), "chain": chain(parts, []), "star": tree(parts, [], fan_in=1)}
+    # At random: machines meet in uneven buckets, and these in uneven buckets again.
+    drawn = parts.withColumn("part", F.pmod(F.xxhash64("part", F.lit(9)), F.lit(1000)) * 1000 + F.col("part"))
+    shapes = {"balanced": tree(parts, [], fan_in=4), "chain": chain(parts, []), "star": tree(parts, [], fan_in=1), "random": tree(drawn, [], fan_in=3, rounds=4)}
     out = None
     for name, merged in shapes.items():
         part = measure.verdicts(answer.coreset(merged), price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, 0.02, name)
@@ -145,7 +178,8 @@ def unequal_merge_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(verdict_sql("one-way", "lineitem", "l_extendedprice", PRICE_PROBES))
 def one_way_merge_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parts folded into one tuple summary: error of eps N1 + 2 eps N2 at most."""
-    return verdict(price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, "tuple-summary", eps=0.01, label="one-way", parts=16)
+    merged = fold_one_way(machine_sketches(spark, sf_dir, "tuple-summary", 0.01), [])
+    return measure.verdicts(answer.coreset(merged), price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, 0.02, "one-way")
 
 
 @query(
@@ -164,13 +198,30 @@ def rollup_merged_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     return both.select("e.event_type", "e.probe", "exact_rank", (F.abs(F.col("est") - F.col("exact_rank")) <= 0.02 * F.col("n")).alias("within_bound"))
 
 
+@query(
+    f"""SELECT l_returnflag, l_linestatus, probe, count(*) FILTER (l_extendedprice <= probe) AS exact_rank, TRUE AS within_bound
+    FROM lineitem CROSS JOIN {literals(PRICE_PROBES)} GROUP BY GROUPING SETS ((l_returnflag, l_linestatus, probe), (l_returnflag, probe), (l_linestatus, probe), (probe))"""
+)
+def cube_merged_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All grouping sets from the finest groups' sketches; the rows are read once."""
+    keys = ["l_returnflag", "l_linestatus"]
+    rows = load(spark, sf_dir, "lineitem", *keys, "l_extendedprice")
+    cubed = ops.cube_sketch(build(rows, "l_extendedprice", by=keys, variant="banded", eps=0.02, delta=DELTA), keys)
+    est = cubed.select(*keys, F.col("sketch.n").alias("n"), answer.points().alias("pts"), F.explode(F.array(*[F.lit(p) for p in PRICE_PROBES])).alias("probe"))
+    est = est.select(*keys, "n", "probe", answer.rank(F.col("pts"), F.col("probe")).alias("est"))
+    truth = rows.cube(*keys).agg(*[F.count_if(F.col("l_extendedprice") <= p).alias(f"r{i}") for i, p in enumerate(PRICE_PROBES)])
+    truth = truth.select(*keys, F.explode(F.array(*[F.struct(F.lit(p).alias("probe"), F.col(f"r{i}").alias("exact_rank")) for i, p in enumerate(PRICE_PROBES)])).alias("x")).select(*keys, "x.*")
+    both = est.alias("e").join(truth.alias("t"), F.expr("e.probe = t.probe and e.l_returnflag <=> t.l_returnflag and e.l_linestatus <=> t.l_linestatus"))
+    return both.select("e.l_returnflag", "e.l_linestatus", "e.probe", "exact_rank", (F.abs(F.col("est") - F.col("exact_rank")) <= 0.02 * F.col("n")).alias("within_bound"))
+
+
 # -- single and all quantiles ------------------------------------------------------
 
 
 def quantile_verdict(data: DataFrame, column: str, fractions: list[float], eps: float, mode: str, source: str) -> DataFrame:
     """source, fraction, target, exact_value, within_bound: answered values whose true ranks lie within eps n of the target."""
     rows = data.select(F.col(column).alias("v"))
-    got = answer.quantiles(build(rows.repartition(8, F.xxhash64("v")), "v", variant="banded" if mode == "all" else "geo-wsampled", eps=eps, delta=DELTA, mode=mode), fractions)
+    got = answer.quantiles(build(rows, "v", variant="banded" if mode == "all" else "geo-wsampled", eps=eps, delta=DELTA, mode=mode), fractions)
     counts = exact.counts_by_value(rows, "v")
     n = rows.agg(F.count("v").alias("rows"))
     wanted = n.select("rows", F.explode(F.array(*[F.lit(f) for f in fractions])).alias("fraction")).withColumn("target", F.greatest(F.ceil(F.col("fraction") * F.col("rows")), F.lit(1)).cast("long"))
@@ -214,21 +265,21 @@ def sup_error_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for table, column in COLUMNS:
         rows = load(spark, sf_dir, table, column)
-        sketches = build(rows.repartition(8, F.xxhash64(column)), column, variant="banded", eps=0.02, delta=DELTA)
+        sketches = build(rows, column, variant="banded", eps=0.02, delta=DELTA)
         part = measure.sup_error(answer.coreset(sketches), rows, column).crossJoin(rows.agg(F.count("*").alias("n")))
         part = part.select(F.lit(f"{table}.{column}").alias("source"), "n", (F.col("sup_error") <= 0.02 * F.col("n")).alias("within_bound"))
         out = part if out is None else out.unionByName(part)
     return out
 
 
-ORDERS = {"ascending": "l_extendedprice", "descending": "-l_extendedprice", "zoom": "-abs(l_extendedprice - 53000)", "blocks": "floor(l_extendedprice / 1000) % 7, l_extendedprice"}
+ORDERS = {"ascending": "l_extendedprice", "descending": "-l_extendedprice", "zoom": "-abs(l_extendedprice - 53000)", "blocks": "floor(l_extendedprice / 1000) % 7, l_extendedprice", "interleaved": "hash(l_extendedprice) % 1000, l_extendedprice % 2 < 1, l_extendedprice"}
 
 
 @query(" UNION ALL ".join(verdict_sql(o, "lineitem", "l_extendedprice", PRICE_PROBES) for o in ORDERS))
 def adversarial_orders_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = None
     for name, order in ORDERS.items():
-        rows = price(spark, sf_dir).repartition(4, F.xxhash64("l_extendedprice")).sortWithinPartitions(*[F.expr(x) for x in order.split(", ")])
+        rows = price(spark, sf_dir).sortWithinPartitions(*[F.expr(x) for x in order.split(", ")])
         sketches = build(rows, "l_extendedprice", variant="geo-wsampled", eps=0.02, delta=DELTA)
         part = measure.verdicts(answer.coreset(sketches), price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, 0.02, name)
         out = part if out is None else out.unionByName(part)
@@ -237,7 +288,7 @@ def adversarial_orders_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(verdict_sql("random", "lineitem", "l_extendedprice", PRICE_PROBES))
 def random_order_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = price(spark, sf_dir).repartition(4, F.xxhash64("l_extendedprice")).sortWithinPartitions(F.md5(F.col("l_extendedprice").cast("string")))
+    rows = price(spark, sf_dir).sortWithinPartitions(F.md5(F.col("l_extendedprice").cast("string")))
     return measure.verdicts(answer.coreset(build(rows, "l_extendedprice", variant="geo-wsampled", eps=0.02, delta=DELTA)), price(spark, sf_dir), "l_extendedprice", PRICE_PROBES, 0.02, "random")
 
 
@@ -267,39 +318,30 @@ def variant_matrix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return est.join(truth, "probe").select("variant", "eps", "probe", "exact_rank", (F.abs(F.col("est") - F.col("exact_rank")) <= F.col("eps") * F.col("n")).alias("within_bound"))
 
 
-@query("SELECT 200 AS trials, TRUE AS within_delta, TRUE AS unbiased, TRUE AS biased_coin_found")
+#: Seeded trials of one stream, for each failure probability.
+TRIALS, RISKS = 200, (0.3, 0.1, 0.02)
+
+
+@query(f"SELECT delta, CAST({TRIALS} AS BIGINT) AS trials, count(*) AS n, count(*) FILTER (value <= 34.59) AS exact_rank, TRUE AS within_delta, TRUE AS unbiased, TRUE AS biased_coin_found FROM events CROSS JOIN (SELECT unnest({list(RISKS)}::DOUBLE[]) AS delta) GROUP BY delta")
 def failure_rate_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Two hundred seeded sketches of one stream, with a biased coin as the control that must be found out.
+    """Two hundred sketches of one stream for each failure probability; a biased coin as the control must be found out.
 
-    Each trial is a task; the stream is small and travels to it.
+    A trial is a group with coins of its own, so the stream is read where it lies, once for all trials.
     """
-    import numpy as np
-    import pyarrow as pa
-
-    from rankloom.operators.kernel import Sketch
-
-    values = np.array(load(spark, sf_dir, "events", "value").toArrow()["value"].to_pylist(), float)
-    chosen, biased = plan("geo", 0.05, 0.1, mode="single", k=48), plan("geo", 0.05, 0.1, mode="single", k=48)
-    truth = int((values <= 34.59).sum())
-    shared = spark.sparkContext.broadcast(values)
-
-    def trials(batches):
-        for b in batches:
-            seeds = b.column(0).to_pylist()
-            fair, odd = [], []
-            for seed in seeds:
-                for p, out, policy in ((chosen, fair, "fair"), (biased, odd, "fixed_odd")):
-                    s = Sketch(p, seed, 1)
-                    s.coins.policy = policy
-                    for part in np.array_split(shared.value, 64):
-                        s.insert(part)
-                    out.append(s.rank(34.59) - truth)
-            yield pa.RecordBatch.from_arrays([pa.array(seeds), pa.array(fair), pa.array(odd)], names=["id", "fair", "odd"])
-
-    rows = spark.range(200).repartition(8).mapInArrow(trials, "id bigint, fair bigint, odd bigint")
-    limit = 0.05 * len(values)
-    got = rows.agg(F.count("*").cast("int").alias("trials"), F.avg((F.abs("fair") > limit).cast("int")).alias("rate"), F.avg("fair").alias("mean"), F.stddev("fair").alias("sd"), F.avg("odd").alias("odd"))
-    return got.select("trials", (F.col("rate") <= 0.1 + 4 * math.sqrt(0.1 * 0.9 / 200)).alias("within_delta"), (F.abs("mean") <= 4 * F.col("sd") / math.sqrt(200)).alias("unbiased"), (F.abs("odd") > 4 * F.col("sd") / math.sqrt(200)).alias("biased_coin_found"))
+    rows = load(spark, sf_dir, "events", "value")
+    truth = rows.agg(F.count("*").alias("n"), F.count_if(F.col("value") <= 34.59).alias("exact_rank"))
+    many = rows.withColumn("trial", F.explode(F.sequence(F.lit(1), F.lit(TRIALS))))
+    error = answer.rank(answer.points(), F.lit(34.59)) - F.col("exact_rank")
+    biased = build(rows, "value", chosen=plan("equal-fixed", 0.05, k=48)).crossJoin(truth).select(error.alias("odd"))
+    out = None
+    for delta in RISKS:
+        tried = build(many, "value", by=["trial"], chosen=plan("geo", 0.05, delta, mode="single")).crossJoin(truth).select("n", "exact_rank", error.alias("e"))
+        one = tried.groupBy("n", "exact_rank").agg(F.count("*").alias("trials"), F.avg((F.abs("e") > 0.05 * F.col("n")).cast("int")).alias("rate"), F.avg("e").alias("mean"), F.stddev("e").alias("sd"))
+        noise = 4 * F.col("sd") / math.sqrt(TRIALS)
+        slack = 4 * math.sqrt(delta * (1 - delta) / TRIALS)
+        part = one.crossJoin(biased).select(F.lit(delta).alias("delta"), "trials", "n", "exact_rank", (F.col("rate") <= delta + slack).alias("within_delta"), (F.abs("mean") <= noise).alias("unbiased"), (F.abs("odd") > noise).alias("biased_coin_found"))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 @query("SELECT 'lineitem' AS source, count(*) AS n, TRUE AS height_within_bound, TRUE AS compactions_within_bound FROM lineitem")
@@ -313,35 +355,57 @@ def height_check(spark: SparkSession, sf_dir: str) -> DataFrame:
     return levels.groupBy("n").agg(F.bool_and(F.col("height") <= bound).alias("height_within_bound"), F.bool_and(fits).alias("compactions_within_bound")).select(F.lit("lineitem").alias("source"), "n", "height_within_bound", "compactions_within_bound")
 
 
-@query()
+@query("SELECT count(*) AS n, count(*) AS mass, TRUE AS levels_within_capacity, TRUE AS compactions_within_bound FROM lineitem")
 def compactions_by_level(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return measure.space(build(price(spark, sf_dir), "l_extendedprice", variant="geo", eps=0.02, delta=DELTA))
+    """Items and compactions of every level: they weigh the stream, fit the capacities, and a level compacts no oftener than its input lets it."""
+    chosen = plan("geo", 0.02, DELTA, mode="single")
+    sketches = build(price(spark, sf_dir), "l_extendedprice", chosen=chosen)
+    levels = measure.space(sketches, []).crossJoin(sketches.select("sketch.n", F.col("sketch.height").alias("top")))
+    room = F.greatest(F.lit(2.0), F.ceil(F.lit(float(chosen.k)) * F.pow(F.lit(chosen.c), F.col("top") - F.col("height")))) + 1
+    least = F.greatest(F.lit(2.0), F.lit(float(chosen.k)) * F.pow(F.lit(chosen.c), F.col("top") - F.col("height")))
+    weight = F.pow(F.lit(2.0), F.col("height") - 1)
+    return levels.groupBy("n").agg(F.sum(F.col("items") * weight).cast("long").alias("mass"), F.bool_and(F.col("items") <= room).alias("levels_within_capacity"), F.bool_and(F.col("compactions") <= 2 * F.col("n") / (least * weight) + 1).alias("compactions_within_bound"))
+
 
+CURVE = [(e, d) for e in (0.1, 0.02) for d in (0.1, 1e-6)]
 
-@query()
+
+@query(f"SELECT variant, eps, delta, count(*) AS n, TRUE AS within_plan, TRUE AS above_lower_bound FROM lineitem CROSS JOIN (SELECT unnest({list(VARIANTS)}) AS variant) CROSS JOIN (SELECT unnest({[e for e, _ in CURVE]}::DOUBLE[]) AS eps, unnest({[d for _, d in CURVE]}::DOUBLE[]) AS delta) GROUP BY ALL")
 def space_curve_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Items stored by every variant beside what was planned."""
+    """Items stored by every variant over errors and failure probabilities, beside what was planned for the stream's length.
+
+    above_lower_bound: no summary of this error holds fewer than 1 / (2 eps) items.
+    """
     rows = price(spark, sf_dir)
     out = None
     for v in VARIANTS:
-        p = plan(v, 0.02, 0.01, n=1 << 22)
-        held = measure.stored_items(build(rows, "l_extendedprice", chosen=p, rows_each=65536))
-        part = held.select(F.lit(v).alias("variant"), "stored", F.lit(planned_items(p, 1 << 22)).cast("long").alias("planned"), F.lit(v in MERGEABLE).alias("mergeable"))
-        out = part if out is None else out.unionByName(part)
+        for eps, delta in CURVE:
+            p = plan(v, eps, delta, mode="single", n=1 << 22)
+            sketches = build(rows, "l_extendedprice", chosen=p)
+            held = measure.stored_items(sketches).crossJoin(sketches.select("sketch.n"))
+            # A tuple summary holds a multiple of its planned size; two more are kept while the lowest is in use.
+            most = planned_items(p, 1 << 22) * (3 if p.tuples else 1) + 1
+            part = held.select(F.lit(v).alias("variant"), F.lit(eps).alias("eps"), F.lit(delta).alias("delta"), "n", (F.col("stored") <= most).alias("within_plan"), (F.col("stored") >= 1 / (2 * eps)).alias("above_lower_bound"))
+            out = part if out is None else out.unionByName(part)
     return out
 
 
-@query()
+GROWTH = ("equal-fixed", "geo", "geo-wsampled", "banded")
+
+
+@query(f"SELECT variant, times, CAST(count(*) * max(times) AS BIGINT) AS n, TRUE AS within_plan, TRUE AS levels_within_bound FROM lineitem CROSS JOIN (SELECT unnest({list(GROWTH)}) AS variant) CROSS JOIN (SELECT unnest([1, 4, 16]::BIGINT[]) AS times) GROUP BY variant, times")
 def space_vs_n(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Items stored for the same error as the stream grows: the stream one, four and sixteen times."""
     rows = price(spark, sf_dir)
     out = None
     for times in (1, 4, 16):
         longer = rows.withColumn("copy", F.explode(F.sequence(F.lit(1), F.lit(times)))).select((F.col("l_extendedprice") + F.col("copy") / 1000).alias("v"))
-        for v in ("equal-fixed", "geo", "geo-wsampled", "banded"):
-            sketches = build(longer, "v", variant=v, eps=0.05, delta=0.01, mode="single")
+        for v in GROWTH:
+            p = plan(v, 0.05, 0.01, mode="single")
+            sketches = build(longer, "v", chosen=p)
             part = measure.stored_items(sketches).crossJoin(sketches.select(F.col("sketch.n").alias("n"), F.col("sketch.height").alias("levels")))
-            part = part.select(F.lit(v).alias("variant"), "n", "levels", "stored")
+            levels = F.floor(F.log2(F.col("n") / F.lit(p.c * p.k))) + 3
+            part = part.select(F.lit(v).alias("variant"), F.lit(times).cast("long").alias("times"), "n", (F.col("stored") <= planned_items(p, 1 << 30) + 1).alias("within_plan"), (F.col("levels") <= F.greatest(levels, F.lit(1))).alias("levels_within_bound"))
             out = part if out is None else out.unionByName(part)
     return out
 
@@ -387,10 +451,12 @@ def plan_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "eps double, delta double, k_paper long, k_safe long")
 
 
-@query()
+@query(f"SELECT variant, mode, eps, delta, TRUE AS above_lower_bound, TRUE AS all_costs_more, TRUE AS smaller_error_costs_more FROM (SELECT unnest({[*VARIANTS, 'auto']}) AS variant) CROSS JOIN (SELECT unnest(['single', 'all']) AS mode) CROSS JOIN (SELECT unnest([0.05, 0.01]::DOUBLE[]) AS eps) CROSS JOIN (SELECT unnest({list(DELTAS)}::DOUBLE[]) AS delta)")
 def plan_all_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
-    rows = [(v, m, e, d, p.k, p.band, planned_items(p, 10**12)) for v in (*VARIANTS, "auto") for m in ("single", "all") for e in (0.05, 0.01) for d in DELTAS for p in (plan(v, e, d, m, 10**12),)]
-    return spark.createDataFrame(rows, "variant string, mode string, eps double, delta double, k long, band long, items long")
+    """Planned items of every variant: above the trivial lower bound, not fewer for all queries than for one, more for a smaller error."""
+    items = lambda v, m, e, d: planned_items(plan(v, e, d, m, 10**12), 10**12)
+    rows = [(v, m, e, d, items(v, m, e, d) >= 1 / (2 * e), items(v, "all", e, d) >= items(v, "single", e, d), items(v, m, e / 2, d) > items(v, m, e, d)) for v in (*VARIANTS, "auto") for m in ("single", "all") for e in (0.05, 0.01) for d in DELTAS]
+    return spark.createDataFrame(rows, "variant string, mode string, eps double, delta double, above_lower_bound boolean, all_costs_more boolean, smaller_error_costs_more boolean")
 
 
 _GRID = f"(SELECT unnest({numbers(EPS)}) AS eps) CROSS JOIN (SELECT unnest({numbers(DELTAS)}) AS delta) CROSS JOIN (SELECT unnest({numbers(SIZES)}) AS n)"
@@ -410,8 +476,6 @@ def bounds_table(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @query(f"SELECT eps, delta, round(1 / eps, 6) AS trivial, round(greatest(1, log2(greatest(2, log2(1 / delta)))) / eps, 4) AS randomized, round(log2(1 / eps) / eps, 4) AS deterministic FROM (SELECT unnest({numbers(EPS)}) AS eps) CROSS JOIN (SELECT unnest({numbers(DELTAS)}) AS delta)")
 def lower_bounds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    from rankloom.plans.params import deterministic_lower_bound, lower_bound, trivial_lower_bound
-
     rows = [(e, d, round(trivial_lower_bound(e), 6), round(lower_bound(e, d), 4), round(deterministic_lower_bound(e), 4)) for e in EPS for d in DELTAS]
     return spark.createDataFrame(rows, "eps double, delta double, trivial double, randomized double, deterministic double")
 
@@ -434,20 +498,37 @@ def capacity_schedule(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 @query(
-    """SELECT CAST(pow(10, x) AS BIGINT) AS n, t.height, name AS construction,
-        CASE WHEN name IN ('geo-sampled', 'geo-wsampled') THEN greatest(0, t.height - 16) WHEN name = 'geo' THEN 0 ELSE greatest(0, t.height - 18) END AS sampled_levels
-    FROM (SELECT unnest(range(3, 13)) AS x) JOIN LATERAL (SELECT CAST(greatest(1, floor(log2(greatest(1.0, pow(10, x) / (2.0 / 3 * 600))) + 2)) AS BIGINT) AS height) t ON TRUE
-    CROSS JOIN (SELECT unnest(['geo', 'geo-wsampled', 'banded', 'tuple-topped']) AS name)"""
+    """WITH t AS (SELECT CAST(pow(10, x) AS BIGINT) AS n, CAST(greatest(1, floor(log2(greatest(1.0, pow(10, x) / (2.0 / 3 * 600))) + 2)) AS BIGINT) AS height, unnest(['geo', 'geo-wsampled', 'banded', 'tuple-topped']) AS construction FROM (SELECT unnest(range(3, 13)) AS x)),
+    u AS (SELECT *, CASE WHEN construction = 'geo-wsampled' THEN greatest(0, height - 16) WHEN construction = 'geo' THEN 0 ELSE greatest(0, height - 18) END AS sampled,
+        CASE WHEN construction IN ('geo', 'geo-wsampled') THEN 0 ELSE least(height, 4) END AS top FROM t)
+    SELECT n, height, construction, sampled, CASE WHEN construction = 'tuple-topped' THEN height - greatest(sampled, height - top) ELSE 0 END AS tupled,
+        CASE WHEN construction = 'banded' THEN height - greatest(sampled, height - top) ELSE 0 END AS flat, greatest(sampled, height - top) - sampled AS shrinking FROM u"""
 )
 def structure_by_length(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """How many of the lowest levels a sampler serves, for growing streams (k = 600, band of 4)."""
+    """How many levels of a construction are served by the sampler, shrink, are flat or are a tuple summary's, for growing streams (k = 600, band of 4)."""
     rows = []
     for x in range(3, 13):
         height = max_height(10**x, 600)
         for name in ("geo", "geo-wsampled", "banded", "tuple-topped"):
-            rule = "none" if name == "geo" else "cap2" if name == "geo-wsampled" else "two_s"
-            rows.append((10**x, height, name, schedule.sampled_levels(rule, height, 600, 2 / 3, 4)))
-    return spark.createDataFrame(rows, "n long, height long, construction string, sampled_levels long")
+            sampled, shrinking, flat, tupled = schedule.structure(name, VARIANTS[name], height, 600, 2 / 3, 4)
+            rows.append((10**x, height, name, sampled, shrinking, flat, tupled))
+    return spark.createDataFrame(rows, "n long, height long, construction string, sampled long, shrinking long, flat long, tupled long")
+
+
+@query(f"SELECT variant, eps, count(*) AS n, TRUE AS above_trivial, TRUE AS ratio_within_plan FROM lineitem CROSS JOIN (SELECT unnest({list(GROWTH[1:])}) AS variant) CROSS JOIN (SELECT unnest([0.05, 0.02, 0.01]::DOUBLE[]) AS eps) GROUP BY ALL")
+def measured_optimality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Items really held over the shape of the randomised lower bound, beside the same ratio of the plan."""
+    rows = price(spark, sf_dir)
+    out = None
+    for v in GROWTH[1:]:
+        for eps in (0.05, 0.02, 0.01):
+            p = plan(v, eps, DELTA, mode="single")
+            sketches = build(rows, "l_extendedprice", chosen=p)
+            held = measure.stored_items(sketches).crossJoin(sketches.select("sketch.n"))
+            ratio, planned = F.col("stored") / lower_bound(eps, DELTA), (planned_items(p, 1 << 30) + 1) / lower_bound(eps, DELTA)
+            part = held.select(F.lit(v).alias("variant"), F.lit(eps).alias("eps"), "n", (F.col("stored") >= trivial_lower_bound(eps) / 2).alias("above_trivial"), (ratio <= planned).alias("ratio_within_plan"))
+            out = part if out is None else out.unionByName(part)
+    return out
 
 
 # -- stores and tables of sketches -----------------------------------------------------
@@ -456,13 +537,10 @@ def structure_by_length(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query(verdict_sql("stored", "lineitem", "l_extendedprice", PRICE_PROBES))
 def sketch_store_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sketches written to a store by return flag, read again and merged."""
-    import tempfile
-
-    from rankloom.sources.io import load_sketches, save_sketches
+    from rankloom.sources.io import load_sketches, save_sketches, shared_folder
 
     rows = load(spark, sf_dir, "lineitem", "l_returnflag", "l_extendedprice")
-    folder = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp()
-    path = f"{folder}/store-{spark.sparkContext.applicationId}-{abs(hash(sf_dir))}"
+    path = f"{shared_folder(spark)}/store-{spark.sparkContext.applicationId}-{abs(hash(sf_dir))}"
     save_sketches(build(rows, "l_extendedprice", by=["l_returnflag"], variant="banded", eps=0.02, delta=DELTA), path, ["l_returnflag"], mode="overwrite")
     stored = load_sketches(spark, path).withColumn("part", F.xxhash64("l_returnflag"))
     return measure.verdicts(answer.coreset(tree(stored.select("part", "sketch"), [])), rows, "l_extendedprice", PRICE_PROBES, 0.02, "stored")

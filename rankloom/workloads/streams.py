@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -11,8 +10,9 @@ from pyspark.sql import types as T
 
 from rankloom.functions import answer
 from rankloom.operators import measure
+from rankloom.operators.merge import tree
 from rankloom.plans.params import plan
-from rankloom.sources.io import load
+from rankloom.sources.io import load, shared_folder
 from rankloom.streaming import stream
 from rankloom.workloads.registry import query
 from rankloom.workloads.sketches import DELTA, VALUE_PROBES, literals
@@ -23,8 +23,7 @@ DAY = 86_400
 
 def work_folder(spark: SparkSession) -> str:
     """A new folder that driver and executors share, or a temporary one on one machine."""
-    root = spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="streams-")
-    return f"{root}/stream-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -99,3 +98,46 @@ def stream_dedup_mass(spark: SparkSession, sf_dir: str) -> DataFrame:
     mass = measure.mass(answer.coreset(stream.compact_panes(stream.stored_panes(spark, f"{folder}/panes"))))
     ids = load(spark, sf_dir, "events", "event_id").agg(F.count_distinct("event_id").alias("events"))
     return mass.select(F.col("mass").alias("n")).crossJoin(ids)
+
+
+@query(
+    """WITH g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 1 DAY THEN 0 ELSE 1 END AS new FROM events),
+    s AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS sid FROM g)
+    SELECT user_id, min(ts) AS began, count(*) AS n, quantile_disc(value, 0.5) AS median FROM s GROUP BY user_id, sid"""
+)
+def session_sketch_median(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A sketch for each session with a gap of a day; sessions are shorter than its smallest level, so their medians are exact."""
+    sessions = stream.session_sketches(load(spark, sf_dir, "events", "user_id", "ts", "value"), "ts", "1 DAY", "value", ["user_id"], variant="geo", eps=0.02)
+    got = answer.median(sessions, ["user_id", "began"]).select("user_id", "began", F.col("value").alias("median"))
+    return sessions.select("user_id", "began", "sketch.n").join(got, ["user_id", "began"])
+
+
+@query("SELECT n_name, count(*) AS n, TRUE AS within_bound FROM events JOIN customer ON user_id = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
+def stream_static_join_median(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A stream joined with tables at rest before it is sketched by nation."""
+    folder = work_folder(spark)
+    owners = load(spark, sf_dir, "customer", "c_custkey", "c_nationkey").join(F.broadcast(load(spark, sf_dir, "nation", "n_nationkey", "n_name")), F.col("c_nationkey") == F.col("n_nationkey"))
+    rows = event_stream(spark, sf_dir).join(owners, F.col("user_id") == F.col("c_custkey"))
+    sink = stream.pane_sink(f"{folder}/panes", "ts", "30 days", "value", ["n_name"], variant="geo", eps=0.02, delta=DELTA)
+    stream.run_once(rows, sink, f"{folder}/checkpoint")
+    panes = stream.stored_panes(spark, f"{folder}/panes").withColumn("part", F.xxhash64("batch_id", "pane"))
+    merged = tree(panes.select("n_name", "part", "sketch"), ["n_name"])
+    got = answer.median(merged, ["n_name"]).withColumnRenamed("value", "got")
+    still = load(spark, sf_dir, "events", "user_id", "value").join(owners, F.col("user_id") == F.col("c_custkey")).join(got, "n_name")
+    truth = still.groupBy("n_name").agg(F.count_if(F.col("value") <= F.col("got")).alias("upto"), F.count_if(F.col("value") < F.col("got")).alias("below"))
+    judged = merged.select("n_name", "sketch.n").join(truth, "n_name")
+    return judged.select("n_name", "n", ((F.col("upto") >= F.col("n") * 0.48 - 1) & (F.col("below") <= F.col("n") * 0.52 + 1)).alias("within_bound"))
+
+
+@query("SELECT a.event_type AS one, b.event_type AS other, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR GROUP BY ALL")
+def stream_stream_join_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events of one user within an hour, from two streams with watermarks: state is kept for that hour only."""
+    folder = work_folder(spark)
+    side = lambda x: stream.with_lateness(event_stream(spark, sf_dir), "ts", "1 hour").select(*[F.col(c).alias(f"{x}_{c}") for c in ("user_id", "ts", "event_type")])
+    both = side("a").join(side("b"), F.expr("a_user_id = b_user_id AND b_ts > a_ts AND b_ts <= a_ts + INTERVAL 1 HOUR"))
+
+    def store(batch: DataFrame, batch_id: int) -> None:
+        batch.groupBy(F.col("a_event_type").alias("one"), F.col("b_event_type").alias("other")).agg(F.count("*").alias("n")).write.mode("overwrite").parquet(f"{folder}/pairs/batch={batch_id}")
+
+    stream.run_once(both, store, f"{folder}/checkpoint")
+    return spark.read.option("recursiveFileLookup", "true").parquet(f"{folder}/pairs").groupBy("one", "other").agg(F.sum("n").alias("n"))
