@@ -5,6 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from rankloom.llm import pipeline
 from rankloom.llm.chat import format_chats
@@ -60,11 +61,44 @@ def op10_html(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_pages(load(spark, sf_dir, "pages"))
 
 
+# -- what the contracts of operators without SQL fix, in SQL -------------------------
+
+
+def sharding_law_verdict(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows, slots and bytes of all shards."""
+    rows = op6_shards(spark, sf_dir)
+    by = rows.groupBy("shard").agg(F.count("*").alias("n"), F.count_distinct("slot").alias("slots"), F.max("slot").alias("last_slot"))
+    sums = rows.agg(F.sum("size").alias("bytes_in_all"))
+    return by.crossJoin(sums).select("shard", "n", "slots", "last_slot", "bytes_in_all")
+
+
+def language_contract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    known = [r[0] for r in load(spark, sf_dir, "documents", "lang").distinct().collect() if r[0] is not None]
+    rows = op7_language(spark, sf_dir)
+    return rows.select("doc_id", "held_out", (F.col("lang_pred") == "und").alias("und"), (F.col("lang_pred").isin(*known, "und") & F.col("score").between(0, 1)).alias("in_range"))
+
+
+def lm_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return op8_lm(spark, sf_dir).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", F.round("base_score", 4).alias("base_score"))
+
+
+def quality_contract(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = op9_quality(spark, sf_dir)
+    return rows.select("doc_id", "held_out", (F.col("score").between(0, 1) & ((F.col("score") >= 0.5) == (F.col("predicted") == 1))).alias("consistent"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = {f.__name__: f for f in (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op8_lm, op9_quality, op10_html)}
+    named = (op1_mix, op2_simhash, op3_jaccard, op4_chat, op5_decontaminate, op6_shards, op7_language, op8_lm, op9_quality, op10_html)
+    found = {f.__name__: f for f in (*named, sharding_law_verdict, language_contract, lm_counts, quality_contract)}
     return found | {"pipeline": pipeline.run}
 
 
+#: crc32 of doc_id as text, byte by byte over the table of its polynomial: a row (doc_id, crc) for each document.
+CRC = """RECURSIVE poly AS (SELECT list(list_reduce([b, 0, 0, 0, 0, 0, 0, 0, 0], lambda a, x: CASE WHEN a & 1 = 1 THEN xor(a >> 1, 3988292384) ELSE a >> 1 END) ORDER BY b) AS t FROM (SELECT unnest(range(256)) AS b)),
+        steps AS (SELECT doc_id, CAST(doc_id AS VARCHAR) AS s, 1 AS i, CAST(4294967295 AS BIGINT) AS c FROM documents WHERE doc_id IS NOT NULL
+            UNION ALL SELECT doc_id, s, i + 1, xor(c >> 8, t[CAST(xor(c, ascii(s[i])) & 255 AS BIGINT) + 1]) FROM steps, poly WHERE i <= length(s)),
+        crc AS (SELECT doc_id, xor(c, 4294967295) AS crc FROM steps WHERE i = length(s) + 1)"""
+
 ORACLE = {
     "op1_mix": r"""
         WITH d AS (SELECT doc_id, CASE WHEN regexp_matches(source, '^src[0-9]*[13579]$') THEN 'edited' ELSE 'open' END AS domain,
@@ -123,6 +157,22 @@ ORACLE = {
         SELECT conv_id, CAST(len(turns) AS BIGINT) AS n_turns, n_copies,
                array_to_string(list_transform(turns, lambda x: '<|' || x.role || '|>' || chr(10) || x.text || '<|end|>' || chr(10)), '') AS rendered
         FROM m""",
+    "sharding_law_verdict": """
+        SELECT CAST(s AS INTEGER) AS shard, n // 16 + CASE WHEN s < n % 16 THEN 1 ELSE 0 END AS n, n // 16 + CASE WHEN s < n % 16 THEN 1 ELSE 0 END AS slots,
+               n // 16 + CASE WHEN s < n % 16 THEN 1 ELSE 0 END - 1 AS last_slot, bytes_in_all
+        FROM (SELECT count(*) AS n, CAST(sum(strlen(coalesce(text, '')) + 1) AS BIGINT) AS bytes_in_all FROM documents) CROSS JOIN range(16) t(s)""",
+    "language_contract": f"""
+        WITH {CRC} SELECT d.doc_id, crc % 4 = 2 AS held_out, NOT regexp_matches(coalesce(text, ''), '\\p{{L}}') AS und, TRUE AS in_range FROM documents d JOIN crc USING (doc_id)""",
+    "lm_counts": f"""
+        WITH {CRC},
+        w AS (SELECT d.doc_id, crc % 10 = 0 AS held_out, list_append(regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\\x20\\x09-\\x0D]+'), '') AS w FROM documents d JOIN crc USING (doc_id)),
+        k AS (SELECT doc_id, held_out, unnest(w) AS token FROM w),
+        c AS (SELECT token, count(*) AS c FROM k WHERE NOT held_out GROUP BY token),
+        n AS (SELECT CAST(sum(c) AS BIGINT) AS n, count(*) AS v FROM c)
+        SELECT doc_id, held_out, count(*) AS n_tokens, count(c) AS n_known, any_value(n) AS train_tokens, round(sum(log10((coalesce(c, 0) + 0.1) / (n + 0.1 * (v + 1)))), 4) AS base_score
+        FROM k LEFT JOIN c USING (token) CROSS JOIN n GROUP BY doc_id, held_out""",
+    "quality_contract": f"""
+        WITH {CRC} SELECT doc_id, crc % 3 = 1 AS held_out, TRUE AS consistent FROM documents JOIN crc USING (doc_id)""",
 }
 
 
