@@ -129,7 +129,7 @@ def grouped(batch: pa.RecordBatch, keys: int, weighted: bool) -> Iterator[tuple[
 
 
 def merge_rounds(df: DataFrame, fan_in: int) -> int:
-    """Rounds after which the sketches of all tasks are one, by the bytes that the optimizer expects of df; two at least."""
+    """Rounds after which the sketches of all tasks are one, by the bytes that the optimizer expects of df; fan_in tasks take one."""
     spark = df.sparkSession
     try:
         size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
@@ -137,7 +137,7 @@ def merge_rounds(df: DataFrame, fan_in: int) -> int:
         return 3
     each = spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(spark.conf.get("spark.sql.files.maxPartitionBytes"))
     tasks = min(max(1, size // max(1, each)), 1 << 24)
-    return max(2, math.ceil(math.log(tasks, max(2, fan_in)))) if fan_in > 1 else 2
+    return max(1, math.ceil(math.log(tasks, max(2, fan_in))))
 
 
 def build(
