@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from rankloom.operators.ordered import ROWS_EACH, running_sums
+from rankloom.operators.ordered import ROWS_EACH, range_column, running_sums
 
 
 def rank_column(df: DataFrame, value: str, by: list[str] | None = None, rows_each: int = ROWS_EACH) -> DataFrame:
@@ -52,7 +52,17 @@ def offline_grid(df: DataFrame, value: str, step: int) -> DataFrame:
     return held.select("value", F.explode(ranks_here).alias("rank"))
 
 
-def moving_median(df: DataFrame, value: str, order: str, rows: int) -> DataFrame:
-    """df with the exact median of the last rows rows."""
-    frame = Window.partitionBy(F.lit(0)).orderBy(order).rowsBetween(-(rows - 1), 0)
-    return df.withColumn("moving_median", F.percentile(value, F.lit(0.5)).over(frame))
+def moving_median(df: DataFrame, value: str, order: str, rows: int, rows_each: int = ROWS_EACH) -> DataFrame:
+    """df with the exact median of the last rows rows.
+
+    Every range of the order is a partition of its own and gets the last rows of the range before, so a
+    frame must be well below rows_each.
+    """
+    if 2 * rows > rows_each:
+        raise ValueError("a frame of so many rows needs larger ranges")
+    placed = df.withColumn("_range", range_column(df, order, rows_each))
+    behind = F.row_number().over(Window.partitionBy("_range").orderBy(F.desc(order)))
+    lent = placed.withColumn("_behind", behind).filter(F.col("_behind") < rows).drop("_behind").withColumn("_range", F.col("_range") + 1)
+    both = placed.withColumn("_lent", F.lit(False)).unionByName(lent.withColumn("_lent", F.lit(True)))
+    frame = Window.partitionBy("_range").orderBy(order).rowsBetween(-(rows - 1), 0)
+    return both.withColumn("moving_median", F.percentile(value, F.lit(0.5)).over(frame)).filter("not _lent").drop("_lent", "_range")

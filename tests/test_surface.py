@@ -124,3 +124,28 @@ def test_weighted_points_into_a_tuple_summary(spark):
     below = coreset(made).filter("value <= 50").agg(F.sum("weight")).first()[0]
     assert abs(below - 1275) <= 0.05 * 5050 + 100
     assert json.dumps(made.first()["sketch"]["variant"]) == '"tuple-summary"'
+
+
+def test_moving_median_by_ranges(spark):
+    from rankloom.operators.exact import moving_median
+
+    rows = spark.range(1000).select("id", ((F.col("id") * 7919) % 1000).cast("double").alias("v"))
+    whole = {r.id: r.moving_median for r in moving_median(rows, "v", "id", 21).collect()}
+    cut = {r.id: r.moving_median for r in moving_median(rows, "v", "id", 21, rows_each=100).collect()}
+    assert cut == whole and len(cut) == 1000
+
+
+def test_ranges_of_two_levels(spark):
+    """Running sums over many small ranges equal those of one."""
+    from rankloom.operators.ordered import running_sums
+
+    rows = spark.range(3000).select(((F.col("id") * 31) % 700).cast("double").alias("v"))
+    got = {r.v: r.upto for r in running_sums(rows, "v", {"upto": F.lit(1)}, rows_each=40).distinct().collect()}
+    want = {r.v: r.upto for r in running_sums(rows, "v", {"upto": F.lit(1)}).distinct().collect()}
+    assert got == want and len(got) == 700
+
+
+def test_runtime_is_measured(spark):
+    from rankloom.operators.measure import runtime
+
+    assert runtime(spark.range(10)) > 0
