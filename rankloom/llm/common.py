@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 import uuid
@@ -28,6 +29,12 @@ def shared_folder(spark: SparkSession) -> str:
 ARROW_ROWS = "spark.sql.execution.arrow.maxRecordsPerBatch"
 
 
+def forget_shuffles(spark: SparkSession) -> None:
+    """Has the driver collect garbage, so that shuffle files of plans that nobody holds any more go."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 class Scratch:
     """Working tables in one folder of the shared folder, dropped together."""
 
@@ -53,7 +60,7 @@ class Scratch:
         """Deletes the tables, and has the driver collect garbage so that shuffle files of what made them go as well."""
         path = self.spark._jvm.org.apache.hadoop.fs.Path(self.path)
         path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True)
-        self.spark._jvm.System.gc()
+        forget_shuffles(self.spark)
 
 
 def written(df: DataFrame, label: str) -> DataFrame:

@@ -33,12 +33,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from rankloom.llm.common import Scratch
+from rankloom.llm.common import Scratch, forget_shuffles
 from rankloom.llm.words import WordChunk, mix64, text_buffers, tidy, tidy_pair, tidy_table, word_chunks
 
 ORDER, PIECE, ADD = 3, 512, 0.1
 BLOCK_BYTES, ROW_BYTES, COMMON = 6 << 20, 64, 1 << 22
 END = np.uint64(0x1F83D9ABFB41BD6B)
+#: Texts are compressed once and moved twice.
+TEXT_LEVEL = 6
 #: Bytes of word numbers and counts in asks and replies.
 WIDE = 6
 
@@ -109,7 +111,7 @@ def blocks_of(docs: DataFrame) -> DataFrame:
             texts = b"".join(data[offsets[0] : offsets[-1]].tobytes() for data, offsets in buffers)
             sizes = np.concatenate([np.diff(offsets) for _, offsets in buffers])
             lists = [as_list(x) for x in (*(pa.concat_arrays(table[c].chunks) for c in ("doc_id", "held")), pa.array(sizes, pa.int64()))]
-            return pa.RecordBatch.from_arrays([pa.array([table["id"][0].as_py()]), *lists, pa.array([pa.compress(texts, "zstd", asbytes=True)])], names=["block", "doc_id", "held", "size", "texts"])
+            return pa.RecordBatch.from_arrays([pa.array([table["id"][0].as_py()]), *lists, pa.array([pa.Codec("zstd", compression_level=TEXT_LEVEL).compress(texts, asbytes=True)])], names=["block", "doc_id", "held", "size", "texts"])
 
         for batch in batches:
             offsets = text_buffers(batch.column(3))[1]
@@ -419,6 +421,8 @@ def score_texts(docs: DataFrame) -> DataFrame:
     words = scratch.written(asked.groupBy("cell").applyInArrow(tidy_table(number), f"{ASKS}, types bigint, tokens bigint"), "words")
     n_total, types = (int(x or 0) for x in words.agg(F.sum("tokens"), F.sum("types")).collect()[0])
     floor = n_total + ADD * (types + 1)
+    del asked
+    forget_shuffles(docs.sparkSession)
 
     def ask_grams(block: pa.Table, replies: pa.Table) -> pa.Table:
         row = block.to_pylist()[0]
