@@ -68,13 +68,14 @@ def value_at_rank(cdf_df: DataFrame, rank_col: Column, by: list[str] | None = No
 
 
 def quantiles(sketches: DataFrame, fractions: list[float], by: list[str] | None = None) -> DataFrame:
-    """by..., fraction, value."""
+    """by..., fraction, value: of each fraction's target rank the point that reaches it; one exchange, and no point is repeated."""
     by = by or []
-    lines = cdf(coreset(sketches, by), by)
-    at = lines.withColumn("fraction", F.explode(F.array(*[F.lit(float(f)) for f in fractions])))
-    total = F.max("cum_weight").over(Window.partitionBy(*by, "fraction"))
-    at = at.withColumn("_total", total).filter(F.col("cum_weight") >= F.greatest(F.ceil(F.col("fraction") * F.col("_total")), F.lit(1)))
-    return at.groupBy(*by, "fraction").agg(F.min("value").alias("value"))
+    part = [F.col(b) for b in by] or [F.lit(0)]
+    upto = Window.partitionBy(*part).orderBy("value").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    lines = coreset(sketches, by).withColumn("_upto", F.sum("weight").over(upto)).withColumn("_total", F.sum("weight").over(Window.partitionBy(*part)))
+    target = lambda f: F.greatest(F.ceil(f * F.col("_total")), F.lit(1))
+    reached = F.filter(F.array(*[F.lit(float(f)) for f in fractions]), lambda f: (target(f) <= F.col("_upto")) & (target(f) > F.col("_upto") - F.col("weight")))
+    return lines.select(*by, F.explode(reached).alias("fraction"), "value")
 
 
 def median(sketches: DataFrame, by: list[str] | None = None) -> DataFrame:
