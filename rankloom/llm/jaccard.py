@@ -415,7 +415,8 @@ class JaccardJoin:
         keyed = sets.select("rid", "doc_id", "n").join(again, "rid", "left").withColumn("node", F.coalesce("node", "rid"))
         root = labels.withColumnRenamed("rid", "node") if labels is not None else keyed.select("node", F.col("node").alias("root")).distinct()
         keyed = keyed.join(root, "node", "left").select("rid", "doc_id", "n", F.coalesce("root", "node").alias("comp"))
-        smallest = keyed.groupBy("comp").agg(F.min("doc_id").alias("component_id"))
+        # Written, so that a join of a large component is one of two plain exchanges, which can be split.
+        smallest = self.scratch.written(keyed.groupBy("comp").agg(F.min("doc_id").alias("component_id")), "smallest")
         out = written(keyed.join(smallest, "comp").select("rid", "doc_id", "n", "comp", "component_id"), "components")
         self.scratch.drop()
         return out
@@ -464,5 +465,6 @@ def dedupe_stage(docs: DataFrame) -> DataFrame:
     """
     rows = JaccardJoin(docs, width=5, percent=80).components()
     best = rows.groupBy("comp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("unnamed"), "doc_id", "rid")).alias("best"), F.count("*").alias("c")).filter("c > 1")
-    gone = rows.join(best, "comp").filter("rid <> best.rid").select(F.col("rid").alias("_rid"))
+    best = written(best.select("comp", "best.rid").withColumnRenamed("rid", "first"), "best")
+    gone = rows.join(best, "comp").filter("rid <> first").select(F.col("rid").alias("_rid"))
     return docs.withColumn("_place", F.monotonically_increasing_id()).join(gone, F.col("_place") == F.col("_rid"), "left_anti").select(*docs.columns)
