@@ -13,10 +13,11 @@ state and its sum; long texts enter in pieces, warmed up on the words before.
 Nothing about the corpus is held whole anywhere. Documents lie in blocks, bounded
 in bytes and compressed; a block asks for the counts of its own words first, and
 with them gets numbers for its words, small ones for frequent words. It then asks
-for its pairs and triples in these numbers, sorted and by planes of bytes, which
-compresses; the answers, in the order asked, meet the block again and make a
-small automaton there. A context that is common in the corpus, by the counts of
-its words, is spread over parts of its followers, so that no task counts it alone.
+for its pairs and, with their pair, its triples in these numbers, sorted and by
+planes of bytes, which compresses; the answers, in the order asked, meet the block
+again and make a small automaton there. A context that is common in the corpus, by
+the counts of its words, is spread over parts of its followers, so that no task
+counts it alone; the triples of a common pair are asked for by themselves.
 
 Edge cases: a null text is empty and has the end token only; equal texts have
 equal scores; without learning documents every probability is the base's, with
@@ -91,6 +92,12 @@ def unique_inverse(key: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]
     return ordered[new], back, order[new]
 
 
+def ranges(first: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """first, first + 1, ... of every range of a given size, one behind the other."""
+    which = np.repeat(np.arange(len(first)), size)
+    return np.arange(len(which)) + (first - (np.cumsum(size) - size))[which]
+
+
 def power_of_two(n: int) -> int:
     return max(8, 1 << max(0, n - 1).bit_length())
 
@@ -160,14 +167,14 @@ class BlockWords:
         return np.concatenate([[0], np.searchsorted(self.codes, bounds), [len(self.codes)]])
 
     def asks(self, block: int, cells: int) -> list[tuple]:
-        """(block, kind, cell, contexts, grams, data) for each cell: words as differences of their codes, and their learning occurrences."""
+        """(block, kind, cell, contexts, grams, inner, data) for each cell: words as differences of their codes, and their learning occurrences."""
         n = np.bincount(self.word[self.learns], minlength=len(self.codes))
         edges, out = self.edges(cells), []
         for cell in np.flatnonzero(np.diff(edges)):
             lo, hi = edges[cell : cell + 2]
             codes = np.diff(self.codes[lo:hi], prepend=np.uint64(0))
             data = pa.compress(np.ascontiguousarray(codes.view(np.uint8).reshape(-1, 8).T).tobytes() + in_planes(n[lo:hi]), "zstd", asbytes=True)
-            out.append((block, 0, cell, 0, hi - lo, data))
+            out.append((block, 0, cell, 0, hi - lo, 0, data))
         return out
 
 
@@ -217,12 +224,13 @@ class BlockGrams:
             expected = np.minimum(np.minimum(expected, self.counts[w]), 8 * expected * self.counts[w] / max(1, total))
         return 1 + (expected / COMMON).astype(np.int64)
 
-    def lines(self, k: int, cells: int, total: int) -> tuple[np.ndarray, ...]:
-        """How n-grams go to cells: (context, part and cell of each line, n-grams by line, their number in each line).
+    def lines(self, k: int, cells: int, total: int, least: int = 1) -> tuple[np.ndarray, ...]:
+        """How the n-grams of contexts with least parts or more go to cells: (context, part and cell of each line, n-grams by line, their number in each line).
 
         A line is a part of a context; every part is asked for, as the followers in all parts make those of the context.
         """
         kind, parts = self.kinds[k], self.parts(k, total)
+        parts = np.where(parts >= least, parts, 0)
         hashed = np.zeros(len(parts), np.uint64)
         for w in self.first_words(k):
             hashed = mix64(hashed * np.uint64(0x9E3779B97F4A7C15) + self.number[w].view(np.uint64) + np.uint64(1))
@@ -231,49 +239,70 @@ class BlockGrams:
         part = np.arange(len(context)) - begin[context]
         cell = (mix64(hashed[context] + part.astype(np.uint64)) >> np.uint64(65 - cells.bit_length())).astype(np.int64)
         owner = np.repeat(np.arange(len(parts)), kind["size"])
+        mine = np.flatnonzero(parts[owner])
+        owner = owner[mine]
         line = begin[owner]
         split = np.flatnonzero(parts[owner] > 1)
-        spread = mix64(self.number[kind["word"][split]].view(np.uint64) + np.uint64(7)) % parts[owner[split]].astype(np.uint64)
+        spread = mix64(self.number[kind["word"][mine[split]]].view(np.uint64) + np.uint64(7)) % parts[owner[split]].astype(np.uint64)
         line[split] += spread.astype(np.int64)
         small = np.uint16 if cells <= 1 << 16 else np.int64
         by_cell = np.argsort(cell.astype(small), kind="stable")
         rank = np.empty(len(by_cell), np.int64)
         rank[by_cell] = np.arange(len(by_cell))
         grams = np.argsort(rank[line], kind="stable") if len(split) else np.argsort(cell[line].astype(small), kind="stable")
-        return context[by_cell], part[by_cell], cell[by_cell], grams, np.bincount(rank[line], minlength=len(by_cell))
+        return context[by_cell], part[by_cell], cell[by_cell], mine[grams], np.bincount(rank[line], minlength=len(by_cell))
+
+    def riding(self, grams: np.ndarray, total: int) -> tuple[np.ndarray, np.ndarray]:
+        """(triples of each pair of grams, these triples) for pairs that are no common context: they go along with their pair."""
+        kind = self.kinds[1]
+        size, first = (np.zeros(len(self.kinds[0]["word"]), np.int64) for _ in range(2))
+        size[kind["context"]] = np.where(self.parts(1, total) == 1, kind["size"], 0)
+        first[kind["context"]] = np.cumsum(kind["size"]) - kind["size"]
+        return size[grams], ranges(first[grams], size[grams])
 
     def asks(self, block: int, cells: int, total: int) -> list[tuple]:
-        """Rows as of words: contexts by their words, and followers with their learning occurrences."""
+        """Rows as of words: contexts by their words, and followers with their learning occurrences; pairs with their triples."""
         out = []
         for k, kind in enumerate(self.kinds):
-            context, part, cell, grams, size = self.lines(k, cells, total)
+            context, part, cell, grams, size = self.lines(k, cells, total, 1 if k == 0 else 2)
             words = [*(self.number[w][context] for w in self.first_words(k)), part]
             follower, n = self.number[kind["word"]][grams], kind["n"][grams]
-            line_edge, upto = np.searchsorted(cell, np.arange(cells + 1)), np.concatenate([[0], np.cumsum(size)])
+            triples, inner = self.riding(grams, total) if k == 0 else (np.zeros(len(grams), np.int64), grams[:0])
+            last, m = self.number[self.kinds[1]["word"]][inner], self.kinds[1]["n"][inner]
+            line_edge, upto, within = np.searchsorted(cell, np.arange(cells + 1)), np.concatenate([[0], np.cumsum(size)]), np.concatenate([[0], np.cumsum(triples)])
             for c in np.flatnonzero(np.diff(line_edge)):
                 lo, hi = line_edge[c : c + 2]
                 a, b = upto[lo], upto[hi]
-                parts = [np.diff(words[0][lo:hi], prepend=0), *(w[lo:hi] for w in words[1:]), size[lo:hi], follower[a:b], n[a:b]]
-                out.append((block, k + 1, c, hi - lo, b - a, packed(parts)))
+                i, j = within[a], within[b]
+                data = [np.diff(words[0][lo:hi], prepend=0), *(w[lo:hi] for w in words[1:]), size[lo:hi], follower[a:b], n[a:b], triples[a:b], last[i:j], m[i:j]]
+                out.append((block, k + 1, c, hi - lo, b - a, j - i, packed(data)))
         return out
 
-    def answers(self, k: int, replies: list[dict], cells: int, total: int) -> tuple[np.ndarray, np.ndarray]:
-        """(corpus count of each n-gram of kinds[k], followers of each context)."""
-        context, _, _, grams, _ = self.lines(k, cells, total)
-        got = [unpacked(r["data"], [r["grams"], r["contexts"]]) for r in sorted(replies, key=lambda r: r["cell"])]
-        n = np.zeros(len(grams), np.int64)
-        n[grams] = np.concatenate([x for x, _ in got]) if got else n
-        followers = np.concatenate([x for _, x in got]) if got else np.zeros(0, np.int64)
-        return n, np.bincount(context, followers, minlength=len(self.kinds[k]["size"])).astype(np.int64)
+    def answers(self, replies: list[list[dict]], cells: int, total: int) -> list[tuple[np.ndarray, np.ndarray]]:
+        """For each of kinds (corpus count of each n-gram, followers of each context)."""
+        n, followers = ([np.zeros(len(k[x]), np.int64) for k in self.kinds] for x in ("word", "size"))
+        joined = lambda x: np.concatenate(x) if x else np.zeros(0, np.int64)
+        for k in range(ORDER - 1):
+            context, _, _, grams, _ = self.lines(k, cells, total, 1 if k == 0 else 2)
+            got = [unpacked(r["data"], [r["grams"], r["contexts"], r["grams"], r["inner"]]) for r in sorted(replies[k], key=lambda r: r["cell"])]
+            count, mine, next_followers, inner = (joined([g[i] for g in got]) for i in range(4))
+            n[k][grams] = count
+            followers[k] += np.bincount(context, mine, minlength=len(followers[k])).astype(np.int64)
+            if k == 0:
+                n[1][self.riding(grams, total)[1]] = inner
+                of_pair = np.zeros(len(n[0]), np.int64)
+                of_pair[grams] = next_followers
+                followers[1] += of_pair[self.kinds[1]["context"]]
+        return list(zip(n, followers, strict=True))
 
 
-ASKS = "block bigint, kind int, cell int, contexts bigint, grams bigint, data binary"
+ASKS = "block bigint, kind int, cell int, contexts bigint, grams bigint, inner bigint, data binary"
 
 
 def as_table(rows: list[tuple]) -> pa.Table:
-    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary())
+    kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.binary())
     columns = list(zip(*rows, strict=True)) if rows else [()] * len(kinds)
-    return pa.table([pa.array([int(x) if i < 5 else x for x in c], kind) for i, (c, kind) in enumerate(zip(columns, kinds, strict=True))], names=["block", "kind", "cell", "contexts", "grams", "data"])
+    return pa.table([pa.array([int(x) if i < 6 else x for x in c], kind) for i, (c, kind) in enumerate(zip(columns, kinds, strict=True))], names=["block", "kind", "cell", "contexts", "grams", "inner", "data"])
 
 
 # -- cells: counts of the corpus ---------------------------------------------------
@@ -302,27 +331,35 @@ def number_words(cells: int, table: pa.Table) -> pa.Table:
     return table.append_column("types", pa.array([int((total > 0).sum()), *rest], pa.int64())).append_column("tokens", pa.array([int(total.sum()), *rest], pa.int64()))
 
 
+def followed(contexts: np.ndarray, size: np.ndarray, follower: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Contexts by code, each with size followers and their occurrences -> (code and count of each n-gram, followers seen of each context)."""
+    _, line, _ = unique_inverse(contexts)
+    code = mix64(np.repeat(contexts, size) * np.uint64(0x9E3779B97F4A7C15) + follower)
+    _, back, some = unique_inverse(code)
+    total = np.bincount(back, n, minlength=len(some)).astype(np.int64)
+    owner = np.repeat(line, size)
+    seen = np.bincount(owner[some], total > 0, minlength=int(line.max(initial=-1)) + 1).astype(np.int64)
+    return code, total[back], seen[line]
+
+
 def count_grams(table: pa.Table) -> pa.Table:
-    """Asks of all blocks for one kind and cell -> to each block, in its order, n by n-gram and followers by line."""
+    """Asks of all blocks for one kind and cell -> to each block, in its order, n by n-gram, followers by line, followers of pairs and n by triple."""
     kind = table["kind"][0].as_py()
-    contexts, grams = table["contexts"].to_pylist(), table["grams"].to_pylist()
-    lines, size, follower, n = ([] for _ in range(4))
-    for c, g, ask in zip(contexts, grams, table["data"].to_pylist(), strict=True):
-        first, *rest, s, f, m = unpacked(ask, [c] * (kind + 2) + [g, g])
+    contexts, grams, inner = (table[c].to_pylist() for c in ("contexts", "grams", "inner"))
+    lines, size, follower, n, triples, last, m = ([] for _ in range(7))
+    for c, g, t, ask in zip(contexts, grams, inner, table["data"].to_pylist(), strict=True):
+        first, *rest, sizes, f, x, own, w, y = unpacked(ask, [c] * (kind + 2) + [g, g, g, t, t])
         code = mix64(np.cumsum(first).view(np.uint64) + np.uint64(1))
         for word in rest:
             code = mix64(code * np.uint64(0x9E3779B97F4A7C15) + word.view(np.uint64))
-        for x, y in ((lines, code), (size, s), (follower, f.view(np.uint64)), (n, m)):
-            x.append(y)
-    _, line, _ = unique_inverse(np.concatenate(lines))
-    owner = np.repeat(line, np.concatenate(size))
-    code = mix64(np.repeat(np.concatenate(lines), np.concatenate(size)) * np.uint64(0x9E3779B97F4A7C15) + np.concatenate(follower))
-    _, back, some = unique_inverse(code)
-    total = np.bincount(back, np.concatenate(n), minlength=len(some)).astype(np.int64)
-    followers = np.bincount(owner[some], total > 0, minlength=int(line.max(initial=-1)) + 1).astype(np.int64)[line]
-    total = total[back]
-    c_end, g_end = np.cumsum(contexts), np.cumsum(grams)
-    replies = [packed([total[g1 - g : g1], followers[c1 - c : c1]]) for c, c1, g, g1 in zip(contexts, c_end, grams, g_end, strict=True)]
+        for held, values in ((lines, code), (size, sizes), (follower, f.view(np.uint64)), (n, x), (triples, own), (last, w.view(np.uint64)), (m, y)):
+            held.append(values)
+    lines, size, follower, n, triples, last, m = (np.concatenate(x) for x in (lines, size, follower, n, triples, last, m))
+    pair, total, line_of = followed(lines, size, follower, n)
+    # A pair is the context of its triples.
+    _, deeper, of_pair = followed(pair, triples, last, m)
+    c_end, g_end, t_end = np.cumsum(contexts), np.cumsum(grams), np.cumsum(inner)
+    replies = [packed([total[g1 - g : g1], line_of[c1 - c : c1], of_pair[g1 - g : g1], deeper[t1 - t : t1]]) for c, c1, g, g1, t, t1 in zip(contexts, c_end, grams, g_end, inner, t_end, strict=True)]
     return table.drop_columns(["data"]).append_column("data", pa.array(replies, pa.binary()))
 
 
@@ -433,7 +470,7 @@ def score_texts(docs: DataFrame) -> DataFrame:
         for r in replies.to_pylist():
             got[r["kind"]].append(r)
         grams = numbered(BlockWords.of(row), got[0])
-        model = Automaton(grams, [grams.answers(k, got[k + 1], cells, n_total) for k in range(ORDER - 1)], floor)
+        model = Automaton(grams, grams.answers(got[1:], cells, n_total), floor)
         docs = len(row["doc_id"])
         doc = np.repeat(np.arange(docs), np.diff(grams.first))
         total = lambda w: np.bincount(doc, w, minlength=docs)
