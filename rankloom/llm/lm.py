@@ -411,10 +411,12 @@ class Automaton:
             pos = begin[:live] - warm[:live] + t
             gained, todo = np.zeros(live), np.ones(live, bool)
             for k in range(ORDER - 1, 0, -1):
+                if not len(self.known[k]):
+                    continue  # the block has no n-gram of k + 1 words, so no context of k words
                 here = todo & (state[k - 1][:live] >= 0)
                 gram = at[k][pos]
-                hit = here & self.known[k][gram] if len(self.known[k]) else np.zeros(live, bool)
-                gained += np.where(hit, self.arc[k][gram], 0) if len(self.arc[k]) else 0
+                hit = here & self.known[k][gram]
+                gained += np.where(hit, self.arc[k][gram], 0)
                 gained += np.where(here & ~hit, self.failure[k - 1][state[k - 1][:live]], 0)
                 todo &= ~hit
             word = at[0][pos]

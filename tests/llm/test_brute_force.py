@@ -694,3 +694,12 @@ def test_pages_spans_and_style_sheets():
     assert page_text(sheet + "<p class='a x'>1</p><p id=q>2</p><p class=w>3</p><i class=w>4</i><p class=p>5</p><b>6</b>") == "4\n\n5\n\n6"
     assert page_text("<style>div{display:none} #in{display:block}</style><div>1</div><div id=in>2</div><div style='display:flex'>3</div>") == "2\n3"
     assert page_text("<p title='a > b'>x</p><p title=\"it's\">y") == "x\n\ny"
+
+
+def test_lm_of_blocks_without_pairs(spark):
+    """Texts without words, alone in their blocks, have the end token only."""
+    from rankloom.llm.lm import score_texts
+
+    docs = spark.createDataFrame([(i, x) for i, x in enumerate([None, "", " ", "word", "two words", "", "three small words"])], "doc_id long, text string")
+    rows = {r.doc_id: r for r in score_texts(docs.repartition(7, "doc_id")).collect()}
+    assert len(rows) == 7 and rows[0].n_tokens == rows[5].n_tokens == 1 and rows[0].score == rows[1].score == rows[0].base_score
