@@ -164,6 +164,28 @@ def test_one_way_merge_error():
     assert sup_error(merged, data) <= 2 * 0.02 * len(data)
 
 
+@pytest.mark.parametrize("variant", ["sampled-tuple", "tuple-topped"])
+@pytest.mark.parametrize("cuts", [[100_000, 200_000, 300_000], [150_000, 299_999], [200, 299_000], [299_990]])
+def test_fold_answers_above_samplers_and_levels_of_its_parts(variant, cuts):
+    data = ordered_values(300_000, "blocks")
+    chosen = plan(variant, 0.1, 1e-6, "single", n=len(data))
+    parts = [fed(chosen, part, i, 50, start=5 if variant == "sampled-tuple" else 0) for i, part in enumerate(np.split(data, cuts))]
+    above = max(min(s.tops) for s in parts)
+    merged = fold(parts)
+    assert merged.n == len(data) and merged.points()[1].sum() == len(data)
+    assert (merged.sampler.height == 5 if variant == "sampled-tuple" else min(merged.tops) >= above > 0)
+    error = sup_error(merged, data)
+    assert error <= 0.1 * len(data) and error <= merged.certified(1e-6)
+
+
+def test_fold_of_unequal_samplers():
+    data = ordered_values(40_000, "random", 2)
+    chosen = plan("sampled-tuple", 0.05, 1e-6, "single", n=len(data))
+    merged = fold([fed(chosen, part, i, start=i) for i, part in enumerate(np.split(data, [10_001, 20_007]))])
+    assert merged.n == len(data) and merged.points()[1].sum() == len(data)
+    assert sup_error(merged, data) <= 0.05 * len(data)
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.lists(st.integers(0, 50), min_size=1, max_size=60), min_size=1, max_size=12))
 def test_tuple_bounds_hold(batches):
