@@ -15,6 +15,7 @@ from rankloom.operators.relational import compact_round
 from rankloom.operators.sampler import block_filter
 from rankloom.plans.params import VARIANTS, plan, thin_height
 from rankloom.sources import io, ordered
+from rankloom.workloads.catalog import core_queries
 
 
 @pytest.mark.parametrize("variant", list(VARIANTS))
@@ -226,3 +227,14 @@ def test_certificate_covers_error(spark, small):
     sup = measure.sup_error(answer.coreset(made), rows, "l_extendedprice").collect()[0][0]
     assert 0 < sup <= bound
     assert np.isfinite(bound)
+
+
+def test_trials_read_every_row_once(spark, tiny):
+    rows = spark.range(0, 3000, 1, 2).select((F.col("id") % 2).alias("k"), F.when(F.col("id") % 10 != 0, F.col("id").cast("double")).alias("v"))
+    got = build(rows, "v", by=["k"], chosen=plan("geo", 0.2, 0.3, "single"), trials=5)
+    assert got.columns == ["k", "trial", "sketch"]
+    made = got.select("k", "trial", "sketch.n", "sketch.nulls", F.to_json("sketch.levels").alias("levels")).collect()
+    assert sorted((r.k, r.trial, r.n, r.nulls) for r in made) == [(k, t, 1500 - 300 * (k == 0), 300 * (k == 0)) for k in (0, 1) for t in range(1, 6)]
+    assert len({r.levels for r in made}) > 2
+    plan_text = core_queries()["failure_rate_verdict"](spark, tiny)._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plan_text
