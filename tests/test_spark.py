@@ -238,3 +238,19 @@ def test_trials_read_every_row_once(spark, tiny):
     assert len({r.levels for r in made}) > 2
     plan_text = core_queries()["failure_rate_verdict"](spark, tiny)._jdf.queryExecution().optimizedPlan().toString()
     assert "Generate" not in plan_text
+
+
+@pytest.mark.parametrize("fraction", [0.0, 0.3, 0.5, 0.999, 1.0])
+@pytest.mark.parametrize("case", ["spread", "ties", "one", "even", "nulls", "empty"])
+def test_bracketed_quantile_is_exact(spark, fraction, case):
+    x = {"spread": F.pmod(F.xxhash64("id"), F.lit(9973)) / 7, "ties": (F.col("id") % 3).cast("double"), "nulls": F.when(F.col("id") % 5 == 0, F.col("id") / 3)}.get(case, F.col("id") / 3)
+    rows = spark.range({"one": 1, "even": 2, "empty": 0}.get(case, 5000)).select(x.alias("v"))
+    want = rows.agg(F.percentile("v", F.lit(fraction)).alias("p")).first().p
+    for accuracy in (10_000, 100):
+        got = exact.bracketed(rows, "v", fraction, accuracy).collect()
+        assert len(got) == 1 and (got[0].value == want if want is None else abs(got[0].value - want) < 1e-9)
+
+
+def test_project_revenue_quantile_holds_no_map_of_all_values(spark, tiny):
+    plan_text = core_queries()["project_revenue_quantile"](spark, tiny)._jdf.queryExecution().optimizedPlan().toString()
+    assert "percentile(" not in plan_text
