@@ -43,6 +43,11 @@ def test_query(spark, duck, tiny, name):
     assert table(rows, df.columns) == table(got.fetchall(), names)
 
 
+@pytest.mark.parametrize("name", ["bounds_table"])
+def test_plans_and_bounds_are_of_a_table(spark, tiny, name):
+    assert [f for f in core_queries()[name](spark, tiny).inputFiles() if "lineitem.parquet" in f]
+
+
 def test_entry(spark):
     from __spark_entry__ import entry
 
