@@ -43,7 +43,7 @@ def test_query(spark, duck, tiny, name):
     assert table(rows, df.columns) == table(got.fetchall(), names)
 
 
-@pytest.mark.parametrize("name", ["bounds_table", "capacity_schedule", "lower_bounds", "optimality_ratio", "plan_all_variants", "plan_table"])
+@pytest.mark.parametrize("name", ["bounds_table", "capacity_schedule", "lower_bounds", "optimality_ratio", "plan_all_variants", "plan_table", "structure_by_length"])
 def test_plans_and_bounds_are_of_a_table(spark, tiny, name):
     assert [f for f in core_queries()[name](spark, tiny).inputFiles() if "lineitem.parquet" in f]
 
