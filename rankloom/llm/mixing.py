@@ -20,7 +20,7 @@ from collections.abc import Mapping, Sequence
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from rankloom.llm.common import text_or_empty, written
+from rankloom.llm.common import forget_shuffles, text_or_empty, written
 
 WORD = r"[^\x20\x09-\x0D]+"
 LEVELS = ("domain", "lang", "source")
@@ -94,7 +94,7 @@ def mix_plan(rows: DataFrame, weights: Mapping[str, Mapping[str, int]], budget:
     full_epochs  whole passes over the leaf; cut_key, cut_id, cut_spread, cut_rid  last row of
     the prefix of the epoch after them, cut_take  its tokens taken (null: no such prefix).
     """
-    leaves = rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens"))
+    leaves = written(rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens")), "leaves")
     grants = written(leaf_grants(leaves, weights, budget, max_epochs, default_weight), "grants")
     grants = grants.withColumn("full_epochs", F.expr("if(tokens > 0, grant div greatest(tokens, 1), 0)")).withColumn("rest", F.expr("if(tokens > 0, grant % greatest(tokens, 1), 0)"))
     placed = rows.withColumnRenamed("tokens", "tokens_").join(grants.filter("rest > 0").drop("tokens"), list(LEVELS))
@@ -107,6 +107,10 @@ def mix_plan(rows: DataFrame, weights: Mapping[str, Mapping[str, int]], budget:
         sums = sums.withColumn("before", F.coalesce(F.sum("here").over(run), F.lit(0))).filter("before < rest and before + here >= rest")
         last = written(sums.select(*LEVELS, *step, (F.col("rest") - F.col("before")).alias("rest")), "cut")
         placed = placed.drop("rest").join(last, [*LEVELS, *step])
+        if step in (["s1"], ["s2"]):
+            # A small table from here on: later steps neither repeat the joins of earlier ones nor read all rows again.
+            placed = written(placed, "part")
+            forget_shuffles(rows.sparkSession)
     last = placed.select(*LEVELS, F.col("key").alias("cut_key"), F.col("id").alias("cut_id"), F.col("spread").alias("cut_spread"), F.col("rid").alias("cut_rid"), F.least("tokens_", "rest").alias("cut_take"))
     plan = grants.join(last, list(LEVELS), "left").select(*LEVELS, "tokens", "supply", "grant", "full_epochs", "cut_key", "cut_id", "cut_spread", "cut_rid", "cut_take")
     return written(plan, "plan")
