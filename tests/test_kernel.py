@@ -1,6 +1,7 @@
 """Claims about compactors, samplers, tuples and merges, as executable properties."""
 
 import itertools
+from dataclasses import replace
 from fractions import Fraction
 
 import numpy as np
@@ -9,7 +10,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 
 from rankloom.functions.coins import Coins
-from rankloom.operators.kernel import Sketch, WeightedSampler, compact
+from rankloom.operators.kernel import Sketch, Trials, WeightedSampler, compact
 from rankloom.operators.measure import cap2_equivalence, uniformity
 from rankloom.operators.merge import fold, merge_many
 from rankloom.operators.tuples import TupleSummary
@@ -257,6 +258,35 @@ def test_failure_rate_and_bias_with_control():
     assert abs(np.mean(errors["fixed_odd"])) > 4 * fair.std() / np.sqrt(120)
 
 
+@pytest.mark.parametrize("variant", ["geo", "geo-biased", "equal-fair", "equal-fixed"])
+@pytest.mark.parametrize("kind", [float, object])
+def test_trials_equal_sketches_one_by_one(variant, kind):
+    chosen, data = replace(plan("geo", 0.1, 0.1, "single", k=32), variant=variant), ordered_values(3001, "random")
+    if kind is object:
+        data = np.array([str(x) for x in data], object)
+    trials, alone = Trials(chosen, 42, [5, 6, 7], kind), [Sketch(chosen, 42, scope, dtype=kind) for scope in (5, 6, 7)]
+    for part in (data[:0], *np.array_split(data, 70)):
+        for s in (trials, *alone):
+            s.insert(part, 2)
+    for a, b in zip(trials.apart(), alone, strict=True):
+        assert (a.n, a.nulls, a.least, a.most, a.flips, a.err_sq, a.err_abs, a.compactions) == (b.n, b.nulls, b.least, b.most, b.flips, b.err_sq, b.err_abs, b.compactions)
+        assert {h: sorted(x) for h, x in a.levels.items()} == {h: sorted(x) for h, x in b.levels.items()}
+    assert merge_many(trials.apart()).n == 3 * len(data)
+
+
+def test_trials_refuse_samplers_and_empty_ones_are_empty():
+    with pytest.raises(ValueError):
+        Trials(plan("geo-wsampled", 0.1, 0.1), 42, [1, 2])
+    empty = Trials(plan("geo", 0.1, 0.1), 42, [1, 2])
+    assert [s.rank(1.0) for s in empty.apart()] == [0, 0]
+
+
+@pytest.mark.parametrize("policy", ["fixed_odd", "fixed_even", "alternate", "fair", "biased"])
+def test_coins_in_one_go_are_those_one_by_one(policy):
+    many, single = Coins(policy, 1, 2, 3), Coins(policy, 1, 2, 3)
+    assert [*many.odds(37), *many.odds(600)] == [single.odd() for _ in range(637)]
+
+
 def test_too_small_sketch_fails():
     data = ordered_values(50_000, "random")
     s = fed(plan("geo", 0.001, 0.01, k=8), data, batches=2000)

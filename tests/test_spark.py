@@ -15,6 +15,7 @@ from rankloom.operators.relational import compact_round
 from rankloom.operators.sampler import block_filter
 from rankloom.plans.params import VARIANTS, plan, thin_height
 from rankloom.sources import io, ordered
+from rankloom.workloads import sketches as sketch_queries
 from rankloom.workloads.catalog import core_queries
 
 
@@ -254,3 +255,27 @@ def test_bracketed_quantile_is_exact(spark, fraction, case):
 def test_project_revenue_quantile_holds_no_map_of_all_values(spark, tiny):
     plan_text = core_queries()["project_revenue_quantile"](spark, tiny)._jdf.queryExecution().optimizedPlan().toString()
     assert "percentile(" not in plan_text
+
+
+def test_trials_are_the_sketches_of_repeated_rows(spark):
+    rows = spark.range(0, 12_000, 1, 2).select((F.col("id") * 7919 % 12_000).cast("double").alias("v"))
+    many = rows.withColumn("trial", F.explode(F.sequence(F.lit(1), F.lit(100))))
+    chosen = plan("geo", 0.1, 0.3, "single")
+    ask = ["trial", "sketch.coins", F.to_json("sketch").alias("sketch")]
+    want = build(many, "v", by=["trial"], chosen=chosen).select(*ask).collect()
+    # An Arrow batch of 10,000 repeated rows brings 100 to each trial.
+    got = build(rows, "v", chosen=chosen, trials=100, piece=100).select(*ask).collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, want))
+    assert min(r.coins for r in got) > 100
+
+
+def test_failure_rates_have_controls_of_their_own(spark, small, monkeypatch):
+    made, real = [], sketch_queries.build
+    monkeypatch.setattr(sketch_queries, "build", lambda *a, **k: made.append(k) or real(*a, **k))
+    rows = core_queries()["failure_rate_verdict"](spark, small).collect()
+    assert len(rows) == 3 and all(r.within_delta and r.unbiased and r.biased_coin_found for r in rows)
+    assert all(k["trials"] == 200 for k in made)
+    assert sorted((k["chosen"].delta, k["chosen"].variant) for k in made) == [(d, v) for d in (0.02, 0.1, 0.3) for v in ("geo", "geo-biased")]
+    assert len({(k["chosen"].delta, k["chosen"].k) for k in made}) == 3
+    monkeypatch.setattr(sketch_queries, "replace", lambda p, **_: p)
+    assert not any(r.biased_coin_found for r in core_queries()["failure_rate_verdict"](spark, small).collect())
